@@ -18,11 +18,12 @@ from __future__ import annotations
 import math
 import re
 import uuid
+import zlib
 from collections import Counter
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Observation
+from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from .common import crc_fold, map_batches, texts, written
@@ -34,7 +35,7 @@ HEADS = (6, 5, 4)
 UNSEEN = -0.35
 CAP = 6.0
 MEMO = 300_000
-ERRORS = 3.0
+ERRORS = 2.5
 THRESHOLD = 0.3
 _WORD = re.compile(r"[^\W_]+")
 
@@ -137,6 +138,17 @@ def _logistic(x: np.ndarray, y: np.ndarray, rounds: int = 50, ridge: float = 1.0
     return tuple(float(v) for v in w)
 
 
+def _with_families(batch):
+    """Each row with three least hashes of its five-word runs, which near copies mostly share."""
+    keys = []
+    for t in texts(batch):
+        words = t.encode("utf-8", "surrogatepass").lower().split()
+        h = np.array([zlib.crc32(b" ".join(words[i : i + 5])) for i in range(max(1, len(words) - 4))], np.uint64)
+        keys.append([int((h * np.uint64(k) % np.uint64(4294967291)).min()) for k in (1, 2654435761, 2246822519)])
+    kept = [batch.column(batch.schema.get_field_index(c)) for c in ("doc_id", "text", "y")]
+    yield pa.RecordBatch.from_arrays([*kept, *(pa.array([k[i] for k in keys], pa.int64()) for i in range(3))], names=["doc_id", "text", "y", "f0", "f1", "f2"])
+
+
 def _counts(docs: DataFrame) -> DataFrame:
     """Words of the whole corpus with their counts; each batch counts first, so the shuffle gets sums."""
 
@@ -164,10 +176,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     total = marks.count()
     if total > train_rows:
         marks = marks.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int((1 << 20) * train_rows / total))
-    # One of the labelled texts that are equal, so that copies of one text don't pass for evidence.
-    train = texts_of.join(marks, "doc_id").groupBy(F.xxhash64("text").alias("key")).agg(F.min_by(F.struct("doc_id", "text", "y"), "doc_id").alias("row")).select("row.*")
-    train = written(train, "toxicity-train")
-
+    train = written(map_batches(texts_of.join(marks, "doc_id").select("doc_id", "text", "y"), _with_families, "doc_id long, text string, y int, f0 long, f1 long, f2 long"), "toxicity-train")
+    firsts = train.select("doc_id", *(F.min("doc_id").over(Window.partitionBy(f)).alias(f) for f in ("f0", "f1", "f2"))).where(" and ".join(f"doc_id = {f}" for f in ("f0", "f1", "f2")))
+    train = train.drop("f0", "f1", "f2").join(firsts.select("doc_id").distinct(), "doc_id", "left_semi")
     halves = F.pmod(F.xxhash64("doc_id", F.lit("half")), F.lit(2)).cast("int").alias("half")
 
     def counted(batch):
@@ -196,12 +207,17 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     rows["share"] = rows["n"] / max(1, (size.get or {}).get("words") or 1)
 
     def learned(first: int) -> Model:
-        weights = []
-        for head in (0, 1):
-            part = rows[(rows["head"] == head) & (rows[f"toxic{first}"] + rows[f"clean{first}"] > 0)]
-            weights.append(log_odds(*(dict(zip(part["token"], part[c], strict=True)) for c in (f"toxic{first}", f"clean{first}", "share"))))
-        words = {t: v if v > 0 else min(v, UNSEEN) for t, v in weights[0].items()}
-        return Model({t: v for t, v in words.items() if v != UNSEEN}, {t: v for t, v in weights[1].items() if v > 0}, (1.0, 1.0), None)
+        toxic, clean, share = ([dict(zip(part["token"], part[c], strict=True)) for part in (rows[rows["head"] == 0], rows[rows["head"] == 1])] for c in (f"toxic{first}", f"clean{first}", "share"))
+        words = log_odds(toxic[0], clean[0], share[0])
+        # A head speaks for words that are too rare to speak for themselves; those that do are taken out of its counts.
+        for t, v in words.items():
+            if v > 0:
+                for head in {t[:size] for size in HEADS}:
+                    if head in toxic[1]:
+                        toxic[1][head] = max(0, toxic[1][head] - toxic[0][t])
+        heads = log_odds(toxic[1], clean[1], share[1])
+        words = {t: v if v > 0 else min(v, UNSEEN) for t, v in words.items()}
+        return Model({t: v for t, v in words.items() if v != UNSEEN}, {t: v for t, v in heads.items() if v > 0}, (1.0, 1.0), None)
 
     # Scores learned from one half are calibrated on the other, whose texts they have not seen.
     model = learned(0)
