@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 
 from .common import map_batches, texts, written
 from .components import components
+from .shards import TASK, deal
 
 SHINGLE, SEED, RADIUS = 3, 42, 3
 # The sample that vantage points are fitted on, and the fingerprints that a shard should be home to.
@@ -128,7 +129,7 @@ def _roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return root
 
 
-def _links(fps: np.ndarray, home: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray]:
+def _links(fps: np.ndarray, stored: np.ndarray, asking: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest (i, root) of the links at full distance between one shard's own fingerprints and its visitors.
 
     A tree over the shard's own ones is walked down with all that its balls reach; small leaves are compared at once.
@@ -157,8 +158,8 @@ def _links(fps: np.ndarray, home: np.ndarray, reach: int) -> tuple[np.ndarray, n
         walk(own[near], ask[asked - reach <= within], level + 1)
         walk(own[~near], ask[asked + reach > within], level + 1)
 
-    if home.any():
-        walk(every[home], every, 0)
+    if stored.any():
+        walk(every[stored], every[asking], 0)
     linked = root != every
     return every[linked], root[linked]
 
@@ -191,11 +192,11 @@ def link_fingerprints(distinct: DataFrame, radius: int = RADIUS, sample: int = S
 
     def search(table: pa.Table) -> pa.Table:
         fps, node = table.column("fp").to_numpy().view(np.uint64), table.column("node").to_numpy()
-        i, j = _links(fps, table.column("home").to_numpy(), radius)
+        i, j = _links(fps, table.column("stored").to_numpy(), table.column("asking").to_numpy(), radius)
         return pa.table({"u": pa.array(node[i], pa.int64()), "v": pa.array(node[j], pa.int64())})
 
     spread_out = map_batches(distinct.select("fp", "node"), spread, "fp long, node long, shard int, home boolean")
-    return spread_out.groupBy("shard").applyInArrow(search, "u long, v long")
+    return deal(spread_out).groupBy(*TASK).applyInArrow(search, "u long, v long")
 
 
 def group(prints: DataFrame, radius: int = RADIUS) -> DataFrame:
