@@ -3,7 +3,8 @@
 Each table projects unit vectors at random to eight dimensions, scales them and decodes them to the nearest point of
 the E8 lattice: the cell that a vector is stored in. A search looks into its own cell and those neighbouring cells (of
 the 240 nearest lattice points) that lie most in the direction of the vector's offset. Cells are gathered by a coarser
-decoding of their points into shards, so that one copy of a vector serves most of its probes. A pair is verified by its
+decoding of their points into shards, and shards into tasks of some thousand vectors, so that one copy of a vector
+serves most of its probes. A pair is verified by its
 cosine in double precision, and counted by the first table (and direction) that meets it; shards return sums and a
 spanning forest of links, never all pairs. Equal vectors are handled as one with a count.
 
@@ -27,6 +28,7 @@ from .simhash import _roots
 COSINE = 0.93
 TABLES, PROBES, SCALE, COARSE = 5, 60, 5.0, 4.0
 PAIRS = 100_000
+TASK_ROWS = 4_000
 
 
 def _minimal() -> np.ndarray:
@@ -118,6 +120,8 @@ def link_vectors(distinct: DataFrame, cosine: float = COSINE, tables: int = TABL
     ``distinct``: (node, copies, kind, size, embedding), all different; ``kind`` is what must be equal.
     """
 
+    groups = np.uint64(max(1, -(-distinct.count() // TASK_ROWS)))
+
     def spread(batch):
         sizes = np.array(batch.column(batch.schema.get_field_index("size")).to_numpy())
         for size in np.unique(sizes):
@@ -126,13 +130,13 @@ def link_vectors(distinct: DataFrame, cosine: float = COSINE, tables: int = TABL
             unit, salt = _unit(_vectors(vectors)), kind.to_numpy()
             for table in range(tables):
                 cells = Cells(unit, salt, table, scale, probes)
-                shards = np.sort(cells.asked_shard, axis=1)
+                shards = np.sort(cells.asked_shard % groups, axis=1)
                 fresh = np.concatenate([np.ones((len(unit), 1), bool), shards[:, 1:] != shards[:, :-1]], axis=1)
                 row, at = np.nonzero(fresh)
                 shard = shards[row, at]
                 take = pa.array(row)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(shard.view(np.int64)), pa.array(np.full(len(row), table, np.int32)), node.take(take), copies.take(take), kind.take(take), pa.array(cells.shard[row] == shard), vectors.take(take)],
+                    [pa.array((shard * np.uint64(tables) + np.uint64(table)).view(np.int64)), pa.array(np.full(len(row), table, np.int32)), node.take(take), copies.take(take), kind.take(take), pa.array(cells.shard[row] % groups == shard), vectors.take(take)],
                     names=["shard", "turn", "node", "copies", "kind", "home", "embedding"],
                 )
 
