@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
@@ -49,6 +50,12 @@ def written(frame: DataFrame, tag: str) -> DataFrame:
     return Written(frame, tag).frame
 
 
+def release(spark: SparkSession) -> None:
+    """Let go of frames that are no longer used, so that Spark may delete their shuffle files."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def map_batches(
     frame: DataFrame, work: Callable[[pa.RecordBatch], Iterable[pa.RecordBatch]] | Callable, schema: str, setup: Callable[[], Callable] | None = None
 ) -> DataFrame:

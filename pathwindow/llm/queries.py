@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, embeddings, packing, pii, quality, simhash, token_counts, toxicity
+from . import decontaminate, embeddings, lines, packing, pii, quality, simhash, token_counts, toxicity
 from .common import load
 from .oracles import ORACLES
 
@@ -27,6 +27,11 @@ def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.find_contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))).drop("runs")
 
 
+def op6_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    return lines.digest(docs, lines.removed_lines(docs))
+
+
 def op7_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digest(pii.find_personal_data(load(spark, sf_dir, "documents")))
 
