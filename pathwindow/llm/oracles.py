@@ -38,4 +38,20 @@ SELECT vec_id, CAST(coalesce(n, 0) AS BIGINT) AS n_links, least(vec_id, coalesce
 FROM embeddings LEFT JOIN n ON n.a = vec_id LEFT JOIN least ON least.a = vec_id
 """
 
-ORACLES: dict[str, str] = {"op5_decontaminate": DECONTAMINATE, "op3_embeddings": EMBEDDINGS}
+SUFFIXES = """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS x FROM documents),
+y AS (SELECT doc_id, p, substr(x, 1000 * p + 1, 1398) AS y FROM d, unnest(range(0, (len(x) // 2 + 300) // 500)) AS t(p) WHERE len(x) >= 400),
+g AS (SELECT doc_id, 500 * p + j AS i, md5(substr(y, 2 * j + 1, 400)) AS h FROM y, unnest(range(0, len(y) // 2 - 199)) AS t(j)),
+r AS (SELECT doc_id, i FROM g WHERE h IN (SELECT h FROM g GROUP BY h HAVING count(*) > 1)),
+s AS (SELECT doc_id, i, CASE WHEN i > lag(i) OVER w + 200 OR lag(i) OVER w IS NULL THEN 1 ELSE 0 END AS fresh FROM r WINDOW w AS (PARTITION BY doc_id ORDER BY i)),
+n AS (SELECT doc_id, i, sum(fresh) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM s),
+spans AS (SELECT doc_id, k, min(i) AS a, max(i) + 200 AS b FROM n GROUP BY ALL),
+parts AS (SELECT doc_id, a, b, lag(b, 1, 0) OVER (PARTITION BY doc_id ORDER BY a) AS p FROM spans),
+kept AS (SELECT doc_id, string_agg(substr(x, 2 * p + 1, 2 * (a - p)), '' ORDER BY a) AS head, max(b) AS b, sum(b - a) AS removed, count(*) AS k
+         FROM parts JOIN d USING (doc_id) GROUP BY doc_id)
+SELECT doc_id, CAST(len(x) // 2 AS BIGINT) AS n_bytes, CAST(coalesce(removed, 0) AS BIGINT) AS n_removed, CAST(coalesce(k, 0) AS BIGINT) AS n_spans,
+       sha256(unhex(coalesce(head, '') || substr(x, 2 * coalesce(b, 0) + 1))) AS kept_sha256
+FROM d LEFT JOIN kept USING (doc_id)
+"""
+
+ORACLES: dict[str, str] = {"op5_decontaminate": DECONTAMINATE, "op3_embeddings": EMBEDDINGS, "op4_suffixes": SUFFIXES}

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontaminate, embeddings, lines, packing, pii, quality, simhash, token_counts, toxicity
+from . import decontaminate, embeddings, lines, packing, pii, quality, simhash, suffixes, token_counts, toxicity
 from .common import load
 from .oracles import ORACLES
 
@@ -23,6 +23,10 @@ def op3_embeddings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return embeddings.near_duplicates(load(spark, sf_dir, "embeddings"))
 
 
+def op4_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.digest(suffixes.remove_repeats(load(spark, sf_dir, "documents")))
+
+
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return decontaminate.digest(decontaminate.find_contamination(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))).drop("runs")
 
