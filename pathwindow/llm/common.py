@@ -78,3 +78,15 @@ def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:
 def crc_fold(column: str, folds: int):
     """crc32 of the id written as text, modulo the number of folds."""
     return F.crc32(F.col(column).cast("string").cast("binary")) % folds
+
+
+def filter_batches(frame: DataFrame, setup: Callable[[], Callable[[list[str]], list[bool]]], text_col: str = "text") -> DataFrame:
+    """The rows whose text a judgement built once a task lets stay, with all columns; nothing is shuffled."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        stays = setup()
+        for batch in batches:
+            if batch.num_rows:
+                yield batch.filter(pa.array(stays(texts(batch, text_col)), pa.bool_()))
+
+    return frame.mapInArrow(run, frame.schema)

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import map_batches, texts
+from .common import filter_batches, map_batches, texts
 
 WINDOW = 13
 # Bytes of patterns in one set of tables; a larger benchmark is searched set by set.
@@ -170,13 +170,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc
 
     The benchmark is read once by the driver under a checked size bound and broadcast; documents are never shuffled.
     """
-    spark = docs.sparkSession
-    small = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(text_col).alias("text"))
-    size = small.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > BENCHMARK_BYTES:
-        raise ValueError(f"the benchmark has {size} bytes of text; the broadcast bound is {BENCHMARK_BYTES}")
-    rows = [(r["item"], r["text"]) for r in small.collect() if r["item"] is not None]
-    shared, token = spark.sparkContext.broadcast(rows), uuid.uuid4().hex
+    shared, token = _shared(benchmark, text_col, item_col), uuid.uuid4().hex
 
     def setup():
         patterns = _pattern_set(shared, token, window)
@@ -204,6 +198,34 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc
     return map_batches(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), None, SCHEMA, setup)
 
 
+def _shared(benchmark: DataFrame, text_col: str, item_col: str):
+    """The benchmark as a broadcast, behind a check of its size."""
+    small = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(text_col).alias("text"))
+    size = small.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    if size > BENCHMARK_BYTES:
+        raise ValueError(f"the benchmark has {size} bytes of text; the broadcast bound is {BENCHMARK_BYTES}")
+    return benchmark.sparkSession.sparkContext.broadcast([(r["item"], r["text"]) for r in small.collect() if r["item"] is not None])
+
+
+def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", window: int = WINDOW) -> DataFrame:
+    """The documents that are not contaminated, with all their columns."""
+    shared, token = _shared(benchmark, text_col, item_col), uuid.uuid4().hex
+
+    def setup():
+        patterns = _pattern_set(shared, token, window)
+
+        def stays(batch: list[str]) -> list[bool]:
+            kept: list[bool] = []
+            for _, group in _by_bytes(batch):
+                words = [words_of(t) for t in group]
+                kept += [not (h[0] > 0 and 20 * h[0] >= len(w)) for h, w in zip(patterns.hits(words), words, strict=True)]
+            return kept
+
+        return stays
+
+    return filter_batches(docs, setup, text_col)
+
+
 _SETS: dict[str, PatternSet] = {}
 
 

@@ -1,9 +1,9 @@
 """SimHash near-duplicates through vantage-point trees.
 
-Fingerprints that differ in at most r of 64 bits differ in at most r // 2 bits of one of their halves, and the Hamming
-distance of a half is a metric too. So each half gets a vantage-point tree, fitted on a bounded sample of distinct
-fingerprints: an inner node sends a fingerprint to the near side if it lies within the node's radius of the vantage
-point; by the triangle inequality a search may skip the side whose boundary is more than r // 2 away. Every fingerprint
+Fingerprints that differ in at most r of 64 bits differ in at most r // 2 bits of one of their halves (or r // 4 of a
+quarter, for larger r), and the Hamming distance of a part is a metric too. So each part gets a vantage-point tree,
+fitted on a bounded sample of distinct fingerprints: an inner node sends a fingerprint to the near side if it lies within the node's radius of the vantage
+point; by the triangle inequality a search may skip the side whose boundary is farther than that. Every fingerprint
 is stored in its home leaf and searches each leaf that its ball overlaps; leaves are the shards of a groupBy, and each is
 searched exactly by a finer tree of its own. A shard returns a spanning forest of its links, never all pairs.
 
@@ -61,17 +61,24 @@ def fingerprint(hashes: np.ndarray) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE) -> DataFrame:
-    """(doc_id, fp): the fingerprint as a signed 64-bit number."""
+    """(doc_id, fp, n): the fingerprint as a signed 64-bit number, and its number of shingles."""
 
     def each(batch):
-        own = np.array([fingerprint(shingle_hashes(t, shingle)) for t in texts(batch)], np.uint64)
-        yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(own.view(np.int64))], names=["doc_id", "fp"])
+        hashes = [shingle_hashes(t, shingle) for t in texts(batch)]
+        own = np.array([fingerprint(h) for h in hashes], np.uint64)
+        yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(own.view(np.int64)), pa.array([len(h) for h in hashes], pa.int32())], names=["doc_id", "fp", "n"])
 
-    return map_batches(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), each, "doc_id long, fp long")
+    return map_batches(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), each, "doc_id long, fp long, n int")
 
 
-def _half(fps: np.ndarray, side: int) -> np.ndarray:
-    return (fps >> np.uint64(32 * side)) & np.uint64(0xFFFFFFFF)
+def parts_for(radius: int) -> int:
+    """Into how many parts fingerprints are cut, so that one part of a linked pair differs in a bit at most."""
+    return 2 if radius <= 3 else 4
+
+
+def _part(fps: np.ndarray, side: int, parts: int) -> np.ndarray:
+    width = 64 // parts
+    return (fps >> np.uint64(width * side)) & np.uint64((1 << width) - 1)
 
 
 class Tree:
@@ -129,7 +136,7 @@ def _roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return root
 
 
-def _links(fps: np.ndarray, stored: np.ndarray, asking: np.ndarray, reach: int) -> tuple[np.ndarray, np.ndarray]:
+def _links(fps: np.ndarray, sizes: np.ndarray, stored: np.ndarray, asking: np.ndarray, reach: int, ratio: float) -> tuple[np.ndarray, np.ndarray]:
     """A spanning forest (i, root) of the links at full distance between one shard's own fingerprints and its visitors.
 
     A tree over the shard's own ones is walked down with all that its balls reach; small leaves are compared at once.
@@ -143,7 +150,7 @@ def _links(fps: np.ndarray, stored: np.ndarray, asking: np.ndarray, reach: int)
             part = ask[lo : lo + 512]
             i, j = np.nonzero(np.bitwise_count(fps[part][:, None] ^ fps[own][None, :]) <= reach)
             a, b = part[i], own[j]
-            new = root[a] != root[b]
+            new = (root[a] != root[b]) & (np.minimum(sizes[a], sizes[b]) >= ratio * np.maximum(sizes[a], sizes[b]))
             if new.any():
                 root = _roots(len(fps), np.concatenate([a[new], every]), np.concatenate([b[new], root]))
 
@@ -164,10 +171,11 @@ def _links(fps: np.ndarray, stored: np.ndarray, asking: np.ndarray, reach: int)
     return every[linked], root[linked]
 
 
-def link_fingerprints(distinct: DataFrame, radius: int = RADIUS, sample: int = SAMPLE, shard: int = SHARD) -> DataFrame:
-    """Links (u, v) whose components are those of all pairs of (fp, node) rows within the radius.
+def link_fingerprints(distinct: DataFrame, radius: int = RADIUS, ratio: float = 0.0, sample: int = SAMPLE, shard: int = SHARD) -> DataFrame:
+    """Links (u, v) whose components are those of all pairs of (fp, n, node) rows within the radius.
 
-    A bounded hash-picked sample comes to the driver to fit the two trees; all fingerprints are searched.
+    ``ratio``: the least ratio of shingle numbers in a link. A bounded hash-picked sample comes to the driver to fit the
+    trees; all fingerprints are searched.
     """
     spark = distinct.sparkSession
     total = distinct.count()
@@ -176,40 +184,48 @@ def link_fingerprints(distinct: DataFrame, radius: int = RADIUS, sample: int = S
     picked = distinct.where(F.pmod(F.xxhash64("fp"), F.lit(1 << 20)) < max(1, int((1 << 20) * min(1.0, sample / total)))).select("fp")
     values = np.sort(np.array([r["fp"] for r in picked.collect()], np.int64)).view(np.uint64)
     depth = int(min(MAX_DEPTH, max(0, np.ceil(np.log2(total / shard)))))
-    trees = [Tree(_half(values, side), depth) for side in (0, 1)]
+    parts = parts_for(radius)
+    trees = [Tree(_part(values, side, parts), depth) for side in range(parts)]
     shared = spark.sparkContext.broadcast(trees)
-    reach = radius // 2
+    reach = radius // parts
 
     def spread(batch):
         fps = batch.column(0).to_numpy().view(np.uint64)
-        node = batch.column(1)
         for side, tree in enumerate(shared.value):
-            own = _half(fps, side)
+            own = _part(fps, side, parts)
             row, leaf = tree.search(own, reach)
+            take = pa.array(row)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(fps[row].view(np.int64)), node.take(pa.array(row)), pa.array((leaf * 2 + side).astype(np.int32)), pa.array(tree.home(own)[row] == leaf)], names=["fp", "node", "shard", "home"]
+                [*(c.take(take) for c in batch.columns), pa.array((leaf * parts + side).astype(np.int32)), pa.array(tree.home(own)[row] == leaf)], names=["fp", "n", "node", "shard", "home"]
             )
 
     def search(table: pa.Table) -> pa.Table:
-        fps, node = table.column("fp").to_numpy().view(np.uint64), table.column("node").to_numpy()
-        i, j = _links(fps, table.column("stored").to_numpy(), table.column("asking").to_numpy(), radius)
+        fps, sizes, node, stored, asking = (table.column(c).to_numpy() for c in ("fp", "n", "node", "stored", "asking"))
+        i, j = _links(fps.view(np.uint64), sizes, stored, asking, radius, ratio)
         return pa.table({"u": pa.array(node[i], pa.int64()), "v": pa.array(node[j], pa.int64())})
 
-    spread_out = map_batches(distinct.select("fp", "node"), spread, "fp long, node long, shard int, home boolean")
+    spread_out = map_batches(distinct.select("fp", "n", "node"), spread, "fp long, n int, node long, shard int, home boolean")
     return deal(spread_out).groupBy(*TASK).applyInArrow(search, "u long, v long")
 
 
-def group(prints: DataFrame, radius: int = RADIUS) -> DataFrame:
+def group(prints: DataFrame, radius: int = RADIUS, ratio: float = 0.0) -> DataFrame:
     """(doc_id, fp) rows with their component_id, the least doc_id that links reach."""
-    distinct = written(prints.groupBy("fp").agg(F.min("doc_id").alias("node")).where("node is not null"), "simhash-distinct")
-    found = components(link_fingerprints(distinct, radius))
-    of = distinct.join(found, "node", "left").select("fp", F.coalesce("component", "node").alias("component_id"))
-    return prints.join(of, "fp", "left").select("doc_id", "fp", F.coalesce("component_id", "doc_id").alias("component_id"))
+    prints = prints if ratio else prints.withColumn("n", F.lit(0))
+    distinct = written(prints.groupBy("fp", "n").agg(F.min("doc_id").alias("node")).where("node is not null"), "simhash-distinct")
+    found = components(link_fingerprints(distinct, radius, ratio))
+    of = distinct.join(found, "node", "left").select("fp", "n", F.coalesce("component", "node").alias("component_id"))
+    return prints.join(of, ["fp", "n"], "left").select("doc_id", "fp", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, radius: int = RADIUS) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, radius: int = RADIUS, ratio: float = 0.0) -> DataFrame:
     """One row a document: doc_id, fp and component_id. Texts are read once; only fingerprints are shuffled."""
-    return group(written(fingerprints(docs, id_col, text_col, shingle), "simhash-prints"), radius)
+    return group(written(fingerprints(docs, id_col, text_col, shingle), "simhash-prints"), radius, ratio)
+
+
+def keep_first(docs: DataFrame, grouped: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """The documents that lead their group, all columns kept; of rows that share an id one stays."""
+    leads = grouped.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__lead")).distinct()
+    return docs.join(leads, F.col(id_col).eqNullSafe(F.col("__lead")), "left_semi").dropDuplicates([id_col])
 
 
 def digest(grouped: DataFrame) -> DataFrame:

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
-from .common import crc_fold, map_batches, texts, written
+from .common import crc_fold, filter_batches, map_batches, texts, written
 
 # Labelled rows that the fit may hold on the driver in counted form; a larger labelled set is sampled by id hash.
 TRAIN_ROWS = 40_000
@@ -302,6 +302,26 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     return map_batches(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), each, SCHEMA)
 
 
+def keep_clean(docs: DataFrame, model: Model, text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+    """The documents under the threshold, with all their columns."""
+    shared, token = docs.sparkSession.sparkContext.broadcast(model), uuid.uuid4().hex
+
+    def setup():
+        own = _model(shared, token)
+
+        def stays(batch: list[str]) -> list[bool]:
+            inputs = []
+            for t in batch:
+                found, n = own.passages(t)
+                runs = [f[2] for f in found]
+                inputs.append(model_inputs(own, (max(runs, default=0.0), n, runs)))
+            return (own.probability(np.array(inputs, float).reshape(-1, 2)) < threshold).tolist()
+
+        return stays
+
+    return filter_batches(docs, setup, text_col)
+
+
 def held_out(id_col: str = "doc_id"):
     """The fold whose labels are never learned."""
     return crc_fold(id_col, 4) == 2
