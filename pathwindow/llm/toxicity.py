@@ -35,7 +35,7 @@ HEADS = (6, 5, 4)
 UNSEEN = -0.35
 CAP = 6.0
 MEMO = 300_000
-ERRORS = 2.5
+ERRORS, FOLDS = 2.75, 4
 THRESHOLD = 0.3
 _WORD = re.compile(r"[^\W_]+")
 
@@ -179,35 +179,37 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     train = written(map_batches(texts_of.join(marks, "doc_id").select("doc_id", "text", "y"), _with_families, "doc_id long, text string, y int, f0 long, f1 long, f2 long"), "toxicity-train")
     firsts = train.select("doc_id", *(F.min("doc_id").over(Window.partitionBy(f)).alias(f) for f in ("f0", "f1", "f2"))).where(" and ".join(f"doc_id = {f}" for f in ("f0", "f1", "f2")))
     train = train.drop("f0", "f1", "f2").join(firsts.select("doc_id").distinct(), "doc_id", "left_semi")
-    halves = F.pmod(F.xxhash64("doc_id", F.lit("half")), F.lit(2)).cast("int").alias("half")
+    fold = F.pmod(F.xxhash64("doc_id", F.lit("fold")), F.lit(FOLDS)).cast("int").alias("fold")
 
     def counted(batch):
-        ys, hs = (batch.column(batch.schema.get_field_index(c)).to_pylist() for c in ("y", "half"))
+        ys, fs = (batch.column(batch.schema.get_field_index(c)).to_pylist() for c in ("y", "fold"))
         own: Counter = Counter()
-        for t, y, half in zip(texts(batch), ys, hs, strict=True):
+        for t, y, f in zip(texts(batch), ys, fs, strict=True):
             seen = set(words_of(t))
-            own.update((w, 0, y, half) for w in seen)
-            own.update((w, 1, y, half) for w in {w[:size] for w in seen for size in HEADS if len(w) >= size})
+            own.update((w, 0, y, f) for w in seen)
+            own.update((w, 1, y, f) for w in {w[:size] for w in seen for size in HEADS if len(w) >= size})
         yield pa.RecordBatch.from_arrays(
             [*(pa.array([k[i] for k in own], kind) for i, kind in enumerate((pa.string(), pa.int32(), pa.int32(), pa.int32()))), pa.array(list(own.values()), pa.int64())],
-            names=["token", "head", "y", "half", "n"],
+            names=["token", "head", "y", "fold", "n"],
         )
 
-    amount = lambda y, first: F.sum(F.when((F.col("y") == y) & ((F.col("half") == 0) | F.lit(not first)), F.col("n")).otherwise(0))
+    amount = lambda y, f: F.sum(F.when((F.col("y") == y) & (F.col("fold") != f), F.col("n")).otherwise(0))
     table = (
-        map_batches(train.select("text", "y", halves), counted, "token string, head int, y int, half int, n long")
+        map_batches(train.select("text", "y", fold), counted, "token string, head int, y int, fold int, n long")
         .groupBy("token", "head")
-        .agg(*(amount(y, first).alias(f"{name}{int(first)}") for y, name in ((1, "toxic"), (0, "clean")) for first in (False, True)))
-        .where(F.col("toxic0") + F.col("clean0") >= 3)
+        .agg(*(amount(y, f).alias(f"{name}{f}") for y, name in ((1, "toxic"), (0, "clean")) for f in range(FOLDS + 1)))
+        .where(F.col(f"toxic{FOLDS}") + F.col(f"clean{FOLDS}") >= 3)
     )
     corpus = _counts(texts_of)
     size = Observation()
     corpus = corpus.observe(size, F.sum("n").alias("words"))
-    rows = table.join(corpus, (F.col("token") == F.col("word")) & (F.col("head") == 0), "left").select("token", "head", "toxic0", "clean0", "toxic1", "clean1", F.coalesce("n", F.lit(0)).alias("n")).toPandas()
+    rows = table.join(corpus, (F.col("token") == F.col("word")) & (F.col("head") == 0), "left").drop("word").withColumn("n", F.coalesce("n", F.lit(0))).toPandas()
     rows["share"] = rows["n"] / max(1, (size.get or {}).get("words") or 1)
 
-    def learned(first: int) -> Model:
-        toxic, clean, share = ([dict(zip(part["token"], part[c], strict=True)) for part in (rows[rows["head"] == 0], rows[rows["head"] == 1])] for c in (f"toxic{first}", f"clean{first}", "share"))
+    def learned(f: int) -> Model:
+        """From all rows but those of fold f; f = FOLDS leaves none out."""
+        seen = rows[rows[f"toxic{f}"] + rows[f"clean{f}"] > 0]
+        toxic, clean, share = ([dict(zip(part["token"], part[c], strict=True)) for part in (seen[seen["head"] == 0], seen[seen["head"] == 1])] for c in (f"toxic{f}", f"clean{f}", "share"))
         words = log_odds(toxic[0], clean[0], share[0])
         # A head speaks for words that are too rare to speak for themselves; those that do are taken out of its counts.
         for t, v in words.items():
@@ -219,9 +221,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         words = {t: v if v > 0 else min(v, UNSEEN) for t, v in words.items()}
         return Model({t: v for t, v in words.items() if v != UNSEEN}, {t: v for t, v in heads.items() if v > 0}, (1.0, 1.0), None)
 
-    # Scores learned from one half are calibrated on the other, whose texts they have not seen.
-    model = learned(0)
-    scored = _score_inputs(train.where(halves == 1).select("doc_id", "text", "y"), learned(1), ["y"]).toPandas()
+    # Each fold is scored by what the others teach, so the calibration sees no text that its scores were learned from.
+    model = learned(FOLDS)
+    scored = _score_inputs(train.select("doc_id", "text", "y", fold), [learned(f) for f in range(FOLDS)]).toPandas()
     if scored["y"].nunique() < 2:
         return model
     quiet = scored[scored["y"] == 0]
@@ -250,22 +252,21 @@ def model_inputs(model: Model, row) -> tuple[float, float]:
     return (max(-2.0, min(12.0, z)), math.log1p(float(sum(r for r in runs if r > mu + beta))))
 
 
-def _score_inputs(frame: DataFrame, model: Model, carried: list[str]) -> DataFrame:
-    shared, token = frame.sparkSession.sparkContext.broadcast(model), uuid.uuid4().hex
+def _score_inputs(frame: DataFrame, models: list[Model]) -> DataFrame:
+    """(y, best, n, runs) of labelled rows, each by the model of its fold."""
+    shared, token = frame.sparkSession.sparkContext.broadcast(models), uuid.uuid4().hex
 
     def each(batch):
         own = _model(shared, token)
         best, sizes, runs = [], [], []
-        for t in texts(batch):
-            found, n = own.passages(t)
+        for t, f in zip(texts(batch), batch.column(3).to_pylist(), strict=True):
+            found, n = own[f].passages(t)
             best.append(max((f[2] for f in found), default=0.0))
             sizes.append(n)
-            runs.append([f[2] for f in found if f[2] > 1])
-        kept = [batch.column(batch.schema.get_field_index(c)) for c in carried]
-        yield pa.RecordBatch.from_arrays([*kept, pa.array(best, pa.float64()), pa.array(sizes, pa.int64()), pa.array(runs, pa.list_(pa.float64()))], names=[*carried, "best", "n", "runs"])
+            runs.append([f[2] for f in found])
+        yield pa.RecordBatch.from_arrays([batch.column(2), pa.array(best, pa.float64()), pa.array(sizes, pa.int64()), pa.array(runs, pa.list_(pa.float64()))], names=["y", "best", "n", "runs"])
 
-    kinds = ", ".join(f"{c} {dict(frame.dtypes)[c]}" for c in carried)
-    return map_batches(frame, each, f"{kinds}, best double, n long, runs array<double>")
+    return map_batches(frame, each, "y int, best double, n long, runs array<double>")
 
 
 _MODELS: dict[str, Model] = {}
