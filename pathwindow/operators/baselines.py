@@ -19,7 +19,7 @@ FRESH = F.col("fresh")
 def bellman_ford(graph: PreparedGraph, source: int) -> Result:
     """Every round extends all lengths that improved in the one before."""
     search = Search(graph, source, skip_parent=False, keep_leaves=True)
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh:
             search.push(FRESH)
     return _result(search)
@@ -28,7 +28,7 @@ def bellman_ford(graph: PreparedGraph, source: int) -> Result:
 def dijkstra_rounds(graph: PreparedGraph, source: int, max_rounds: int = 100_000) -> Result:
     """Every round settles all vertices at the least open length: no path is extended twice."""
     search = Search(graph, source, skip_parent=False, keep_leaves=True)
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh and search.counters.rounds < max_rounds:
             search.push(FRESH & (F.col("dist") == search.last.fresh_min))
     return _result(search)
@@ -58,7 +58,7 @@ def delta_stepping(graph: PreparedGraph, source: int, delta=None, adaptive: bool
     """
     search, lo = Search(graph, source, skip_parent=False), 0
     delta = delta or max(0.1 * graph.wmax, 1 if isinstance(graph.wmax, int) else 0)
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh:
             lo = max(lo, search.last.fresh_min)
             if adaptive:
@@ -156,7 +156,7 @@ def delta_star_stepping(graph: PreparedGraph, source: int, delta=None) -> Result
     """A threshold that moves on by delta in every round, whether or not a bucket is done."""
     search, threshold = Search(graph, source, skip_parent=False), 0
     delta = delta or max(0.1 * graph.wmax, 1 if isinstance(graph.wmax, int) else 0)
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh:
             threshold = max(threshold, search.last.fresh_min) + delta
             search.push(FRESH & (F.col("dist") < threshold), note=(0, threshold))
@@ -167,7 +167,7 @@ def rho_stepping(graph: PreparedGraph, source: int, rho: int | None = None) -> R
     """Every round extends the rho nearest fresh vertices (ties with the last one too)."""
     search = Search(graph, source, skip_parent=False)
     rho = rho or max(64, graph.n // 8)
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh:
             limit = None
             if search.last.fresh > rho:
@@ -182,7 +182,7 @@ def pruned_delta_stepping(graph: PreparedGraph, source: int, delta=None) -> Resu
     search, lo, wmax = Search(graph, source), 0, graph.wmax
     delta = delta or max(0.1 * wmax, 1 if isinstance(wmax, int) else 0)
     delta = int(math.ceil(delta)) if isinstance(wmax, int) else delta
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         r = search.last
         while r.top + wmax >= lo:
             hi = lo + delta

@@ -97,7 +97,7 @@ def adaptive_sssp(graph: PreparedGraph, source: int, cfg: Config = Config()) ->
     hub = balance_degree(graph.histogram)
     search = Search(graph, source, hub)
     c = search.counters
-    with fixed_plans(spark):
+    with fixed_plans(spark, graph.parts):
         # first window: open-ended until a hub is met
         lo, hi = 0, math.inf
         while True:
@@ -165,7 +165,7 @@ def windowed_sssp(graph: PreparedGraph, source: int, thresholds: list) -> Result
     """Windows between given ascending thresholds; beyond the last one the search runs to its end."""
     search, wmax = Search(graph, source), graph.wmax
     edges = sorted({0, *thresholds})
-    with fixed_plans(graph.arcs.sparkSession):
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
         for lo, hi in zip(edges, [*edges[1:], math.inf], strict=True):
             below = LENGTH < hi if hi < math.inf else F.lit(True)
             short = (F.col("dist") >= lo) & ((F.col("dist") < hi) if hi < math.inf else F.lit(True))

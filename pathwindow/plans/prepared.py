@@ -15,6 +15,8 @@ from ..sources.graphs import symmetrize
 QUANTILES = 4096
 # Above this many arcs the quantile table comes from one approximate pass; only speed depends on it.
 EXACT_ARCS = 20_000_000
+# Small graphs get fewer partitions than the session's number, so that a round is not all overhead.
+ARCS_A_PART = 250_000
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
@@ -27,14 +29,18 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
 
 
 @contextmanager
-def fixed_plans(spark: SparkSession):
-    """No adaptive re-planning inside: a checkpoint keeps its hash partitioning only for plans that are fixed."""
-    before = spark.conf.get("spark.sql.adaptive.enabled")
-    spark.conf.set("spark.sql.adaptive.enabled", "false")
+def fixed_plans(spark: SparkSession, parts: int | None = None):
+    """No adaptive re-planning inside, and one number of partitions: only then a checkpoint's hash partitioning serves
+    the next round's join."""
+    wanted = {"spark.sql.adaptive.enabled": "false"} | ({"spark.sql.shuffle.partitions": str(parts)} if parts else {})
+    before = {k: spark.conf.get(k) for k in wanted}
+    for k, v in wanted.items():
+        spark.conf.set(k, v)
     try:
         yield
     finally:
-        spark.conf.set("spark.sql.adaptive.enabled", before)
+        for k, v in before.items():
+            spark.conf.set(k, v)
 
 
 @dataclass
@@ -93,9 +99,10 @@ def prepare(edges: DataFrame, num: int = QUANTILES, quantiles: str = "auto") ->
     """One full shuffle of the arcs; later rounds never exchange them again."""
     spark = edges.sparkSession
     ensure_checkpoint_dir(spark)
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    with fixed_plans(spark):
-        kept = edges.checkpoint()
+    kept = edges.checkpoint()
+    m = kept.count()
+    parts = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-2 * m // ARCS_A_PART)))
+    with fixed_plans(spark, parts):
         arcs = symmetrize(kept).repartition(parts, "src").sortWithinPartitions("src", "w").checkpoint()
         vertices = arcs.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg")).checkpoint()
         histogram = {r["deg"]: r["n"] for r in vertices.groupBy("deg").agg(F.count("*").alias("n")).collect()}
