@@ -23,7 +23,7 @@ EDGES = {
     "part_supplier_qty": _PAIR.format(l="l_partkey", r="l_suppkey", w="CAST(l_quantity AS BIGINT)", t="lineitem"),
     "customer_part": _PAIR.format(l="o_custkey", r="l_partkey", w=_C.format("l_extendedprice"), t=_OL),
     "customer_supplier": _PAIR.format(l="o_custkey", r="l_suppkey", w=_C.format("l_extendedprice"), t=_OL),
-    "user_action": _PAIR.format(l="user_id", r="(list_position(['click', 'login', 'logout', 'purchase', 'view'], event_type) - 1)", w=_C.format("value"), t="events"),
+    "user_action": _PAIR.format(l="user_id", r="(list_position(['click', 'error', 'purchase', 'signup', 'view'], event_type) - 1)", w=_C.format("value"), t="events"),
     "geo_tree": "SELECT n_regionkey * 4 AS a, n_nationkey * 4 + 1 AS b, 1 AS w FROM nation UNION ALL SELECT c_nationkey * 4 + 1, c_custkey * 4 + 2, 1 FROM customer UNION ALL SELECT s_nationkey * 4 + 1, s_suppkey * 4 + 3, 1 FROM supplier",
 }
 # Sources at sf0.01: hubs, vertices of the lowest degree, ordinary ones.

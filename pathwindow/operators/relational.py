@@ -226,13 +226,13 @@ both(
 both("str_url_host", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host FROM pages")
 both("str_like_case", "SELECT p_partkey, upper(p_brand) AS brand, substring(p_type, 1, 5) AS head FROM part WHERE p_type LIKE '%S%'")
 both("str_concat_split", "SELECT p_partkey, concat_ws('|', p_brand, p_type) AS joined FROM part")
-both("date_trunc_month", "SELECT CAST(date_trunc('month', o_orderdate) AS DATE) AS month, count(*) AS n FROM orders GROUP BY 1")
+both("date_trunc_month", "SELECT CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS STRING) AS month, count(*) AS n FROM orders GROUP BY 1")
 both(
     "date_gap_days",
     "SELECT o_orderkey, l_linenumber, l_partkey, datediff(l_shipdate, o_orderdate) AS gap FROM orders JOIN lineitem ON o_orderkey = l_orderkey",
     "SELECT o_orderkey, l_linenumber, l_partkey, CAST(date_diff('day', CAST(o_orderdate AS DATE), CAST(l_shipdate AS DATE)) AS INTEGER) AS gap FROM orders JOIN lineitem ON o_orderkey = l_orderkey",
 )
-both("interval_add", "SELECT o_orderkey, CAST(o_orderdate + INTERVAL 30 DAY AS DATE) AS due FROM orders")
+both("interval_add", "SELECT o_orderkey, CAST(CAST(o_orderdate + INTERVAL 30 DAY AS DATE) AS STRING) AS due FROM orders")
 both("math_log_pow_floor", "SELECT p_partkey, floor(p_retailprice / 100) AS bucket, round(log2(p_retailprice), 6) AS lg, round(power(p_size, 2), 2) AS sq, greatest(p_size, 10) AS at_least, round(sqrt(p_size), 6) AS root FROM part")
 
 

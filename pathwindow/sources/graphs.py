@@ -54,7 +54,7 @@ def customer_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def user_action(spark: SparkSession, sf_dir: str) -> DataFrame:
-    kinds = F.array(*(F.lit(k) for k in ("click", "login", "logout", "purchase", "view")))
+    kinds = F.array(*(F.lit(k) for k in ("click", "error", "purchase", "signup", "view")))
     events = load(spark, sf_dir, "events").withColumn("kind", F.array_position(kinds, F.col("event_type")) - 1)
     return bipartite(events.where("kind >= 0"), "user_id", "kind", _cents("value"))
 
