@@ -12,6 +12,7 @@ from .operators import apps, audit, baselines, relational
 from .plans.engine import Config, Result, adaptive_sssp, point_to_point, push_only, windowed_sssp
 from .plans.prepared import PreparedGraph, prepare, weight_quantiles
 from .sources import graphs, synth
+from .streaming import events
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -54,6 +55,18 @@ def prepared(spark: SparkSession, sf_dir: str, name: str) -> PreparedGraph:
     return _PREPARED[key]
 
 
+_SEARCHED: dict[tuple[str, str, str, int], Result] = {}
+
+
+def searched(spark: SparkSession, sf_dir: str, name: str, source: int) -> Result:
+    """One adaptive search serves all audits of an application."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, source)
+    if key not in _SEARCHED:
+        _SEARCHED.clear()
+        _SEARCHED[key] = adaptive_sssp(prepared(spark, sf_dir, name), source)
+    return _SEARCHED[key]
+
+
 def _distances(result: Result) -> DataFrame:
     return result.state.select("v", F.col("dist").cast("long").alias("dist"))
 
@@ -92,7 +105,7 @@ def _catalog() -> dict[str, tuple[Query, str | None]]:
         found[name] = _search(graph, HUBS[graph], method)
 
     base, source = "part_supplier_price", HUBS["part_supplier_price"]
-    search = lambda spark, sf_dir: adaptive_sssp(prepared(spark, sf_dir, base), source)
+    search = lambda spark, sf_dir: searched(spark, sf_dir, base, source)
     arc_tail = "d AS (SELECT v, d FROM t)"
     chain = lambda tail: distances_sql(base, source, f", {arc_tail} {tail}").replace("GROUP BY arc.dst) n\n  LEFT JOIN recurring.t r ON r.v = n.v WHERE r.d IS NULL OR n.d < r.d)\n,", "GROUP BY arc.dst) n\n  LEFT JOIN recurring.t r ON r.v = n.v WHERE r.d IS NULL OR n.d < r.d),")
 
@@ -188,6 +201,7 @@ SELECT x, round(500000 * (dx - 60000) / wmax, 3) AS pushed, round((1500000 - x)
         f"WITH e AS ({EDGES['user_action']}) SELECT CAST(v AS BIGINT) AS v, CAST((SELECT min(a) FROM e) AS BIGINT) AS component FROM (SELECT a AS v FROM e UNION SELECT b FROM e)",
     )
     found.update(relational.CATALOG)
+    found.update(events.QUERIES)
     return found
 
 
