@@ -18,7 +18,10 @@ from __future__ import annotations
 
 import math
 import uuid
+from array import array
+from collections import Counter
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -29,9 +32,10 @@ from pyspark.sql import functions as F
 from .common import Written, map_batches, release, texts
 
 THRESHOLD = 0.8
-BUCKETS = 1 << 20
-CHUNK = 1 << 16
-MEMO = 300_000
+BUCKETS = 1 << 22
+CHUNK = 1 << 18
+MEMO = 600_000
+ROWS = 1_000  # texts taken at once
 NO_ID = -(1 << 63)
 
 
@@ -53,20 +57,20 @@ def _rarity(docs: DataFrame) -> np.ndarray:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(BUCKETS, np.uint32)
         for batch in batches:
-            seen: dict[bytes, int] = {}
+            seen: Counter = Counter()
             for t in texts(batch):
-                for w in t.encode("utf-8", "surrogatepass").lower().split():
-                    seen[w] = seen.get(w, 0) + 1
+                seen.update(t.encode("utf-8", "surrogatepass").lower().split())
             if seen:
-                digest = xxhash.xxh64_intdigest
-                at = np.array([digest(w) & (BUCKETS - 1) for w in seen])
-                total += np.bincount(at, weights=list(seen.values()), minlength=BUCKETS).astype(np.uint32)
-        yield pa.RecordBatch.from_arrays([pa.array(range(0, BUCKETS, CHUNK), pa.int32()), pa.array([total[i : i + CHUNK].tobytes() for i in range(0, BUCKETS, CHUNK)], pa.binary())], names=["at", "counts"])
+                at = np.fromiter(map(xxhash.xxh64_intdigest, seen), np.uint64, len(seen)) & np.uint64(BUCKETS - 1)
+                total += np.bincount(at.astype(np.int64), weights=np.fromiter(seen.values(), np.int64, len(seen)), minlength=BUCKETS).astype(np.uint32)
+        small = np.minimum(total, 65535).astype(np.uint16)
+        for i in range(0, BUCKETS, CHUNK):
+            yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([small[i : i + CHUNK].tobytes()], pa.binary())], names=["at", "counts"])
 
     def add(table: pa.Table) -> pa.Table:
         total = np.zeros(CHUNK, np.uint64)
         for part in table.column("counts").to_pylist():
-            total += np.frombuffer(part, np.uint32)
+            total += np.frombuffer(part, np.uint16)
         code = np.minimum(120, np.round(4 * np.log2(total + 1.0))).astype(np.uint8)
         return pa.table({"at": table.column("at")[:1], "codes": pa.array([code.tobytes()], pa.binary())})
 
@@ -82,13 +86,13 @@ class _Order(dict):
 
     def __init__(self, codes: np.ndarray):
         super().__init__()
-        self.codes = codes
+        self.codes = codes.tobytes()
 
     def __missing__(self, word: bytes) -> int:
         if len(self) >= MEMO:
             self.clear()
         h = xxhash.xxh64_intdigest(word)
-        number = self[word] = (int(self.codes[h & (BUCKETS - 1)]) << 56) | (h >> 8)
+        number = self[word] = (self.codes[h & (BUCKETS - 1)] << 56) | (h >> 8)
         return number
 
 
@@ -99,7 +103,7 @@ POSTING = "token long, doc long, line int, n int, i int"
 def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame:
     """Rows (token, doc, line, n, i): the prefix words of each line, and its whole set as a token with i = -1.
 
-    Of equal sets in a batch only the earliest gives prefix rows: the others are known to go.
+    Of equal sets in a batch those after an earlier one give no prefix rows: they are known to go.
     """
     shared, name = docs.sparkSession.sparkContext.broadcast(codes), uuid.uuid4().hex
 
@@ -107,26 +111,32 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame
         if name not in _ORDERS:
             _ORDERS.clear()
             _ORDERS[name] = _Order(shared.value)
-        order = _ORDERS[name]
-        sets, first, keys = [], {}, []
-        for doc, text in zip(batch.column(0).to_pylist(), texts(batch), strict=True):
-            for k, line in enumerate(text.split("\n")):
-                words = words_of(line)
-                if words:
-                    tokens = sorted(map(order.__getitem__, words))
-                    whole = xxhash.xxh64_intdigest(b" ".join(sorted(words)), 1) >> 1
-                    keys.append(whole)
-                    sets.append((doc, k, len(tokens), tokens[: prefix_size(len(tokens), threshold)]))
-                    if whole not in first or (doc, k) < first[whole]:
-                        first[whole] = (doc, k)
-        columns: tuple[list, ...] = ([], [], [], [], [])
-        for (doc, k, n, prefix), whole in zip(sets, keys, strict=True):
-            rows = [(-1, whole), *(enumerate(prefix) if first[whole] == (doc, k) else ())]
-            columns[0].extend(r[1] for r in rows)
-            columns[4].extend(r[0] for r in rows)
-            for c, v in zip(columns[1:4], (doc, k, n), strict=True):
-                c.extend([v] * len(rows))
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32()), strict=True)], names=["token", "doc", "line", "n", "i"])
+        key, first = _ORDERS[name].__getitem__, {}
+        ids = batch.column(0).to_pylist()
+        for at in range(0, len(ids), ROWS):
+            docs_, lines_, sizes, wholes, prefixes = [], [], [], [], []
+            for doc, text in zip(ids[at : at + ROWS], texts(batch.slice(at, ROWS)), strict=True):
+                for k, line in enumerate(text.encode("utf-8", "surrogatepass").lower().split(b"\n")):
+                    words = set(line.split())
+                    if words:
+                        tokens = sorted(map(key, words))
+                        whole = xxhash.xxh64_intdigest(array("Q", tokens), 1) >> 1
+                        docs_.append(doc)
+                        lines_.append(k)
+                        sizes.append(len(tokens))
+                        wholes.append(whole)
+                        if whole not in first or (doc, k) < first[whole]:
+                            first[whole] = (doc, k)
+                            prefixes.append(tokens[: prefix_size(len(tokens), threshold)])
+                        else:
+                            prefixes.append(())
+            counts = np.fromiter(map(len, prefixes), np.int64, len(prefixes))
+            row = np.concatenate([np.arange(len(sizes)), np.repeat(np.arange(len(sizes)), counts)])
+            rank = np.concatenate([np.full(len(sizes), -1), np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)])
+            token = np.concatenate([np.array(wholes, np.int64), np.fromiter(chain.from_iterable(prefixes), np.int64, int(counts.sum()))])
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(token), pa.array(np.array(docs_, np.int64)[row]), pa.array(np.array(lines_, np.int32)[row]), pa.array(np.array(sizes, np.int32)[row]), pa.array(rank.astype(np.int32))], names=["token", "doc", "line", "n", "i"]
+            )
 
     return map_batches(docs, each, POSTING)
 
