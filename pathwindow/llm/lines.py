@@ -21,6 +21,7 @@ import uuid
 from array import array
 from collections import Counter
 from collections.abc import Iterator
+from functools import reduce
 from itertools import chain
 
 import numpy as np
@@ -36,6 +37,7 @@ BUCKETS = 1 << 22
 CHUNK = 1 << 18
 MEMO = 600_000
 ROWS = 1_000  # texts taken at once
+PASSES = 4
 NO_ID = -(1 << 63)
 
 
@@ -198,9 +200,15 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     doubt = several.select("token", "doc", "line", "n", "i", F.col("ydoc").alias("fdoc"), F.col("yline").alias("fline")).join(first.frame, ["doc", "line"], "left_anti")
     others = several.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "n", "i")))
     unmet = (F.col("ydoc") != F.col("fdoc")) | (F.col("yline") != F.col("fline"))
-    more = Written(doubt.join(others, "token").where(later & unmet & _may_reach(threshold)).select("doc", "line", "ydoc", "yline").distinct(), "lines-pairs")
+    met = []
+    for k in range(PASSES):
+        # by shares of the tokens, so that only a share of the postings is on disk for the join at a time
+        mine = F.pmod(F.xxhash64("token"), F.lit(PASSES)) == k
+        met.append(Written(doubt.where(mine).join(others.where(mine), "token").where(later & unmet & _may_reach(threshold)).select("doc", "line", "ydoc", "yline").distinct(), "lines-pairs"))
+        release(spark)
+    more = Written(reduce(DataFrame.union, (m.frame for m in met)).distinct(), "lines-pairs")
     out = Written(first.frame.union(_verified(more.frame, own, threshold)).distinct(), "lines-removed")
-    for table in (posted, first, more):
+    for table in (posted, first, more, *met):
         table.drop()
     release(spark)
     return out.frame
