@@ -164,7 +164,7 @@ def fit(measured: DataFrame, labels: DataFrame, id_col: str = "doc_id", label_co
     total = marks.count()
     if total > train_rows:
         marks = marks.where(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < int((1 << 20) * train_rows / total))
-    rows = measured.join(marks, "doc_id").select("doc_id", "stats", "y").toPandas().sort_values("doc_id")
+    rows = measured.join(marks, "doc_id").select("doc_id", "stats", "y").toArrow().to_pandas().sort_values("doc_id")
     return grow(np.array(rows["stats"].tolist(), float).reshape(-1, len(NAMES)), rows["y"].to_numpy(float))
 
 

@@ -114,9 +114,9 @@ class Model:
         return 1 / (1 + np.exp(-(a + b * inputs[:, 0] + c * inputs[:, 1])))
 
 
-def log_odds(toxic: dict[str, int], clean: dict[str, int], prior: dict[str, float], weight: float = PRIOR_WEIGHT) -> dict[str, float]:
+def log_odds(toxic: dict[str, int], clean: dict[str, int], prior: dict[str, float], totals: tuple[int, int], weight: float = PRIOR_WEIGHT) -> dict[str, float]:
     """Capped log-odds by token, shrunk to zero where they are within ERRORS standard errors of it."""
-    n1, n0 = sum(toxic.values()) + weight, sum(clean.values()) + weight
+    n1, n0 = (total + weight for total in totals)
     out = {}
     for t in toxic.keys() | clean.keys():
         p = weight * prior.get(t, 0.0) + 0.5
@@ -203,27 +203,40 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     corpus = _counts(texts_of)
     size = Observation()
     corpus = corpus.observe(size, F.sum("n").alias("words"))
-    rows = table.join(corpus, (F.col("token") == F.col("word")) & (F.col("head") == 0), "left").drop("word").withColumn("n", F.coalesce("n", F.lit(0))).toPandas()
-    rows["share"] = rows["n"] / max(1, (size.get or {}).get("words") or 1)
+    told = written(table.join(corpus, (F.col("token") == F.col("word")) & (F.col("head") == 0), "left").drop("word").withColumn("n", F.coalesce("n", F.lit(0))), "toxicity-tokens")
+    words = max(1, (size.get or {}).get("words") or 1)
+    sums = {r["head"]: r for r in told.groupBy("head").agg(*(F.sum(f"{name}{f}").alias(f"{name}{f}") for name in ("toxic", "clean") for f in range(FOLDS + 1))).collect()}
+    # Only tokens whose log-odds stand out in some fold come to the driver; the others would score as unseen ones do.
+    share = F.col("n") / words
+    prior = PRIOR_WEIGHT * share + 0.5
+    stands_out = F.lit(False)
+    for head, r in sums.items():
+        for f in range(FOLDS + 1):
+            a, b = F.col(f"toxic{f}") + prior, F.col(f"clean{f}") + prior
+            delta = F.log(a / (r[f"toxic{f}"] + PRIOR_WEIGHT - a)) - F.log(b / (r[f"clean{f}"] + PRIOR_WEIGHT - b))
+            error = ERRORS * F.sqrt(1 / a + 1 / b)
+            stands_out |= (F.col("head") == head) & F.coalesce((delta > error) | ((-delta - error > -UNSEEN) & F.lit(head == 0)), F.lit(True))
+    rows = told.where(stands_out).withColumn("share", share).toArrow().to_pandas()
 
     def learned(f: int) -> Model:
         """From all rows but those of fold f; f = FOLDS leaves none out."""
         seen = rows[rows[f"toxic{f}"] + rows[f"clean{f}"] > 0]
         toxic, clean, share = ([dict(zip(part["token"], part[c], strict=True)) for part in (seen[seen["head"] == 0], seen[seen["head"] == 1])] for c in (f"toxic{f}", f"clean{f}", "share"))
-        words = log_odds(toxic[0], clean[0], share[0])
+        total = [tuple(sums[head][f"{name}{f}"] if head in sums else 0 for name in ("toxic", "clean")) for head in (0, 1)]
+        words = log_odds(toxic[0], clean[0], share[0], total[0])
         # A head speaks for words that are too rare to speak for themselves; those that do are taken out of its counts.
         for t, v in words.items():
             if v > 0:
                 for head in {t[:size] for size in HEADS}:
                     if head in toxic[1]:
                         toxic[1][head] = max(0, toxic[1][head] - toxic[0][t])
-        heads = log_odds(toxic[1], clean[1], share[1])
+        heads = log_odds(toxic[1], clean[1], share[1], total[1])
         words = {t: v if v > 0 else min(v, UNSEEN) for t, v in words.items()}
         return Model({t: v for t, v in words.items() if v != UNSEEN}, {t: v for t, v in heads.items() if v > 0}, (1.0, 1.0), None)
 
     # Each fold is scored by what the others teach, so the calibration sees no text that its scores were learned from.
     model = learned(FOLDS)
-    scored = _score_inputs(train.select("doc_id", "text", "y", fold), [learned(f) for f in range(FOLDS)]).toPandas()
+    scored = _score_inputs(train.select("doc_id", "text", "y", fold), [learned(f) for f in range(FOLDS)]).toArrow().to_pandas()
     if scored["y"].nunique() < 2:
         return model
     quiet = scored[scored["y"] == 0]
