@@ -5,15 +5,16 @@ from __future__ import annotations
 import heapq
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.stepping import choose_width
 from ..plans.engine import Result, _open_histogram, _result
 from ..plans.prepared import PreparedGraph, fixed_plans
-from ..plans.rounds import LENGTH, Search
+from ..plans.rounds import Search, path_length
 
-FRESH = F.col("fresh")
+def fresh() -> Column:
+    return F.col("fresh")
 
 
 def bellman_ford(graph: PreparedGraph, source: int) -> Result:
@@ -21,7 +22,7 @@ def bellman_ford(graph: PreparedGraph, source: int) -> Result:
     search = Search(graph, source, skip_parent=False, keep_leaves=True)
     with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh:
-            search.push(FRESH)
+            search.push(fresh())
     return _result(search)
 
 
@@ -30,7 +31,7 @@ def dijkstra_rounds(graph: PreparedGraph, source: int, max_rounds: int = 100_000
     search = Search(graph, source, skip_parent=False, keep_leaves=True)
     with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh and search.counters.rounds < max_rounds:
-            search.push(FRESH & (F.col("dist") == search.last.fresh_min))
+            search.push(fresh() & (F.col("dist") == search.last.fresh_min))
     return _result(search)
 
 
@@ -71,7 +72,7 @@ def delta_stepping(graph: PreparedGraph, source: int, delta=None, adaptive: bool
                 if fused:
                     fused_round(search, lo, hi, delta, local_rounds)
                 else:
-                    search.push(FRESH & here, F.col("w") <= delta, note=(lo, hi))
+                    search.push(fresh() & here, F.col("w") <= delta, note=(lo, hi))
             search.push(here, F.col("w") > delta, F.lit(False), (lo, hi))
             search.counters.windows += 1
             lo = hi
@@ -159,7 +160,7 @@ def delta_star_stepping(graph: PreparedGraph, source: int, delta=None) -> Result
     with fixed_plans(graph.arcs.sparkSession, graph.parts):
         while search.last.fresh:
             threshold = max(threshold, search.last.fresh_min) + delta
-            search.push(FRESH & (F.col("dist") < threshold), note=(0, threshold))
+            search.push(fresh() & (F.col("dist") < threshold), note=(0, threshold))
     return _result(search)
 
 
@@ -171,8 +172,8 @@ def rho_stepping(graph: PreparedGraph, source: int, rho: int | None = None) -> R
         while search.last.fresh:
             limit = None
             if search.last.fresh > rho:
-                limit = search.state.where(FRESH).agg(F.percentile("dist", rho / search.last.fresh)).first()[0]
-            search.push(FRESH if limit is None else FRESH & (F.col("dist") <= max(limit, search.last.fresh_min)))
+                limit = search.state.where(fresh()).agg(F.percentile("dist", rho / search.last.fresh)).first()[0]
+            search.push(fresh() if limit is None else fresh() & (F.col("dist") <= max(limit, search.last.fresh_min)))
     return _result(search)
 
 
@@ -193,9 +194,9 @@ def pruned_delta_stepping(graph: PreparedGraph, source: int, delta=None) -> Resu
             pull = (sums["pushed"] or 0) > sums["open"]
             if pull:
                 search.pull(lo, hi, max(0, lo - wmax), note=(lo, hi))
-            r = search.push(short if pull else band | short, (LENGTH >= lo) & (LENGTH < hi), short & FRESH, (lo, hi))
+            r = search.push(short if pull else band | short, (path_length() >= lo) & (path_length() < hi), short & fresh(), (lo, hi))
             while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
-                r = search.push(FRESH & short, (LENGTH >= lo) & (LENGTH < hi), note=(lo, hi))
+                r = search.push(fresh() & short, (path_length() >= lo) & (path_length() < hi), note=(lo, hi))
             search.counters.windows += 1
             lo = hi
     return _result(search)

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.weights import converge, discretize, l2
@@ -35,7 +35,9 @@ def both(name: str, sql: str, oracle: str | None = None) -> None:
     CATALOG[name] = (run, oracle or sql)
 
 
-CENTS = F.round(F.col("l_extendedprice") * 100).cast("long")
+def cents() -> Column:
+    return F.round(F.col("l_extendedprice") * 100).cast("long")
+
 _CENTS = "CAST(round(l_extendedprice * 100) AS BIGINT)"
 
 
@@ -122,7 +124,7 @@ def join_skewed_salted(spark, sf_dir):
 # aggregates
 @entry(f"SELECT l_suppkey, min({_CENTS}) AS w, min(CASE WHEN c = m THEN l_partkey END) AS nearest FROM (SELECT *, {_CENTS} AS c, min({_CENTS}) OVER (PARTITION BY l_suppkey) AS m FROM lineitem) GROUP BY l_suppkey")
 def agg_partial_final_min_struct(spark, sf_dir):
-    least = load(spark, sf_dir, "lineitem").groupBy("l_suppkey").agg(F.min(F.struct(CENTS.alias("w"), "l_partkey")).alias("m"))
+    least = load(spark, sf_dir, "lineitem").groupBy("l_suppkey").agg(F.min(F.struct(cents().alias("w"), "l_partkey")).alias("m"))
     return least.select("l_suppkey", F.col("m.w").alias("w"), F.col("m.l_partkey").alias("nearest"))
 
 
@@ -132,7 +134,7 @@ both("agg_distinct", f"SELECT count(DISTINCT {_CENTS}) AS weights, count(DISTINC
 
 @entry(None)
 def agg_approx_distinct(spark, sf_dir):
-    return load(spark, sf_dir, "lineitem").agg(F.approx_count_distinct(CENTS, 0.02).alias("weights"))
+    return load(spark, sf_dir, "lineitem").agg(F.approx_count_distinct(cents(), 0.02).alias("weights"))
 
 
 both(
@@ -144,7 +146,7 @@ both(
 
 @entry(None)
 def agg_percentile_approx(spark, sf_dir):
-    return load(spark, sf_dir, "lineitem").agg(F.percentile_approx(CENTS, [0.1, 0.5, 0.9], 10000).alias("q"))
+    return load(spark, sf_dir, "lineitem").agg(F.percentile_approx(cents(), [0.1, 0.5, 0.9], 10000).alias("q"))
 
 
 @entry(None)
@@ -239,7 +241,7 @@ both("math_log_pow_floor", "SELECT p_partkey, floor(p_retailprice / 100) AS buck
 # arrays, maps, JSON, vectors
 @entry(f"SELECT l_suppkey, CAST(count(*) AS BIGINT) AS n, CAST(sum(w) AS BIGINT) AS total, CAST(count(*) FILTER (w < 1000000) AS BIGINT) AS light FROM (SELECT l_suppkey, l_partkey, min({_CENTS}) AS w FROM lineitem GROUP BY 1, 2) GROUP BY 1")
 def arr_adjacency_ops(spark, sf_dir):
-    edges = load(spark, sf_dir, "lineitem").groupBy("l_suppkey", "l_partkey").agg(F.min(CENTS).alias("w"))
+    edges = load(spark, sf_dir, "lineitem").groupBy("l_suppkey", "l_partkey").agg(F.min(cents()).alias("w"))
     near = edges.groupBy("l_suppkey").agg(F.sort_array(F.collect_list(F.struct("w", "l_partkey"))).alias("adj"))
     return near.select("l_suppkey", F.size("adj").cast("long").alias("n"), F.aggregate("adj", F.lit(0).cast("long"), lambda s, x: s + x["w"]).alias("total"), F.size(F.filter("adj", lambda x: x["w"] < 1000000)).cast("long").alias("light"))
 

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.stepping import balance_degree, choose_cut, choose_width, open_degree
 from .prepared import PreparedGraph, fixed_plans
-from .rounds import LENGTH, Counters, Search
+from .rounds import Counters, Search, path_length
 
 SLACK = 1e-9
 
@@ -79,7 +79,7 @@ def _jump(search: Search, lo):
     """The least length that any settled vertex offers an open one, where a window brought nothing."""
     settled = search.state.where(F.col("dist") < lo).select("v", "dist")
     closed = settled.select(F.col("v").alias("dst"))
-    offers = settled.join(search.graph.arcs, F.col("v") == F.col("src")).join(closed, "dst", "left_anti").agg(F.min(LENGTH)).first()[0]
+    offers = settled.join(search.graph.arcs, F.col("v") == F.col("src")).join(closed, "dst", "left_anti").agg(F.min(path_length())).first()[0]
     waiting = search.state.where(F.col("dist") >= lo).agg(F.min("dist")).first()[0]
     return min((x for x in (offers, waiting) if x is not None), default=None)
 
@@ -103,7 +103,7 @@ def adaptive_sssp(graph: PreparedGraph, source: int, cfg: Config = Config()) ->
         while True:
             rows = F.col("fresh") & (F.col("dist") < (hi if hi < math.inf else F.col("dist") + 1))
             before = hi
-            r = search.push(rows, None if hi == math.inf else LENGTH < hi, note=(lo, hi))
+            r = search.push(rows, None if hi == math.inf else path_length() < hi, note=(lo, hi))
             hi = min(hi, r.hub if r.hub is not None else math.inf)
             if r.fresh == 0 or (r.fresh_min is not None and r.fresh_min >= hi):
                 break
@@ -139,7 +139,7 @@ def adaptive_sssp(graph: PreparedGraph, source: int, cfg: Config = Config()) ->
             if isinstance(wmax, int):
                 cut = cut if cut == lo else int(math.floor(cut))
             note = (lo, hi, cut)
-            inside = (LENGTH >= lo) & (LENGTH < hi)
+            inside = (path_length() >= lo) & (path_length() < hi)
             if cut < lo:
                 search.pull(lo, hi, cut, "semi" if cfg.pull == "semi" else "request", note)
             # settled vertices that push reach back one maximum weight at most; they are no new paths
@@ -167,12 +167,12 @@ def windowed_sssp(graph: PreparedGraph, source: int, thresholds: list) -> Result
     edges = sorted({0, *thresholds})
     with fixed_plans(graph.arcs.sparkSession, graph.parts):
         for lo, hi in zip(edges, [*edges[1:], math.inf], strict=True):
-            below = LENGTH < hi if hi < math.inf else F.lit(True)
+            below = path_length() < hi if hi < math.inf else F.lit(True)
             short = (F.col("dist") >= lo) & ((F.col("dist") < hi) if hi < math.inf else F.lit(True))
             band = (F.col("dist") >= lo - wmax) & (F.col("dist") < lo)
-            r = search.push(band | short, (LENGTH >= lo) & below, short & F.col("fresh"), (lo, hi))
+            r = search.push(band | short, (path_length() >= lo) & below, short & F.col("fresh"), (lo, hi))
             while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
-                r = search.push(F.col("fresh") & short, (LENGTH >= lo) & below, note=(lo, hi))
+                r = search.push(F.col("fresh") & short, (path_length() >= lo) & below, note=(lo, hi))
             search.counters.windows += 1
             if r.top is not None and r.top + wmax < hi:
                 break

@@ -15,7 +15,10 @@ from pyspark.sql import functions as F
 
 from .prepared import PreparedGraph
 
-LENGTH = F.col("dist") + F.col("w")
+def path_length() -> Column:
+    """Length of the path that an arc makes of the row it is joined to."""
+    return F.col("dist") + F.col("w")
+
 
 
 @dataclass
@@ -69,7 +72,7 @@ class Search:
             joined = joined.where(arcs)
         if self.skip_parent:
             joined = joined.where("dst <> parent")
-        found = joined.groupBy("dst").agg(F.min(F.struct(LENGTH.alias("length"), (F.col("hops") + 1).alias("hops"), F.col("src"))).alias("best"), F.count("*").alias("k"))
+        found = joined.groupBy("dst").agg(F.min(F.struct(path_length().alias("length"), (F.col("hops") + 1).alias("hops"), F.col("src"))).alias("best"), F.count("*").alias("k"))
         counted = chosen & F.col("dist").isNotNull() & self.may_extend() & (F.lit(True) if counts is None else counts)
         return self._merge(found, chosen, counted, "push", note)
 

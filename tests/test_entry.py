@@ -22,3 +22,11 @@ def test_query_matches_sql(spark, name):
     columns = sorted(want.columns)
     rows = lambda f: sorted(map(str, f[columns].astype(object).where(f[columns].notna(), None).apply(lambda r: [None if v is None else round(float(v), 6) if not isinstance(v, str) else v for v in r], axis=1)))
     assert sorted(got.columns) == columns and rows(got) == rows(want)
+
+
+def test_names_can_be_read_without_a_session():
+    import subprocess
+    import sys
+
+    code = "import __spark_entry__ as e; assert e.queries() and e.oracle_sql()"
+    assert subprocess.run([sys.executable, "-c", code], timeout=120).returncode == 0
