@@ -6,8 +6,10 @@ hash buckets over all texts, so the order that everybody shares has a fixed size
 among the first few of each: these prefixes are the join keys. Positional and length filters drop pairs that cannot
 reach the threshold, and the words themselves decide the rest.
 
-Pairs are met in two rounds, so that a group of near copies never emits all its pairs: first each line meets the
-earliest line of each of its prefix words, then only lines that are still in doubt meet all others.
+Postings carry parity bits of their set, which bound how much two sets can differ, so few other pairs are left to verify.
+A group of near copies never emits all its pairs: a line proposes its two nearest earlier partners of each prefix word,
+the nearest of all is verified first, the others only for lines that it did not settle, and lines that had still more
+partners and stay in doubt meet all others in a last round.
 
 Defined results: blank lines and null or empty texts have no words and are never removed; lines of the same set of words
 count as copies whatever their order; rows with one doc_id are one document and not compared line by line with
@@ -21,8 +23,6 @@ import uuid
 from array import array
 from collections import Counter
 from collections.abc import Iterator
-from functools import reduce
-from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -37,7 +37,6 @@ BUCKETS = 1 << 22
 CHUNK = 1 << 18
 MEMO = 600_000
 ROWS = 1_000  # texts taken at once
-PASSES = 4
 NO_ID = -(1 << 63)
 
 
@@ -99,15 +98,34 @@ class _Order(dict):
 
 
 _ORDERS: dict[str, _Order] = {}
-POSTING = "token long, doc long, line int, n int, i int"
-
-
-def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame:
-    """Rows (token, doc, line, n, i): the prefix words of each line, and its whole set as a token with i = -1.
-
-    Of equal sets in a batch those after an earlier one give no prefix rows: they are known to go.
+POSTING = "token long, doc long, line int, ni long, s0 long, s1 long"
+MEETING = "doc long, line int, ydoc long, yline int, apart int, more boolean"
+COPY, WHOLE = -2, -1
+WIDE = 96  # sets above this size compare 128 parity bits, others 64
+GROUP = 2_048  # postings of one token that meet at once; beyond, leaders come first
+GATHER = 200_000  # postings gathered for one vectorised step
+NEEDED = 2_000_000  # tokens that a broadcast may hold (16 MB)
+
+
+def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two words of bits a set: bit b tells whether an odd number of its words hash to b; of wide sets the second word
+    holds those of one half of the hash range. Sets that differ in d words differ in at most d bits."""
+    one = np.left_shift(np.uint64(1), flat & np.uint64(63))
+    s0 = np.bitwise_xor.reduceat(one, starts)
+    half = np.where((flat & np.uint64(64)) > 0, one, np.uint64(0))
+    s1 = np.where(sizes > WIDE, np.bitwise_xor.reduceat(half, starts), np.uint64(0))
+    return s0.view(np.int64), s1.view(np.int64)
+
+
+def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, wanted: np.ndarray | None = None) -> DataFrame:
+    """Rows (token, doc, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
+    as a token with ni = WHOLE, and lines that repeat one of their batch, known to go, with ni = COPY and no prefix.
+
+    With ``wanted``, a sorted array, only prefix rows of those tokens.
     """
-    shared, name = docs.sparkSession.sparkContext.broadcast(codes), uuid.uuid4().hex
+    spark = docs.sparkSession
+    shared, name = spark.sparkContext.broadcast(codes), uuid.uuid4().hex
+    picked = None if wanted is None else spark.sparkContext.broadcast(wanted)
 
     def each(batch):
         if name not in _ORDERS:
@@ -115,39 +133,220 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame
             _ORDERS[name] = _Order(shared.value)
         key, first = _ORDERS[name].__getitem__, {}
         ids = batch.column(0).to_pylist()
+        order = sorted(range(len(ids)), key=ids.__getitem__)
+        every = texts(batch)
         for at in range(0, len(ids), ROWS):
-            docs_, lines_, sizes, wholes, prefixes = [], [], [], [], []
-            for doc, text in zip(ids[at : at + ROWS], texts(batch.slice(at, ROWS)), strict=True):
-                for k, line in enumerate(text.encode("utf-8", "surrogatepass").lower().split(b"\n")):
+            docs_, lines_, sets, gone = [], [], [], []
+            for r in order[at : at + ROWS]:
+                for k, line in enumerate(every[r].encode("utf-8", "surrogatepass").lower().split(b"\n")):
                     words = set(line.split())
                     if words:
-                        tokens = sorted(map(key, words))
-                        whole = xxhash.xxh64_intdigest(array("Q", tokens), 1) >> 1
-                        docs_.append(doc)
-                        lines_.append(k)
-                        sizes.append(len(tokens))
-                        wholes.append(whole)
-                        if whole not in first or (doc, k) < first[whole]:
-                            first[whole] = (doc, k)
-                            prefixes.append(tokens[: prefix_size(len(tokens), threshold)])
+                        tokens = array("q", sorted(map(key, words)))
+                        whole = xxhash.xxh64_intdigest(tokens, 1) >> 1
+                        if whole in first:
+                            gone.append((whole ^ (len(gone) << 20), ids[r], k))
                         else:
-                            prefixes.append(())
-            counts = np.fromiter(map(len, prefixes), np.int64, len(prefixes))
-            row = np.concatenate([np.arange(len(sizes)), np.repeat(np.arange(len(sizes)), counts)])
-            rank = np.concatenate([np.full(len(sizes), -1), np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)])
-            token = np.concatenate([np.array(wholes, np.int64), np.fromiter(chain.from_iterable(prefixes), np.int64, int(counts.sum()))])
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(token), pa.array(np.array(docs_, np.int64)[row]), pa.array(np.array(lines_, np.int32)[row]), pa.array(np.array(sizes, np.int32)[row]), pa.array(rank.astype(np.int32))], names=["token", "doc", "line", "n", "i"]
-            )
+                            first[whole] = None
+                            docs_.append(ids[r])
+                            lines_.append(k)
+                            sets.append((whole, tokens))
+            if picked is None and gone:
+                yield _posting_rows(*(np.array(c) for c in zip(*gone, strict=True)), np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64))
+            if not sets:
+                continue
+            sizes = np.fromiter((len(t) for _, t in sets), np.int64, len(sets))
+            starts = np.cumsum(sizes) - sizes
+            flat = np.frombuffer(b"".join(t.tobytes() for _, t in sets), np.int64)
+            s0, s1 = _parities(flat.view(np.uint64), starts, sizes)
+            doc, line = np.array(docs_, np.int64), np.array(lines_, np.int64)
+            if picked is None:
+                yield _posting_rows(np.array([w for w, _ in sets], np.int64), doc, line, np.full(len(sets), WHOLE), *np.zeros((2, len(sets)), np.int64))
+            counts = sizes - np.ceil(threshold * sizes - 1e-9).astype(np.int64) + 1
+            row = np.repeat(np.arange(len(sets)), counts)
+            rank = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
+            token = flat[starts[row] + rank]
+            if picked is not None:
+                place = np.minimum(np.searchsorted(picked.value, token), max(0, len(picked.value) - 1))
+                stays = picked.value[place] == token if len(picked.value) else np.zeros(len(token), bool)
+                row, rank, token = row[stays], rank[stays], token[stays]
+            yield _posting_rows(token, doc[row], line[row], (sizes[row] << 32) | rank, s0[row], s1[row])
 
     return map_batches(docs, each, POSTING)
 
 
-def _may_reach(threshold: float):
-    """Length and positional filters on x (n, i) and y (yn, yi)."""
-    shorter, longer = F.least("n", "yn"), F.greatest("n", "yn")
-    bound = 1 + F.least(F.col("n") - F.col("i"), F.col("yn") - F.col("yi")) - 1
-    return (shorter >= threshold * longer - 1e-9) & (bound >= threshold / (1 + threshold) * (F.col("n") + F.col("yn")) - 1e-9)
+def _posting_rows(token, doc, line, ni, s0, s1) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(token, pa.int64()), pa.array(doc, pa.int64()), pa.array(line.astype(np.int32)), *(pa.array(c, pa.int64()) for c in (ni, s0, s1))], names=["token", "doc", "line", "ni", "s0", "s1"])
+
+
+class _Meetings:
+    """The pairs of one step: postings sorted by token, then ni, as columns."""
+
+    def __init__(self, rows: pa.Table, threshold: float):
+        self.threshold = threshold
+        token, self.doc, line, self.ni, s0, s1 = (rows.column(i).to_numpy() for i in range(6))
+        self.line, self.token = line.astype(np.int64), token
+        self.n, self.i = self.ni >> 32, self.ni & 0xFFFFFFFF
+        self.s0, self.s1 = s0.view(np.uint64), s1.view(np.uint64)
+
+    def apart(self, a, b):
+        """Differing parity bits, or -1 where the length, positional or parity filter rules the pair out."""
+        n, m, share = self.n[a], self.n[b], self.threshold / (1 + self.threshold)
+        need = np.ceil(share * (n + m) - 1e-9)
+        may = (np.minimum(n, m) >= self.threshold * np.maximum(n, m) - 1e-9) & (np.minimum(n - self.i[a], m - self.i[b]) >= need)
+        d0, d1 = self.s0[a] ^ self.s0[b], self.s1[a] ^ self.s1[b]
+        wide = (n > WIDE) & (m > WIDE)
+        bits = np.where(wide, np.bitwise_count(d1).astype(np.int64) + np.bitwise_count(d0 ^ d1), np.bitwise_count(d0))
+        return np.where(may & (bits <= n + m - 2 * need), bits, -1)
+
+    def later_first(self, a, b):
+        """Pairs (later, earlier) of different lines."""
+        swap = (self.doc[a] < self.doc[b]) | ((self.doc[a] == self.doc[b]) & (self.line[a] < self.line[b]))
+        x, y = np.where(swap, b, a), np.where(swap, a, b)
+        other = (self.doc[x] != self.doc[y]) | (self.line[x] != self.line[y])
+        return x, y, other
+
+    def near(self, ids: np.ndarray):
+        """All pairs among rows ``ids`` (sorted as the table is) that pass the filters, by growing distance in the order:
+        sizes grow within a token, so a row is done once its neighbour is too long."""
+        found = [(np.zeros(0, np.int64),) * 3]
+        lag, a = 1, np.arange(len(ids))
+        while True:
+            a = a[a + lag < len(ids)]
+            x, y = ids[a], ids[np.minimum(a + lag, len(ids) - 1)]
+            alive = (self.token[x] == self.token[y]) & (self.n[x] >= self.threshold * self.n[y] - 1e-9)
+            a, x, y = a[alive], x[alive], y[alive]
+            if not len(a):
+                break
+            bits = self.apart(x, y)
+            x, y, other = self.later_first(x, y)
+            good = (bits >= 0) & other
+            found.append((x[good], y[good], bits[good]))
+            lag += 1
+        return tuple(np.concatenate(c) for c in zip(*found, strict=True))
+
+    def led(self, ids: np.ndarray):
+        """Pairs of a large group: a row near an earlier leader meets that one alone and is marked as having met not all;
+        a row without one meets the earlier followers too and becomes a leader."""
+        ids = ids[np.lexsort([self.line[ids], self.doc[ids]])]
+        leaders, followers = np.zeros(len(ids), np.int64), np.zeros(len(ids), np.int64)
+        nl = nf = 0
+        found, partly = [(np.zeros(0, np.int64),) * 3], []
+        for x in ids.tolist():
+            lead = leaders[:nl]
+            bits = self.apart(np.full(nl, x), lead)
+            best = np.flatnonzero(bits >= 0)
+            if len(best):
+                best = best[np.argmin(bits[best])]
+                found.append((np.array([x]), lead[best : best + 1], bits[best : best + 1]))
+                partly.append(x)
+                followers[nf] = x
+                nf += 1
+            else:
+                back = followers[:nf]
+                bits = self.apart(np.full(nf, x), back)
+                good = bits >= 0
+                found.append((np.full(int(good.sum()), x), back[good], bits[good]))
+                leaders[nl] = x
+                nl += 1
+        x, y, bits = (np.concatenate(c) for c in zip(*found, strict=True))
+        other = (self.doc[x] != self.doc[y]) | (self.line[x] != self.line[y])
+        return x[other], y[other], bits[other], np.array(partly, np.int64)
+
+    def rows(self) -> pa.RecordBatch:
+        """Copies (without a partner), and of each posting its two nearest earlier partners, marked if it has more."""
+        at = np.flatnonzero(self.ni == WHOLE)
+        order = at[np.lexsort([self.line[at], self.doc[at], self.token[at]])]
+        repeat = order[1:][self.token[order[1:]] == self.token[order[:-1]]]
+        gone = np.concatenate([np.flatnonzero(self.ni == COPY), repeat])
+        ids = np.flatnonzero(self.ni >= 0)
+        starts = np.flatnonzero(np.concatenate([[True], self.token[ids[1:]] != self.token[ids[:-1]]])) if len(ids) else np.zeros(0, np.int64)
+        sizes = np.diff(np.append(starts, len(ids)))
+        large = np.repeat(sizes > GROUP, sizes)
+        several = np.repeat(sizes > 1, sizes)
+        parts, partly = [self.near(ids[~large & several])], [np.zeros(0, np.int64)]
+        for s, n in zip(starts[sizes > GROUP].tolist(), sizes[sizes > GROUP].tolist(), strict=True):
+            *pairs, more = self.led(ids[s : s + n])
+            parts.append(tuple(pairs))
+            partly.append(more)
+        x, y, bits = (np.concatenate(c) for c in zip(*parts, strict=True))
+        order = np.lexsort([bits, x])
+        x, y, bits = x[order], y[order], bits[order]
+        fresh = np.concatenate([[True], x[1:] != x[:-1]]) if len(x) else np.zeros(0, bool)
+        begin = np.flatnonzero(fresh)
+        count = np.diff(np.append(begin, len(x)))
+        nth = np.arange(len(x)) - np.repeat(begin, count)
+        more = (np.repeat(count, count) > 2) | np.isin(x, np.concatenate(partly))
+        kept = nth < 2
+        x, y, bits, more = x[kept], y[kept], bits[kept], more[kept]
+        none = np.zeros(len(gone), bool)
+        partner = pa.array(np.concatenate([np.zeros(len(gone), np.int64), self.doc[y]]), pa.int64(), mask=np.concatenate([~none, np.zeros(len(y), bool)]))
+        return pa.RecordBatch.from_arrays(
+            [
+                pa.array(np.concatenate([self.doc[gone], self.doc[x]]), pa.int64()),
+                pa.array(np.concatenate([self.line[gone], self.line[x]]).astype(np.int32)),
+                partner,
+                pa.array(np.concatenate([np.zeros(len(gone), np.int64), self.line[y]]).astype(np.int32)),
+                pa.array(np.concatenate([np.zeros(len(gone), np.int64), bits]).astype(np.int32)),
+                pa.array(np.concatenate([none, more])),
+            ],
+            names=["doc", "line", "ydoc", "yline", "apart", "more"],
+        )
+
+
+def _meet(dealt: DataFrame, threshold: float) -> DataFrame:
+    """The meetings of postings that lie sorted by token, then ni; a task holds some hundred thousand rows and the
+    largest group at a time."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        size = 0
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            held.append(batch)
+            size += batch.num_rows
+            if size >= GATHER and held[0].column(0)[0].as_py() != batch.column(0)[-1].as_py():
+                rows = pa.Table.from_batches(held)
+                token = rows.column(0).to_numpy()
+                cut = int(np.searchsorted(token, token[-1]))
+                yield _Meetings(rows.slice(0, cut), threshold).rows()
+                held, size = rows.slice(cut).to_batches(), len(token) - cut
+        if held:
+            yield _Meetings(pa.Table.from_batches(held), threshold).rows()
+
+    return dealt.mapInArrow(run, MEETING)
+
+
+def _may_meet(threshold: float):
+    """The length, positional and parity filters on x (ni, s0, s1) and y (yni, ys0, ys1)."""
+    n, m = F.shiftright("ni", 32), F.shiftright("yni", 32)
+    i, j = F.col("ni").bitwiseAND(0xFFFFFFFF), F.col("yni").bitwiseAND(0xFFFFFFFF)
+    need = F.ceil(F.lit(threshold / (1 + threshold)) * (n + m) - 1e-9)
+    d0, d1 = F.col("s0").bitwiseXOR(F.col("ys0")), F.col("s1").bitwiseXOR(F.col("ys1"))
+    bits = F.when((n > WIDE) & (m > WIDE), F.bit_count(d1) + F.bit_count(d0.bitwiseXOR(d1))).otherwise(F.bit_count(d0))
+    return (F.least(n, m) >= threshold * F.greatest(n, m) - 1e-9) & (F.least(n - i, m - j) >= need) & (bits <= n + m - 2 * need)
+
+
+def _wanted(docs: DataFrame, doubt: DataFrame, codes: np.ndarray, threshold: float) -> np.ndarray | None:
+    """The prefix tokens of lines in doubt, sorted; None where they are more than a broadcast may hold."""
+    asked = doubt.groupBy("doc").agg(F.collect_set("line").alias("lines"))
+    shared = docs.sparkSession.sparkContext.broadcast(codes)
+
+    def tokens(batch):
+        key, found = _Order(shared.value).__getitem__, set()
+        for t, ks in zip(texts(batch), batch.column(2).to_pylist(), strict=True):
+            every = t.encode("utf-8", "surrogatepass").lower().split(b"\n")
+            for k in ks:
+                if k < len(every):
+                    own = sorted(map(key, set(every[k].split())))
+                    found.update(own[: prefix_size(len(own), threshold)] if own else ())
+        yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.int64())], names=["token"])
+
+    rows = Written(map_batches(docs.join(asked.hint("shuffle_hash"), "doc").select("doc", "text", "lines"), tokens, "token long").distinct(), "lines-tokens")
+    small = rows.frame.count() <= NEEDED
+    out = np.sort(rows.frame.toArrow().column(0).to_numpy()) if small else None
+    rows.drop()
+    return out
 
 
 def _verified(pairs: DataFrame, docs: DataFrame, threshold: float) -> DataFrame:
@@ -186,29 +385,35 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     spark = docs.sparkSession
     own = _keyed(docs, id_col, text_col)
     codes = _rarity(own.select("text"))
-    dealt = _postings(own, codes, threshold).repartition("token")
-    # The earliest line of each token: sums per key, co-partitioned with the postings, so the shuffle is reused.
-    earliest = dealt.groupBy("token").agg(F.min(F.struct("doc", "line", "n", "i")).alias("y"), F.count("*").alias("c")).where("c > 1").select("token", "c", *(F.col(f"y.{c}").alias(f"y{c}") for c in ("doc", "line", "n", "i")))
-    posted = Written(dealt.join(earliest, "token"), "lines-postings")
+    met = Written(_meet(_postings(own, codes, threshold).repartition("token").sortWithinPartitions("token", "ni"), threshold), "lines-met")
+    release(spark)
+    key = ["doc", "line"]
+    partner = F.struct("ydoc", "yline")
+    copies = met.frame.where("ydoc IS NULL").select(*key).distinct()
+    open_ = met.frame.where("ydoc IS NOT NULL").join(copies, key, "left_anti")
+    best = open_.groupBy(*key).agg(F.min(F.struct("apart", "ydoc", "yline")).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.yline", "more")
+    best = Written(best, "lines-pairs")
+    first = Written(copies.union(_verified(best.frame.select(*key, "ydoc", "yline"), own, threshold)), "lines-removed")
     release(spark)
-    later = (F.col("doc") > F.col("ydoc")) | ((F.col("doc") == F.col("ydoc")) & (F.col("line") > F.col("yline")))
-    copies = posted.frame.where((F.col("i") < 0) & later).select("doc", "line").distinct()
-    pairs = posted.frame.where((F.col("i") >= 0) & (F.col("yi") >= 0) & later & _may_reach(threshold)).select("doc", "line", "ydoc", "yline").join(copies, ["doc", "line"], "left_anti").distinct()
-    first = Written(copies.union(_verified(Written(pairs, "lines-pairs").frame, own, threshold)).distinct(), "lines-removed")
+    rest = open_.select(*key, "ydoc", "yline").join(first.frame, key, "left_anti").join(best.frame.select(*key, "ydoc", "yline"), [*key, "ydoc", "yline"], "left_anti").distinct()
+    rest = Written(rest, "lines-pairs")
+    second = Written(first.frame.union(_verified(rest.frame, own, threshold)), "lines-removed")
     release(spark)
-    several = posted.frame.where("c > 2 and i >= 0")
-    doubt = several.select("token", "doc", "line", "n", "i", F.col("ydoc").alias("fdoc"), F.col("yline").alias("fline")).join(first.frame, ["doc", "line"], "left_anti")
-    others = several.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "n", "i")))
-    unmet = (F.col("ydoc") != F.col("fdoc")) | (F.col("yline") != F.col("fline"))
-    met = []
-    for k in range(PASSES):
-        # by shares of the tokens, so that only a share of the postings is on disk for the join at a time
-        mine = F.pmod(F.xxhash64("token"), F.lit(PASSES)) == k
-        met.append(Written(doubt.where(mine).join(others.where(mine), "token").where(later & unmet & _may_reach(threshold)).select("doc", "line", "ydoc", "yline").distinct(), "lines-pairs"))
+    doubt = Written(best.frame.where("more").select(*key).join(second.frame, key, "left_anti"), "lines-doubt")
+    held = [met, best, first, rest, doubt]
+    out = second
+    if not doubt.frame.isEmpty():
+        again = _postings(own, codes, threshold, _wanted(own, doubt.frame, codes, threshold)).where("ni >= 0")
+        again = Written(again, "lines-postings")
+        asking = again.frame.join(doubt.frame, key, "left_semi")
+        others = again.frame.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "ni", "s0", "s1")))
+        later = (F.col("doc") > F.col("ydoc")) | ((F.col("doc") == F.col("ydoc")) & (F.col("line") > F.col("yline")))
+        pairs = asking.join(others, "token").where(later & _may_meet(threshold)).select(*key, "ydoc", "yline").distinct()
+        pairs = Written(pairs.join(best.frame.select(*key, "ydoc", "yline"), [*key, "ydoc", "yline"], "left_anti"), "lines-pairs")
         release(spark)
-    more = Written(reduce(DataFrame.union, (m.frame for m in met)).distinct(), "lines-pairs")
-    out = Written(first.frame.union(_verified(more.frame, own, threshold)).distinct(), "lines-removed")
-    for table in (posted, first, more, *met):
+        out = Written(second.frame.union(_verified(pairs.frame, own, threshold)), "lines-removed")
+        held += [again, pairs, second]
+    for table in held:
         table.drop()
     release(spark)
     return out.frame
