@@ -52,15 +52,19 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text_col).alias("text"))
 
 
+def _bytes(batch: pa.RecordBatch) -> list[bytes]:
+    """The texts of a batch as UTF-8; a null counts as empty."""
+    column = batch.column(batch.schema.get_field_index("text"))
+    return [t or b"" for t in column.cast(pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()).to_pylist()]
+
+
 def _rarity(docs: DataFrame) -> np.ndarray:
     """Coded counts (a byte each, logarithmic) of word hash buckets over all texts."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(BUCKETS, np.uint32)
         for batch in batches:
-            seen: Counter = Counter()
-            for t in texts(batch):
-                seen.update(t.encode("utf-8", "surrogatepass").lower().split())
+            seen = Counter(b"\n".join(_bytes(batch)).lower().split())
             if seen:
                 at = np.fromiter(map(xxhash.xxh64_intdigest, seen), np.uint64, len(seen)) & np.uint64(BUCKETS - 1)
                 total += np.bincount(at.astype(np.int64), weights=np.fromiter(seen.values(), np.int64, len(seen)), minlength=BUCKETS).astype(np.uint32)
@@ -99,12 +103,12 @@ class _Order(dict):
 
 _ORDERS: dict[str, _Order] = {}
 POSTING = "token long, doc long, line int, ni long, s0 long, s1 long"
-MEETING = "doc long, line int, ydoc long, yline int, apart int, more boolean"
+MEETING = "kind int, doc long, line int, ydoc long, yline int, apart int, more boolean, token long, ni long, s0 long, s1 long"
 COPY, WHOLE = -2, -1
+GONE, PAIR, GROUPED = 0, 1, 2
 WIDE = 96  # sets above this size compare 128 parity bits, others 64
 GROUP = 2_048  # postings of one token that meet at once; beyond, leaders come first
 GATHER = 200_000  # postings gathered for one vectorised step
-NEEDED = 2_000_000  # tokens that a broadcast may hold (16 MB)
 
 
 def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -117,15 +121,10 @@ def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[
     return s0.view(np.int64), s1.view(np.int64)
 
 
-def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, wanted: np.ndarray | None = None) -> DataFrame:
+def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame:
     """Rows (token, doc, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
-    as a token with ni = WHOLE, and lines that repeat one of their batch, known to go, with ni = COPY and no prefix.
-
-    With ``wanted``, a sorted array, only prefix rows of those tokens.
-    """
-    spark = docs.sparkSession
-    shared, name = spark.sparkContext.broadcast(codes), uuid.uuid4().hex
-    picked = None if wanted is None else spark.sparkContext.broadcast(wanted)
+    as a token with ni = WHOLE, and lines that repeat one of their batch, known to go, with ni = COPY and no prefix."""
+    shared, name = docs.sparkSession.sparkContext.broadcast(codes), uuid.uuid4().hex
 
     def each(batch):
         if name not in _ORDERS:
@@ -134,11 +133,11 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, wanted: np.n
         key, first = _ORDERS[name].__getitem__, {}
         ids = batch.column(0).to_pylist()
         order = sorted(range(len(ids)), key=ids.__getitem__)
-        every = texts(batch)
+        every = _bytes(batch)
         for at in range(0, len(ids), ROWS):
             docs_, lines_, sets, gone = [], [], [], []
             for r in order[at : at + ROWS]:
-                for k, line in enumerate(every[r].encode("utf-8", "surrogatepass").lower().split(b"\n")):
+                for k, line in enumerate(every[r].lower().split(b"\n")):
                     words = set(line.split())
                     if words:
                         tokens = array("q", sorted(map(key, words)))
@@ -150,7 +149,7 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, wanted: np.n
                             docs_.append(ids[r])
                             lines_.append(k)
                             sets.append((whole, tokens))
-            if picked is None and gone:
+            if gone:
                 yield _posting_rows(*(np.array(c) for c in zip(*gone, strict=True)), np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64))
             if not sets:
                 continue
@@ -159,16 +158,11 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, wanted: np.n
             flat = np.frombuffer(b"".join(t.tobytes() for _, t in sets), np.int64)
             s0, s1 = _parities(flat.view(np.uint64), starts, sizes)
             doc, line = np.array(docs_, np.int64), np.array(lines_, np.int64)
-            if picked is None:
-                yield _posting_rows(np.array([w for w, _ in sets], np.int64), doc, line, np.full(len(sets), WHOLE), *np.zeros((2, len(sets)), np.int64))
+            yield _posting_rows(np.array([w for w, _ in sets], np.int64), doc, line, np.full(len(sets), WHOLE), *np.zeros((2, len(sets)), np.int64))
             counts = sizes - np.ceil(threshold * sizes - 1e-9).astype(np.int64) + 1
             row = np.repeat(np.arange(len(sets)), counts)
             rank = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
             token = flat[starts[row] + rank]
-            if picked is not None:
-                place = np.minimum(np.searchsorted(picked.value, token), max(0, len(picked.value) - 1))
-                stays = picked.value[place] == token if len(picked.value) else np.zeros(len(token), bool)
-                row, rank, token = row[stays], rank[stays], token[stays]
             yield _posting_rows(token, doc[row], line[row], (sizes[row] << 32) | rank, s0[row], s1[row])
 
     return map_batches(docs, each, POSTING)
@@ -179,11 +173,13 @@ def _posting_rows(token, doc, line, ni, s0, s1) -> pa.RecordBatch:
 
 
 class _Meetings:
-    """The pairs of one step: postings sorted by token, then ni, as columns."""
+    """The pairs of one step: postings sorted by token, in columns, here sorted by ni within it."""
 
     def __init__(self, rows: pa.Table, threshold: float):
         self.threshold = threshold
-        token, self.doc, line, self.ni, s0, s1 = (rows.column(i).to_numpy() for i in range(6))
+        columns = [rows.column(i).to_numpy() for i in range(6)]
+        order = np.lexsort([columns[3], columns[0]])
+        token, self.doc, line, self.ni, s0, s1 = (c[order] for c in columns)
         self.line, self.token = line.astype(np.int64), token
         self.n, self.i = self.ni >> 32, self.ni & 0xFFFFFFFF
         self.s0, self.s1 = s0.view(np.uint64), s1.view(np.uint64)
@@ -253,7 +249,7 @@ class _Meetings:
         return x[other], y[other], bits[other], np.array(partly, np.int64)
 
     def rows(self) -> pa.RecordBatch:
-        """Copies (without a partner), and of each posting its two nearest earlier partners, marked if it has more."""
+        """GONE: copies; PAIR: of each posting its two nearest earlier partners, marked if it has more; GROUPED: see below."""
         at = np.flatnonzero(self.ni == WHOLE)
         order = at[np.lexsort([self.line[at], self.doc[at], self.token[at]])]
         repeat = order[1:][self.token[order[1:]] == self.token[order[:-1]]]
@@ -278,23 +274,35 @@ class _Meetings:
         more = (np.repeat(count, count) > 2) | np.isin(x, np.concatenate(partly))
         kept = nth < 2
         x, y, bits, more = x[kept], y[kept], bits[kept], more[kept]
-        none = np.zeros(len(gone), bool)
-        partner = pa.array(np.concatenate([np.zeros(len(gone), np.int64), self.doc[y]]), pa.int64(), mask=np.concatenate([~none, np.zeros(len(y), bool)]))
+        # Groups in which a posting has still more partners are handed on whole, for lines that stay in doubt.
+        handed = ids[np.isin(self.token[ids], np.unique(self.token[x[more]]))]
+        kinds = [(GONE, gone, None), (PAIR, x, y), (GROUPED, handed, None)]
+        sizes = [len(rows) for _, rows, _ in kinds]
+        at = np.concatenate([gone, x, handed])
+        pair = np.repeat([kind == PAIR for kind, _, _ in kinds], sizes)
+        group = np.repeat([kind == GROUPED for kind, _, _ in kinds], sizes)
+        to = at.copy()
+        to[pair] = y
+        apart, marked = np.zeros(len(at), np.int32), np.zeros(len(at), bool)
+        apart[pair], marked[pair] = bits, more
+        of_group = [pa.array(c, pa.int64(), mask=~group) for c in (self.token[at], self.ni[at], self.s0.view(np.int64)[at], self.s1.view(np.int64)[at])]
         return pa.RecordBatch.from_arrays(
             [
-                pa.array(np.concatenate([self.doc[gone], self.doc[x]]), pa.int64()),
-                pa.array(np.concatenate([self.line[gone], self.line[x]]).astype(np.int32)),
-                partner,
-                pa.array(np.concatenate([np.zeros(len(gone), np.int64), self.line[y]]).astype(np.int32)),
-                pa.array(np.concatenate([np.zeros(len(gone), np.int64), bits]).astype(np.int32)),
-                pa.array(np.concatenate([none, more])),
+                pa.array(np.repeat(np.array([GONE, PAIR, GROUPED], np.int32), sizes)),
+                pa.array(self.doc[at]),
+                pa.array(self.line[at].astype(np.int32)),
+                pa.array(self.doc[to], mask=~pair),
+                pa.array(self.line[to].astype(np.int32), mask=~pair),
+                pa.array(apart),
+                pa.array(marked),
+                *of_group,
             ],
-            names=["doc", "line", "ydoc", "yline", "apart", "more"],
+            names=["kind", "doc", "line", "ydoc", "yline", "apart", "more", "token", "ni", "s0", "s1"],
         )
 
 
 def _meet(dealt: DataFrame, threshold: float) -> DataFrame:
-    """The meetings of postings that lie sorted by token, then ni; a task holds some hundred thousand rows and the
+    """The meetings of postings that lie sorted by token; a task holds some hundred thousand rows and the
     largest group at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -327,51 +335,33 @@ def _may_meet(threshold: float):
     return (F.least(n, m) >= threshold * F.greatest(n, m) - 1e-9) & (F.least(n - i, m - j) >= need) & (bits <= n + m - 2 * need)
 
 
-def _wanted(docs: DataFrame, doubt: DataFrame, codes: np.ndarray, threshold: float) -> np.ndarray | None:
-    """The prefix tokens of lines in doubt, sorted; None where they are more than a broadcast may hold."""
-    asked = doubt.groupBy("doc").agg(F.collect_set("line").alias("lines"))
-    shared = docs.sparkSession.sparkContext.broadcast(codes)
-
-    def tokens(batch):
-        key, found = _Order(shared.value).__getitem__, set()
-        for t, ks in zip(texts(batch), batch.column(2).to_pylist(), strict=True):
-            every = t.encode("utf-8", "surrogatepass").lower().split(b"\n")
-            for k in ks:
-                if k < len(every):
-                    own = sorted(map(key, set(every[k].split())))
-                    found.update(own[: prefix_size(len(own), threshold)] if own else ())
-        yield pa.RecordBatch.from_arrays([pa.array(list(found), pa.int64())], names=["token"])
-
-    rows = Written(map_batches(docs.join(asked.hint("shuffle_hash"), "doc").select("doc", "text", "lines"), tokens, "token long").distinct(), "lines-tokens")
-    small = rows.frame.count() <= NEEDED
-    out = np.sort(rows.frame.toArrow().column(0).to_numpy()) if small else None
-    rows.drop()
-    return out
-
-
-def _verified(pairs: DataFrame, docs: DataFrame, threshold: float) -> DataFrame:
-    """(doc, line) of the pairs' later lines whose words prove the similarity."""
-    asked = pairs.select("doc", "line").union(pairs.select("ydoc", "yline")).groupBy("doc").agg(F.collect_set("line").alias("lines"))
+def _words(lines: DataFrame, docs: DataFrame) -> Written:
+    """(doc, line, words) of lines (doc, line), which may repeat."""
+    asked = lines.groupBy("doc").agg(F.collect_set("line").alias("lines"))
 
     def fetch(batch):
         doc, line, words = [], [], []
-        for d, t, ks in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-            all_lines = (t or "").split("\n")
+        for d, t, ks in zip(batch.column(0).to_pylist(), _bytes(batch), batch.column(2).to_pylist(), strict=True):
+            every = t.split(b"\n")
             for k in ks:
-                if k < len(all_lines):
+                if k < len(every):
                     doc.append(d)
                     line.append(k)
-                    words.append(all_lines[k])
-        yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(line, pa.int32()), pa.array(words, pa.string())], names=["doc", "line", "words"])
+                    words.append(every[k].lower())
+        yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(line, pa.int32()), pa.array(words, pa.binary())], names=["doc", "line", "words"])
 
-    told = Written(map_batches(docs.join(asked.hint("shuffle_hash"), "doc").select("doc", "text", "lines"), fetch, "doc long, line int, words string"), "lines-words")
-    x, y = told.frame, told.frame.select(F.col("doc").alias("ydoc"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
+    return Written(map_batches(docs.join(asked.hint("shuffle_hash"), "doc").select("doc", "text", "lines"), fetch, "doc long, line int, words binary"), "lines-words")
+
+
+def _verified(pairs: DataFrame, words: DataFrame, threshold: float) -> DataFrame:
+    """(doc, line) of the pairs' later lines whose words prove the similarity."""
+    x, y = words, words.select(F.col("doc").alias("ydoc"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
     both = pairs.join(x, ["doc", "line"]).join(y, ["ydoc", "yline"]).select("doc", "line", "words", "ywords")
 
     def check(batch):
         good = []
         for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-            s, t = words_of(a), words_of(b)
+            s, t = set(a.split()), set(b.split())
             common = len(s & t)
             good.append(common >= threshold * (len(s) + len(t) - common) - 1e-9)
         kept = batch.filter(pa.array(good))
@@ -385,35 +375,29 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     spark = docs.sparkSession
     own = _keyed(docs, id_col, text_col)
     codes = _rarity(own.select("text"))
-    met = Written(_meet(_postings(own, codes, threshold).repartition("token").sortWithinPartitions("token", "ni"), threshold), "lines-met")
+    met = Written(_meet(_postings(own, codes, threshold).repartition("token").sortWithinPartitions("token"), threshold), "lines-met")
     release(spark)
     key = ["doc", "line"]
-    partner = F.struct("ydoc", "yline")
-    copies = met.frame.where("ydoc IS NULL").select(*key).distinct()
-    open_ = met.frame.where("ydoc IS NOT NULL").join(copies, key, "left_anti")
-    best = open_.groupBy(*key).agg(F.min(F.struct("apart", "ydoc", "yline")).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.yline", "more")
-    best = Written(best, "lines-pairs")
-    first = Written(copies.union(_verified(best.frame.select(*key, "ydoc", "yline"), own, threshold)), "lines-removed")
+    ends = [*key, "ydoc", "yline"]
+    copies = Written(met.frame.where(F.col("kind") == GONE).select(*key).distinct(), "lines-removed")
+    pairs = Written(
+        met.frame.where(F.col("kind") == PAIR).groupBy(*ends).agg(F.min("apart").alias("apart"), F.max("more").alias("more")).join(copies.frame, key, "left_anti"),
+        "lines-pairs",
+    )
+    grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *key, "ni", "s0", "s1")
+    words = _words(pairs.frame.select(*key).union(pairs.frame.select("ydoc", "yline")).union(grouped.select(*key)), own)
     release(spark)
-    rest = open_.select(*key, "ydoc", "yline").join(first.frame, key, "left_anti").join(best.frame.select(*key, "ydoc", "yline"), [*key, "ydoc", "yline"], "left_anti").distinct()
-    rest = Written(rest, "lines-pairs")
-    second = Written(first.frame.union(_verified(rest.frame, own, threshold)), "lines-removed")
+    best = Written(pairs.frame.groupBy(*key).agg(F.min(F.struct("apart", "ydoc", "yline")).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.yline", "more"), "lines-best")
+    first = Written(copies.frame.union(_verified(best.frame.select(*ends), words.frame, threshold)), "lines-removed")
+    rest = pairs.frame.select(*ends).join(first.frame, key, "left_anti").join(best.frame.select(*ends), ends, "left_anti")
+    second = Written(first.frame.union(_verified(rest, words.frame, threshold)), "lines-removed")
     release(spark)
-    doubt = Written(best.frame.where("more").select(*key).join(second.frame, key, "left_anti"), "lines-doubt")
-    held = [met, best, first, rest, doubt]
-    out = second
-    if not doubt.frame.isEmpty():
-        again = _postings(own, codes, threshold, _wanted(own, doubt.frame, codes, threshold)).where("ni >= 0")
-        again = Written(again, "lines-postings")
-        asking = again.frame.join(doubt.frame, key, "left_semi")
-        others = again.frame.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "ni", "s0", "s1")))
-        later = (F.col("doc") > F.col("ydoc")) | ((F.col("doc") == F.col("ydoc")) & (F.col("line") > F.col("yline")))
-        pairs = asking.join(others, "token").where(later & _may_meet(threshold)).select(*key, "ydoc", "yline").distinct()
-        pairs = Written(pairs.join(best.frame.select(*key, "ydoc", "yline"), [*key, "ydoc", "yline"], "left_anti"), "lines-pairs")
-        release(spark)
-        out = Written(second.frame.union(_verified(pairs.frame, own, threshold)), "lines-removed")
-        held += [again, pairs, second]
-    for table in held:
+    asking = grouped.join(best.frame.where("more").select(*key).join(second.frame, key, "left_anti"), key, "left_semi")
+    others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "ni", "s0", "s1")))
+    later = (F.col("doc") > F.col("ydoc")) | ((F.col("doc") == F.col("ydoc")) & (F.col("line") > F.col("yline")))
+    others = asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).distinct().join(pairs.frame.select(*ends), ends, "left_anti")
+    out = Written(second.frame.union(_verified(others, words.frame, threshold)), "lines-removed")
+    for table in (met, copies, pairs, words, best, first, second):
         table.drop()
     release(spark)
     return out.frame
