@@ -385,7 +385,7 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
         "lines-pairs",
     )
     grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *key, "ni", "s0", "s1")
-    words = _words(pairs.frame.select(*key).union(pairs.frame.select("ydoc", "yline")).union(grouped.select(*key)), own)
+    words = _words(pairs.frame.select(*key).union(pairs.frame.select("ydoc", "yline")), own)
     release(spark)
     best = Written(pairs.frame.groupBy(*key).agg(F.min(F.struct("apart", "ydoc", "yline")).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.yline", "more"), "lines-best")
     first = Written(copies.frame.union(_verified(best.frame.select(*ends), words.frame, threshold)), "lines-removed")
@@ -395,9 +395,11 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     asking = grouped.join(best.frame.where("more").select(*key).join(second.frame, key, "left_anti"), key, "left_semi")
     others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "ni", "s0", "s1")))
     later = (F.col("doc") > F.col("ydoc")) | ((F.col("doc") == F.col("ydoc")) & (F.col("line") > F.col("yline")))
-    others = asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).distinct().join(pairs.frame.select(*ends), ends, "left_anti")
-    out = Written(second.frame.union(_verified(others, words.frame, threshold)), "lines-removed")
-    for table in (met, copies, pairs, words, best, first, second):
+    others = Written(asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).distinct().join(pairs.frame.select(*ends), ends, "left_anti"), "lines-pairs")
+    words.drop()
+    words = _words(others.frame.select(*key).union(others.frame.select("ydoc", "yline")), own)
+    out = Written(second.frame.union(_verified(others.frame, words.frame, threshold)), "lines-removed")
+    for table in (met, copies, pairs, words, best, first, second, others):
         table.drop()
     release(spark)
     return out.frame
