@@ -143,9 +143,10 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame
                         tokens = array("q", sorted(map(key, words)))
                         whole = xxhash.xxh64_intdigest(tokens, 1) >> 1
                         if whole in first:
-                            gone.append((whole ^ (len(gone) << 20), ids[r], k))
+                            if first[whole] != (ids[r], k):
+                                gone.append((whole ^ (len(gone) << 20), ids[r], k))
                         else:
-                            first[whole] = None
+                            first[whole] = (ids[r], k)
                             docs_.append(ids[r])
                             lines_.append(k)
                             sets.append((whole, tokens))
@@ -252,7 +253,10 @@ class _Meetings:
         """GONE: copies; PAIR: of each posting its two nearest earlier partners, marked if it has more; GROUPED: see below."""
         at = np.flatnonzero(self.ni == WHOLE)
         order = at[np.lexsort([self.line[at], self.doc[at], self.token[at]])]
-        repeat = order[1:][self.token[order[1:]] == self.token[order[:-1]]]
+        # A repeated row of one document is the same line, not a copy of it.
+        opens = np.flatnonzero(np.concatenate([[True], self.token[order[1:]] != self.token[order[:-1]]])) if len(order) else np.zeros(0, np.int64)
+        lead = np.repeat(order[opens], np.diff(np.append(opens, len(order))))
+        repeat = order[(self.doc[order] != self.doc[lead]) | (self.line[order] != self.line[lead])]
         gone = np.concatenate([np.flatnonzero(self.ni == COPY), repeat])
         ids = np.flatnonzero(self.ni >= 0)
         starts = np.flatnonzero(np.concatenate([[True], self.token[ids[1:]] != self.token[ids[:-1]]])) if len(ids) else np.zeros(0, np.int64)
