@@ -1,4 +1,7 @@
+import numpy as np
+
 import corpus_pipeline
+from pathwindow.llm import shingles
 
 SF = "/root/testdata/sf0.001"
 
@@ -11,3 +14,30 @@ def test_pipeline_runs_and_packs_all_that_is_left(spark):
     assert first.columns == docs.columns and first.count() == first.select("doc_id").distinct().count() < docs.count()
     rows = corpus_pipeline.run(spark, SF)
     assert {"doc_id", "piece", "sequence_id"} <= set(rows.columns) and rows.count() > 0
+
+
+def test_near_dedup_links_by_the_similarity_of_shingle_sets(spark):
+    rng = np.random.default_rng(5)
+    words = lambda n: [f"w{k}" for k in rng.integers(0, 10**6, n)]
+    texts = []
+    for n in (60, 150, 400):
+        for changes in (0, 1, 2, 3, 4, 5, 6, 8):
+            base = words(n)
+            for _ in range(6):
+                other = list(base)
+                for at in rng.choice(n, changes, False):
+                    other[at] = "x" + other[at]
+                texts += [" ".join(base), " ".join(other)]
+    passage = words(200)
+    texts += [" ".join(passage), " ".join(passage * 2), None, "", " ", "short one", "Short ONE", "a b c d e"]
+    sets = [shingles.set_of(t or "") for t in texts]
+    root = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(np.intersect1d(sets[i], sets[j]))
+            if root[i] != root[j] and both >= 0.8 * (len(sets[i]) + len(sets[j]) - both):
+                a, b = sorted((root[i], root[j]))
+                root = [a if r == b else r for r in root]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    left = {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, SF).collect()}
+    assert left == set(root)
