@@ -222,12 +222,6 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return group(written(fingerprints(docs, id_col, text_col, shingle), "simhash-prints"), radius, ratio)
 
 
-def keep_first(docs: DataFrame, grouped: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """The documents that lead their group, all columns kept; of rows that share an id one stays."""
-    leads = grouped.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__lead")).distinct()
-    return docs.join(leads, F.col(id_col).eqNullSafe(F.col("__lead")), "left_semi").dropDuplicates([id_col])
-
-
 def digest(grouped: DataFrame) -> DataFrame:
     """The contract's columns from the operator's own output."""
     return grouped.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

@@ -41,3 +41,11 @@ def test_near_dedup_links_by_the_similarity_of_shingle_sets(spark):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     left = {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, SF).collect()}
     assert left == set(root)
+
+
+def test_near_dedup_drops_copies_only_never_by_id(spark):
+    text = lambda k: " ".join(f"w{k}x{i}" for i in range(30))
+    rows = [(None, text(k), k) for k in range(20)] + [(None, text(3), 99), (7, text(50), 0), (7, text(51), 0), (7, text(50), 0), (8, text(50), 1), (9, text(4), 2), (6, text(60), 0), (6, text(60), 0)]
+    left = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id long, text string, other int"), SF).collect()
+    assert len(left) == 23 and {r.text for r in left} == {r[1] for r in rows}
+    assert {r.doc_id for r in left if r.text in (text(50), text(4))} == {7, 9} and sum(r.doc_id is None for r in left) == 19
