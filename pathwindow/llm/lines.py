@@ -12,8 +12,9 @@ the nearest of all is verified first, the others only for lines that it did not
 partners and stay in doubt meet all others in a last round.
 
 Defined results: blank lines and null or empty texts have no words and are never removed; lines of the same set of words
-count as copies whatever their order; rows with one doc_id are one document and not compared line by line with
-themselves; a null doc_id orders before all others; extra columns are ignored or, in ``rewrite``, kept.
+count as copies whatever their order; rows of one doc_id are one document and not compared line by line with
+themselves if their texts are equal; different texts under one doc_id, or under none, are documents of their own, told
+apart by a hash of the text and ordered by it; a null doc_id orders before all others; extra columns are ignored or, in ``rewrite``, kept.
 """
 
 from __future__ import annotations
@@ -38,6 +39,7 @@ CHUNK = 1 << 18
 MEMO = 600_000
 ROWS = 1_000  # texts taken at once
 NO_ID = -(1 << 63)
+CLASHING = 1_000_000  # repeated ids that are broadcast; more are joined by a shuffle
 
 
 def words_of(line: str) -> set[bytes]:
@@ -49,7 +51,17 @@ def prefix_size(n: int, threshold: float = THRESHOLD) -> int:
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text_col).alias("text"))
+    """The documents with their key (doc, mark): the id, or NO_ID; and a hash of the text where the id does not tell the
+    document alone, 0 elsewhere, so that marks cost next to nothing where ids are unique."""
+    doc, mark = F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)), F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
+    owned = docs.where(F.col(id_col).isNotNull()).select(doc.alias("doc"), mark.alias("mark"))
+    clashing = Written(owned.groupBy("doc").agg(F.min("mark").alias("lo"), F.max("mark").alias("hi")).where("lo <> hi").select(F.col("doc").alias("__clash")), "lines-clashing").frame
+    n = clashing.count()
+    keyed = docs.withColumns({"doc": doc, "mark": mark})
+    if not n:
+        return keyed.withColumn("mark", F.when(F.col("doc") == NO_ID, F.col("mark")).otherwise(F.lit(0).cast("long")))
+    joined = keyed.join(F.broadcast(clashing) if n <= CLASHING else clashing, F.col("doc") == F.col("__clash"), "left")
+    return joined.withColumn("mark", F.when((F.col("doc") == NO_ID) | F.col("__clash").isNotNull(), F.col("mark")).otherwise(F.lit(0).cast("long"))).drop("__clash")
 
 
 def _bytes(batch: pa.RecordBatch) -> list[bytes]:
@@ -102,8 +114,8 @@ class _Order(dict):
 
 
 _ORDERS: dict[str, _Order] = {}
-POSTING = "token long, doc long, line int, ni long, s0 long, s1 long"
-MEETING = "kind int, doc long, line int, ydoc long, yline int, apart int, more boolean, token long, ni long, s0 long, s1 long"
+POSTING = "token long, doc long, mark long, line int, ni long, s0 long, s1 long"
+MEETING = "kind int, doc long, mark long, line int, ydoc long, ymark long, yline int, apart int, more boolean, token long, ni long, s0 long, s1 long"
 COPY, WHOLE = -2, -1
 GONE, PAIR, GROUPED = 0, 1, 2
 WIDE = 96  # sets above this size compare 128 parity bits, others 64
@@ -122,7 +134,7 @@ def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[
 
 
 def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame:
-    """Rows (token, doc, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
+    """Rows (token, doc, mark, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
     as a token with ni = WHOLE, and lines that repeat one of their batch, known to go, with ni = COPY and no prefix."""
     shared, name = docs.sparkSession.sparkContext.broadcast(codes), uuid.uuid4().hex
 
@@ -131,7 +143,7 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame
             _ORDERS.clear()
             _ORDERS[name] = _Order(shared.value)
         key, first = _ORDERS[name].__getitem__, {}
-        ids = batch.column(0).to_pylist()
+        ids = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True))
         order = sorted(range(len(ids)), key=ids.__getitem__)
         every = _bytes(batch)
         for at in range(0, len(ids), ROWS):
@@ -143,10 +155,10 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame
                         tokens = array("q", sorted(map(key, words)))
                         whole = xxhash.xxh64_intdigest(tokens, 1) >> 1
                         if whole in first:
-                            if first[whole] != (ids[r], k):
-                                gone.append((whole ^ (len(gone) << 20), ids[r], k))
+                            if first[whole] != (*ids[r], k):
+                                gone.append((whole ^ (len(gone) << 20), *ids[r], k))
                         else:
-                            first[whole] = (ids[r], k)
+                            first[whole] = (*ids[r], k)
                             docs_.append(ids[r])
                             lines_.append(k)
                             sets.append((whole, tokens))
@@ -158,19 +170,19 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame
             starts = np.cumsum(sizes) - sizes
             flat = np.frombuffer(b"".join(t.tobytes() for _, t in sets), np.int64)
             s0, s1 = _parities(flat.view(np.uint64), starts, sizes)
-            doc, line = np.array(docs_, np.int64), np.array(lines_, np.int64)
-            yield _posting_rows(np.array([w for w, _ in sets], np.int64), doc, line, np.full(len(sets), WHOLE), *np.zeros((2, len(sets)), np.int64))
+            (doc, mark), line = np.array(docs_, np.int64).T, np.array(lines_, np.int64)
+            yield _posting_rows(np.array([w for w, _ in sets], np.int64), doc, mark, line, np.full(len(sets), WHOLE), *np.zeros((2, len(sets)), np.int64))
             counts = sizes - np.ceil(threshold * sizes - 1e-9).astype(np.int64) + 1
             row = np.repeat(np.arange(len(sets)), counts)
             rank = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
             token = flat[starts[row] + rank]
-            yield _posting_rows(token, doc[row], line[row], (sizes[row] << 32) | rank, s0[row], s1[row])
+            yield _posting_rows(token, doc[row], mark[row], line[row], (sizes[row] << 32) | rank, s0[row], s1[row])
 
     return map_batches(docs, each, POSTING)
 
 
-def _posting_rows(token, doc, line, ni, s0, s1) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(token, pa.int64()), pa.array(doc, pa.int64()), pa.array(line.astype(np.int32)), *(pa.array(c, pa.int64()) for c in (ni, s0, s1))], names=["token", "doc", "line", "ni", "s0", "s1"])
+def _posting_rows(token, doc, mark, line, ni, s0, s1) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(token, pa.int64()), pa.array(doc, pa.int64()), pa.array(mark, pa.int64()), pa.array(line.astype(np.int32)), *(pa.array(c, pa.int64()) for c in (ni, s0, s1))], names=["token", "doc", "mark", "line", "ni", "s0", "s1"])
 
 
 class _Meetings:
@@ -178,9 +190,9 @@ class _Meetings:
 
     def __init__(self, rows: pa.Table, threshold: float):
         self.threshold = threshold
-        columns = [rows.column(i).to_numpy() for i in range(6)]
-        order = np.lexsort([columns[3], columns[0]])
-        token, self.doc, line, self.ni, s0, s1 = (c[order] for c in columns)
+        columns = [rows.column(i).to_numpy() for i in range(7)]
+        order = np.lexsort([columns[4], columns[0]])
+        token, self.doc, self.mark, line, self.ni, s0, s1 = (c[order] for c in columns)
         self.line, self.token = line.astype(np.int64), token
         self.n, self.i = self.ni >> 32, self.ni & 0xFFFFFFFF
         self.s0, self.s1 = s0.view(np.uint64), s1.view(np.uint64)
@@ -195,12 +207,17 @@ class _Meetings:
         bits = np.where(wide, np.bitwise_count(d1).astype(np.int64) + np.bitwise_count(d0 ^ d1), np.bitwise_count(d0))
         return np.where(may & (bits <= n + m - 2 * need), bits, -1)
 
+    def other(self, a, b):
+        """Whether these are different lines."""
+        return (self.doc[a] != self.doc[b]) | (self.mark[a] != self.mark[b]) | (self.line[a] != self.line[b])
+
     def later_first(self, a, b):
         """Pairs (later, earlier) of different lines."""
-        swap = (self.doc[a] < self.doc[b]) | ((self.doc[a] == self.doc[b]) & (self.line[a] < self.line[b]))
+        same = self.doc[a] == self.doc[b]
+        before = (self.mark[a] < self.mark[b]) | ((self.mark[a] == self.mark[b]) & (self.line[a] < self.line[b]))
+        swap = (self.doc[a] < self.doc[b]) | (same & before)
         x, y = np.where(swap, b, a), np.where(swap, a, b)
-        other = (self.doc[x] != self.doc[y]) | (self.line[x] != self.line[y])
-        return x, y, other
+        return x, y, self.other(x, y)
 
     def near(self, ids: np.ndarray):
         """All pairs among rows ``ids`` (sorted as the table is) that pass the filters, by growing distance in the order:
@@ -224,7 +241,7 @@ class _Meetings:
     def led(self, ids: np.ndarray):
         """Pairs of a large group: a row near an earlier leader meets that one alone and is marked as having met not all;
         a row without one meets the earlier followers too and becomes a leader."""
-        ids = ids[np.lexsort([self.line[ids], self.doc[ids]])]
+        ids = ids[np.lexsort([self.line[ids], self.mark[ids], self.doc[ids]])]
         leaders, followers = np.zeros(len(ids), np.int64), np.zeros(len(ids), np.int64)
         nl = nf = 0
         found, partly = [(np.zeros(0, np.int64),) * 3], []
@@ -246,17 +263,17 @@ class _Meetings:
                 leaders[nl] = x
                 nl += 1
         x, y, bits = (np.concatenate(c) for c in zip(*found, strict=True))
-        other = (self.doc[x] != self.doc[y]) | (self.line[x] != self.line[y])
+        other = self.other(x, y)
         return x[other], y[other], bits[other], np.array(partly, np.int64)
 
     def rows(self) -> pa.RecordBatch:
         """GONE: copies; PAIR: of each posting its two nearest earlier partners, marked if it has more; GROUPED: see below."""
         at = np.flatnonzero(self.ni == WHOLE)
-        order = at[np.lexsort([self.line[at], self.doc[at], self.token[at]])]
+        order = at[np.lexsort([self.line[at], self.mark[at], self.doc[at], self.token[at]])]
         # A repeated row of one document is the same line, not a copy of it.
         opens = np.flatnonzero(np.concatenate([[True], self.token[order[1:]] != self.token[order[:-1]]])) if len(order) else np.zeros(0, np.int64)
         lead = np.repeat(order[opens], np.diff(np.append(opens, len(order))))
-        repeat = order[(self.doc[order] != self.doc[lead]) | (self.line[order] != self.line[lead])]
+        repeat = order[self.other(order, lead)]
         gone = np.concatenate([np.flatnonzero(self.ni == COPY), repeat])
         ids = np.flatnonzero(self.ni >= 0)
         starts = np.flatnonzero(np.concatenate([[True], self.token[ids[1:]] != self.token[ids[:-1]]])) if len(ids) else np.zeros(0, np.int64)
@@ -294,14 +311,16 @@ class _Meetings:
             [
                 pa.array(np.repeat(np.array([GONE, PAIR, GROUPED], np.int32), sizes)),
                 pa.array(self.doc[at]),
+                pa.array(self.mark[at]),
                 pa.array(self.line[at].astype(np.int32)),
                 pa.array(self.doc[to], mask=~pair),
+                pa.array(self.mark[to], mask=~pair),
                 pa.array(self.line[to].astype(np.int32), mask=~pair),
                 pa.array(apart),
                 pa.array(marked),
                 *of_group,
             ],
-            names=["kind", "doc", "line", "ydoc", "yline", "apart", "more", "token", "ni", "s0", "s1"],
+            names=["kind", "doc", "mark", "line", "ydoc", "ymark", "yline", "apart", "more", "token", "ni", "s0", "s1"],
         )
 
 
@@ -340,68 +359,70 @@ def _may_meet(threshold: float):
 
 
 def _words(lines: DataFrame, docs: DataFrame) -> Written:
-    """(doc, line, words) of lines (doc, line), which may repeat."""
-    asked = lines.groupBy("doc").agg(F.collect_set("line").alias("lines"))
+    """(doc, mark, line, words) of lines (doc, mark, line), which may repeat."""
+    asked = lines.groupBy("doc", "mark").agg(F.collect_set("line").alias("lines"))
 
     def fetch(batch):
-        doc, line, words = [], [], []
-        for d, t, ks in zip(batch.column(0).to_pylist(), _bytes(batch), batch.column(2).to_pylist(), strict=True):
+        doc, mark, line, words = [], [], [], []
+        for d, m, t, ks in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), _bytes(batch), batch.column(3).to_pylist(), strict=True):
             every = t.split(b"\n")
             for k in ks:
                 if k < len(every):
                     doc.append(d)
+                    mark.append(m)
                     line.append(k)
                     words.append(every[k].lower())
-        yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(line, pa.int32()), pa.array(words, pa.binary())], names=["doc", "line", "words"])
+        yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(mark, pa.int64()), pa.array(line, pa.int32()), pa.array(words, pa.binary())], names=["doc", "mark", "line", "words"])
 
-    return Written(map_batches(docs.join(asked.hint("shuffle_hash"), "doc").select("doc", "text", "lines"), fetch, "doc long, line int, words binary"), "lines-words")
+    return Written(map_batches(docs.join(asked.hint("shuffle_hash"), ["doc", "mark"]).select("doc", "mark", "text", "lines"), fetch, "doc long, mark long, line int, words binary"), "lines-words")
 
 
 def _verified(pairs: DataFrame, words: DataFrame, threshold: float) -> DataFrame:
-    """(doc, line) of the pairs' later lines whose words prove the similarity."""
-    x, y = words, words.select(F.col("doc").alias("ydoc"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
-    both = pairs.join(x, ["doc", "line"]).join(y, ["ydoc", "yline"]).select("doc", "line", "words", "ywords")
+    """(doc, mark, line) of the pairs' later lines whose words prove the similarity."""
+    x, y = words, words.select(F.col("doc").alias("ydoc"), F.col("mark").alias("ymark"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
+    both = pairs.join(x, ["doc", "mark", "line"]).join(y, ["ydoc", "ymark", "yline"]).select("doc", "mark", "line", "words", "ywords")
 
     def check(batch):
         good = []
-        for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+        for a, b in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True):
             s, t = set(a.split()), set(b.split())
             common = len(s & t)
             good.append(common >= threshold * (len(s) + len(t) - common) - 1e-9)
         kept = batch.filter(pa.array(good))
-        yield pa.RecordBatch.from_arrays([kept.column(0), kept.column(1)], names=["doc", "line"])
+        yield pa.RecordBatch.from_arrays([kept.column(0), kept.column(1), kept.column(2)], names=["doc", "mark", "line"])
 
-    return map_batches(both, check, "doc long, line int").distinct()
+    return map_batches(both, check, "doc long, mark long, line int").distinct()
 
 
 def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """(doc, line) of every line that has an earlier similar one; doc is the id, or NO_ID for null."""
+    """(doc, mark, line) of every line that has an earlier similar one; doc and mark as in ``_keyed``."""
     spark = docs.sparkSession
-    own = _keyed(docs, id_col, text_col)
+    own = _keyed(docs.select(id_col, text_col), id_col, text_col).select("doc", "mark", F.col(text_col).alias("text"))
     codes = _rarity(own.select("text"))
     met = Written(_meet(_postings(own, codes, threshold).repartition("token").sortWithinPartitions("token"), threshold), "lines-met")
     release(spark)
-    key = ["doc", "line"]
-    ends = [*key, "ydoc", "yline"]
+    key = ["doc", "mark", "line"]
+    yours = ["ydoc", "ymark", "yline"]
+    ends = [*key, *yours]
     copies = Written(met.frame.where(F.col("kind") == GONE).select(*key).distinct(), "lines-removed")
     pairs = Written(
         met.frame.where(F.col("kind") == PAIR).groupBy(*ends).agg(F.min("apart").alias("apart"), F.max("more").alias("more")).join(copies.frame, key, "left_anti"),
         "lines-pairs",
     )
     grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *key, "ni", "s0", "s1")
-    words = _words(pairs.frame.select(*key).union(pairs.frame.select("ydoc", "yline")), own)
+    words = _words(pairs.frame.select(*key).union(pairs.frame.select(*yours)), own)
     release(spark)
-    best = Written(pairs.frame.groupBy(*key).agg(F.min(F.struct("apart", "ydoc", "yline")).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.yline", "more"), "lines-best")
+    best = Written(pairs.frame.groupBy(*key).agg(F.min(F.struct("apart", *yours)).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.ymark", "b.yline", "more"), "lines-best")
     first = Written(copies.frame.union(_verified(best.frame.select(*ends), words.frame, threshold)), "lines-removed")
     rest = pairs.frame.select(*ends).join(first.frame, key, "left_anti").join(best.frame.select(*ends), ends, "left_anti")
     second = Written(first.frame.union(_verified(rest, words.frame, threshold)), "lines-removed")
     release(spark)
     asking = grouped.join(best.frame.where("more").select(*key).join(second.frame, key, "left_anti"), key, "left_semi")
-    others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in ("doc", "line", "ni", "s0", "s1")))
-    later = (F.col("doc") > F.col("ydoc")) | ((F.col("doc") == F.col("ydoc")) & (F.col("line") > F.col("yline")))
+    others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in (*key, "ni", "s0", "s1")))
+    later = F.struct(*key) > F.struct(*(F.col(c).alias(k) for c, k in zip(yours, key, strict=True)))
     others = Written(asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).distinct().join(pairs.frame.select(*ends), ends, "left_anti"), "lines-pairs")
     words.drop()
-    words = _words(others.frame.select(*key).union(others.frame.select("ydoc", "yline")), own)
+    words = _words(others.frame.select(*key).union(others.frame.select(*yours)), own)
     out = Written(second.frame.union(_verified(others.frame, words.frame, threshold)), "lines-removed")
     for table in (met, copies, pairs, words, best, first, second, others):
         table.drop()
@@ -411,15 +432,16 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
 
 def digest(docs: DataFrame, removed: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row a document: doc_id, n_lines, n_removed and the sorted numbers of the removed lines."""
-    gone = removed.groupBy("doc").agg(F.sort_array(F.collect_list("line")).alias("removed"))
+    gone = removed.groupBy("doc", "mark").agg(F.sort_array(F.collect_list("line")).alias("removed"))
     size = F.when(F.octet_length(text_col) > 0, F.size(F.split(text_col, "\n"))).otherwise(0)
-    counted = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), size.cast("long").alias("n_lines"))
-    return counted.join(gone, "doc", "left").select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce(F.array_join("removed", ","), F.lit("")).alias("removed"))
+    counted = _keyed(docs.select(id_col, text_col), id_col, text_col).select(F.col(id_col).alias("doc_id"), "doc", "mark", size.cast("long").alias("n_lines"))
+    return counted.join(gone, ["doc", "mark"], "left").select("doc_id", "n_lines", F.coalesce(F.size("removed"), F.lit(0)).cast("long").alias("n_removed"), F.coalesce(F.array_join("removed", ","), F.lit("")).alias("removed"))
 
 
 def rewrite(docs: DataFrame, removed: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The documents without their removed lines, all columns kept in their order."""
-    gone = removed.groupBy("doc").agg(F.collect_list("line").alias("__gone"))
-    joined = docs.withColumn("__doc", F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID))).join(gone.withColumnRenamed("doc", "__doc").hint("shuffle_hash"), "__doc", "left")
+    gone = removed.groupBy(F.col("doc").alias("__doc"), F.col("mark").alias("__mark")).agg(F.collect_list("line").alias("__gone"))
+    keys = _keyed(docs.select(F.col(id_col).alias("__id"), F.col(text_col).alias("__text"), F.struct(*docs.columns).alias("__row")), "__id", "__text").withColumnsRenamed({"doc": "__doc", "mark": "__mark"})
+    joined = keys.join(gone.hint("shuffle_hash"), ["__doc", "__mark"], "left").select("__row.*", "__gone")
     left = F.array_join(F.filter(F.split(text_col, "\n"), lambda _, k: ~F.array_contains("__gone", k)), "\n")
     return joined.withColumn(text_col, F.when(F.col("__gone").isNull(), F.col(text_col)).otherwise(left)).select(*docs.columns)

@@ -170,6 +170,20 @@ def test_lines(docs, none):
     assert lines.removed_lines(none).count() == 0
 
 
+def test_lines_of_null_and_repeated_ids_are_kept_apart(spark):
+    same = "one line that many documents have\nand this one"
+    rows = [(None, "alpha beta gamma\n" + same), (None, "delta epsilon\nzeta eta theta"), (None, "iota kappa\nand this one\nlambda"), (5, "mu nu xi\nzeta eta theta"), (5, "omikron pi\nrho sigma"), (5, "omikron pi\nrho sigma"), (6, "tau\n" + same)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    removed = lines.removed_lines(frame)
+    left = [r.text for r in lines.rewrite(frame, removed).collect()]
+    found = [w for t in left for w in t.split("\n") if w]
+    kinds = {w for _, t in rows for w in t.split("\n")}
+    assert set(found) == kinds and {w for w in kinds if found.count(w) > 1} == {"omikron pi", "rho sigma"}
+    assert {"mu nu xi", "omikron pi\nrho sigma", "tau"} <= set(left) and left.count("omikron pi\nrho sigma") == 2
+    out = lines.digest(frame, removed).collect()
+    assert len(out) == len(rows) and sum(r.n_removed for r in out) == 4 and {r.removed for r in out if r.doc_id == 6} == {"1,2"}
+
+
 def test_personal_data():
     found = {k: v for k, v in pii.base_spans(TEXTS[-1]).items()}
     assert [TEXTS[-1][a:b] for a, b in found["email"]] == ["a.b@example.org"] and len(found["ip"]) == 1 and len(found["phone"]) == 1
