@@ -30,7 +30,9 @@ def dijkstra_rounds(graph: PreparedGraph, source: int, max_rounds: int = 100_000
     """Every round settles all vertices at the least open length: no path is extended twice."""
     search = Search(graph, source, skip_parent=False, keep_leaves=True)
     with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        while search.last.fresh and search.counters.rounds < max_rounds:
+        while search.last.fresh:
+            if search.counters.rounds >= max_rounds:
+                raise RuntimeError("too many rounds")
             search.push(fresh() & (F.col("dist") == search.last.fresh_min))
     return _result(search)
 

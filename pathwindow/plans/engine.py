@@ -115,10 +115,12 @@ def adaptive_sssp(graph: PreparedGraph, source: int, cfg: Config = Config()) ->
         if hi == math.inf:
             return _result(search)
         previous_full, grid, st0 = False, None, hi
-        while search.last.top + wmax >= hi and c.windows < cfg.max_windows:
+        while search.last.top + wmax >= hi:
             histogram = _open_histogram(search, hi)
             if not histogram:
                 break
+            if c.windows >= cfg.max_windows:
+                raise RuntimeError("too many windows")
             lo = hi
             choice = choose_width(histogram, graph.two_m, graph.table, alpha, cfg.beta)
             width = cfg.width or choice.width

@@ -15,6 +15,7 @@ from ..sources.graphs import symmetrize
 QUANTILES = 4096
 # Above this many arcs the quantile table comes from one approximate pass; only speed depends on it.
 EXACT_ARCS = 20_000_000
+SAMPLE = 1_000_000
 # Small graphs get fewer partitions than the session's number, so that a round is not all overhead.
 ARCS_A_PART = 250_000
 
@@ -69,9 +70,10 @@ def weight_quantiles(edges: DataFrame, num: int = QUANTILES, mode: str = "auto",
         return QuantileTable((0.0, 0.0))
     if mode == "auto":
         mode = "exact" if 2 * m <= EXACT_ARCS else "approx"
-    if mode == "sample":
-        edges = edges.sample(min(1.0, 1_000_000 / m), seed=42)
     top = edges.agg(F.max("w")).first()[0]
+    if mode == "sample" and m > SAMPLE:
+        edges = edges.sample(SAMPLE / m, seed=42)
+        m = edges.count()
     if mode == "sketch":
         shares = F.array(*(F.lit(i / (num - 1)) for i in range(num)))
         values = edges.select(F.col("w").cast("double").alias("w")).agg(F.kll_sketch_agg_double("w").alias("s")).select(F.kll_sketch_get_quantile_double("s", shares).alias("q")).first()["q"]

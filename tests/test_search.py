@@ -6,6 +6,7 @@ import pytest
 
 from pathwindow.functions.stepping import QuantileTable, balance_degree, choose_width, open_degree
 from pathwindow.operators import apps, audit, baselines
+from pathwindow.plans import prepared
 from pathwindow.plans.engine import Config, adaptive_sssp, push_only, windowed_sssp
 from pathwindow.plans.prepared import prepare, weight_quantiles
 
@@ -79,3 +80,17 @@ def test_speedups_of_printed_times():
     times = {"graph": {"search": 0.368, "preprocess": 0.654, "rival": 2.147, "other": 2.266}}
     least, most = audit.speedups(times)["graph"]
     assert round(most, 2) == 5.83 and round(least, 2) == 2.10
+
+
+def test_a_cap_with_open_work_raises(toy):
+    with pytest.raises(RuntimeError):
+        adaptive_sssp(toy, 7, Config(width=1, max_windows=2))
+    with pytest.raises(RuntimeError):
+        baselines.dijkstra_rounds(toy, 7, max_rounds=2)
+
+
+def test_sampled_quantiles_keep_the_exact_maximum(spark, monkeypatch):
+    monkeypatch.setattr(prepared, "SAMPLE", 200, raising=False)
+    edges = spark.range(5000).selectExpr("id AS a", "id + 1 AS b", "IF(id = 4321, 1000000, id % 100 + 1) AS w")
+    table = weight_quantiles(edges, 11, "sample")
+    assert table.wmax == 1000000 and None not in table.values and 20 <= table.values[5] <= 80
