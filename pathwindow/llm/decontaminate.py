@@ -7,7 +7,8 @@ direct comparison. A batch of texts is scanned by many lanes at once: each lane
 moves all of them by their shifts.
 
 Defined results: a null or wordless text has no words and no hits; wordless benchmark items never occur; repeated
-rows each get their row; repeated items each count; extra columns are ignored; an empty benchmark leaves all clean.
+rows each get their row; repeated items each count; items without an id count in hit
+words and verdict and together as one item, but have no name in the list; extra columns are ignored; an empty benchmark leaves all clean.
 """
 
 from __future__ import annotations
@@ -104,8 +105,8 @@ class ShiftTables:
 class PatternSet:
     """All windows of a benchmark, with the items that own each."""
 
-    def __init__(self, items: list[tuple[str, str]], window: int = WINDOW):
-        owners: dict[bytes, set[str]] = {}
+    def __init__(self, items: list[tuple[str | None, str]], window: int = WINDOW):
+        owners: dict[bytes, set[str | None]] = {}
         for item, text in items:
             for pattern in windows_of(words_of(text or ""), window):
                 owners.setdefault(pattern, set()).add(item)
@@ -123,7 +124,7 @@ class PatternSet:
                     held, size = [], 0
             if held:
                 self.tables.append(ShiftTables(held))
-        self.owners = {p: sorted(v) for p, v in owners.items()}
+        self.owners = owners
 
     def hits(self, words: list[list[bytes]]) -> list[tuple[int, set[str], list[tuple[int, int]]]]:
         """For each text: number of hit words, items that occur, and hit runs of words [from, to)."""
@@ -186,7 +187,7 @@ def find_contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc
                         pa.array([len(w) for w in words], pa.int64()),
                         pa.array([h[0] for h in hits], pa.int64()),
                         pa.array([len(h[1]) for h in hits], pa.int64()),
-                        pa.array([sorted(h[1]) for h in hits], pa.list_(pa.string())),
+                        pa.array([sorted(h[1] - {None}) for h in hits], pa.list_(pa.string())),
                         pa.array([[{"from": a, "to": b} for a, b in h[2]] for h in hits], pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())]))),
                         pa.array([h[0] > 0 and 20 * h[0] >= len(w) for h, w in zip(hits, words, strict=True)], pa.bool_()),
                     ],
@@ -204,7 +205,7 @@ def _shared(benchmark: DataFrame, text_col: str, item_col: str):
     size = small.agg(F.sum(F.octet_length("text"))).first()[0] or 0
     if size > BENCHMARK_BYTES:
         raise ValueError(f"the benchmark has {size} bytes of text; the broadcast bound is {BENCHMARK_BYTES}")
-    return benchmark.sparkSession.sparkContext.broadcast([(r["item"], r["text"]) for r in small.collect() if r["item"] is not None])
+    return benchmark.sparkSession.sparkContext.broadcast([(r["item"], r["text"]) for r in small.collect()])
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", window: int = WINDOW) -> DataFrame:

@@ -4,9 +4,11 @@ import hashlib
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from pathwindow.llm import decontaminate, embeddings, lines, packing, pii, quality, simhash, suffixes, token_counts, toxicity
+from pathwindow.llm.oracles import ORACLES
 from pathwindow.llm.tokens import Encoder
 
 LONG = " ".join(f"word{i % 97} tail{i % 31}" for i in range(6000))
@@ -164,6 +166,20 @@ def test_decontamination(spark, none):
     assert (out[4].n_hit, out[4].contaminated) == (13, False)
 
 
+def test_decontamination_counts_items_without_an_id(spark):
+    words = " ".join(f"w{i}" for i in range(15))
+    bench = spark.createDataFrame([(None, words), ("2", "other words")], "item_id string, text string")
+    docs = spark.createDataFrame([(0, words), (1, "clean"), (2, words + " other words")], "doc_id long, text string")
+    out = {r.doc_id: (r.n_hit, r.n_items, r["items"], r.contaminated) for r in decontaminate.find_contamination(docs, bench).collect()}
+    assert out == {0: (15, 1, [], True), 1: (0, 0, [], False), 2: (17, 2, ["2"], True)}
+    assert [r.doc_id for r in decontaminate.keep_clean(docs, bench).collect()] == [1]
+    duckdb = pytest.importorskip("duckdb").connect()
+    for name, frame in (("documents", docs), ("benchmark", bench)):
+        duckdb.register(name, pa.table({c: [r[c] for r in frame.collect()] for c in frame.columns}))
+    rows = decontaminate.digest(decontaminate.find_contamination(docs, bench)).drop("runs").collect()
+    assert sorted(map(tuple, rows)) == sorted(duckdb.sql(ORACLES["op5_decontaminate"]).fetchall())
+
+
 def test_lines(docs, none):
     gone = {(r.doc, r.line) for r in lines.removed_lines(docs).collect()}
     assert gone >= {(4, 0), (8, 0)} and (3, 0) not in gone and not any(d in (0, 1, 2) for d, _ in gone)
