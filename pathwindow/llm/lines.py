@@ -9,7 +9,9 @@ reach the threshold, and the words themselves decide the rest.
 Postings carry parity bits of their set, which bound how much two sets can differ, so few other pairs are left to verify.
 A group of near copies never emits all its pairs: a line proposes its two nearest earlier partners of each prefix word,
 the nearest of all is verified first, the others only for lines that it did not settle, and lines that had still more
-partners and stay in doubt meet all others in a last round.
+partners and stay in doubt meet all others in a last round. Sets with equal hashes are proposed as pairs too, and their
+words decide. Postings of very frequent words are dealt to salted groups of bounded size; what lies in different groups
+meets in the last round.
 
 Defined results: blank lines and null or empty texts have no words and are never removed; lines of the same set of words
 count as copies whatever their order; rows of one doc_id are one document and not compared line by line with
@@ -21,13 +23,11 @@ from __future__ import annotations
 
 import math
 import uuid
-from array import array
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -35,9 +35,9 @@ from .common import Written, map_batches, release, texts
 
 THRESHOLD = 0.8
 BUCKETS = 1 << 22
-CHUNK = 1 << 18
-MEMO = 600_000
-ROWS = 1_000  # texts taken at once
+CHUNK = 1 << 12
+PIECE = 32 << 20  # bytes of text whose lines are taken at once
+BLOCK = 1 << 20  # bytes of text hashed at once
 NO_ID = -(1 << 63)
 CLASHING = 1_000_000  # repeated ids that are broadcast; more are joined by a shuffle
 
@@ -51,17 +51,18 @@ def prefix_size(n: int, threshold: float = THRESHOLD) -> int:
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """The documents with their key (doc, mark): the id, or NO_ID; and a hash of the text where the id does not tell the
-    document alone, 0 elsewhere, so that marks cost next to nothing where ids are unique."""
-    doc, mark = F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)), F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))
-    owned = docs.where(F.col(id_col).isNotNull()).select(doc.alias("doc"), mark.alias("mark"))
-    clashing = Written(owned.groupBy("doc").agg(F.min("mark").alias("lo"), F.max("mark").alias("hi")).where("lo <> hi").select(F.col("doc").alias("__clash")), "lines-clashing").frame
+    """The documents with their key (doc, mark): the id, or NO_ID; and a hash of the text where the id is none or is
+    repeated, 0 elsewhere, so that marks cost next to nothing where ids are unique. Only ids are read to tell."""
+    doc = F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID))
+    owned = docs.where(F.col(id_col).isNotNull()).select(doc.alias("__clash"))
+    clashing = Written(owned.groupBy("__clash").agg(F.count("*").alias("n")).where("n > 1").select("__clash"), "lines-clashing").frame
     n = clashing.count()
-    keyed = docs.withColumns({"doc": doc, "mark": mark})
-    if not n:
-        return keyed.withColumn("mark", F.when(F.col("doc") == NO_ID, F.col("mark")).otherwise(F.lit(0).cast("long")))
-    joined = keyed.join(F.broadcast(clashing) if n <= CLASHING else clashing, F.col("doc") == F.col("__clash"), "left")
-    return joined.withColumn("mark", F.when((F.col("doc") == NO_ID) | F.col("__clash").isNotNull(), F.col("mark")).otherwise(F.lit(0).cast("long"))).drop("__clash")
+    marked, keyed = F.col("doc") == NO_ID, docs.withColumn("doc", doc)
+    if n:
+        keyed = keyed.join(F.broadcast(clashing) if n <= CLASHING else clashing, F.col("doc") == F.col("__clash"), "left")
+        marked = marked | F.col("__clash").isNotNull()
+    mark = F.when(marked, F.xxhash64(F.coalesce(F.col(text_col), F.lit("")))).otherwise(F.lit(0).cast("long"))
+    return keyed.withColumn("mark", mark).drop("__clash")
 
 
 def _bytes(batch: pa.RecordBatch) -> list[bytes]:
@@ -70,113 +71,205 @@ def _bytes(batch: pa.RecordBatch) -> list[bytes]:
     return [t or b"" for t in column.cast(pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()).to_pylist()]
 
 
+def _pieces(column: pa.Array, size: int) -> Iterator[tuple[int, pa.Array]]:
+    """Runs of texts of some bytes, each with the row that it starts at."""
+    upto = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    at = 0
+    while at < len(column):
+        end = max(at + 1, int(np.searchsorted(upto, (upto[at - 1] if at else 0) + size, "right")))
+        yield at, column.slice(at, end - at)
+        at = end
+
+
+def _mixed(h: np.ndarray) -> np.ndarray:
+    h = (h ^ (h >> np.uint64(31))) * np.uint64(0x9E3779B97F4A7C15)
+    return h ^ (h >> np.uint64(29))
+
+
+_SPACE = np.isin(np.arange(256), list(b" \t\n\v\f\r"))
+_HEAD = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)  # the first k bytes of eight
+
+
+def _tokens(column: pa.Array) -> tuple[np.ndarray, ...]:
+    """The lower-cased bytes of a run of texts; row, number, start, end and number of words of each line; the words' hashes."""
+    low = pc.ascii_lower(column)
+    _, offsets, data = low.buffers()
+    ends = np.frombuffer(offsets, np.int64 if pa.types.is_large_string(low.type) else np.int32)[low.offset : low.offset + len(low) + 1].astype(np.int64)
+    size = int(ends[-1] - ends[0])
+    raw = np.zeros(size + 8, np.uint8)
+    if size:
+        raw[:size] = np.frombuffer(data, np.uint8)[ends[0] : ends[-1]]
+    ends -= ends[0]
+    filled, breaks = np.flatnonzero(np.diff(ends)), np.flatnonzero(raw[:size] == 10) + 1
+    # A break at the very end of a text opens an empty line there, before the next text's first.
+    start, row = np.concatenate([ends[filled], breaks]), np.concatenate([filled, np.searchsorted(ends[1:], breaks, "left")])
+    order = np.lexsort([row, start])
+    start, row = start[order], row[order]
+    blank = np.ones(size + 1, bool)
+    blank[:size] = _SPACE[raw[:size]]
+    opens, closes = np.append(True, blank[:-1]), blank.copy()
+    opens[ends[:-1]] = True
+    at_end = ends[1:][ends[1:] > 0] - 1
+    closes[:-1] = blank[1:]
+    closes[at_end] = True
+    first, last = np.flatnonzero(~blank & opens), np.flatnonzero(~blank & closes) + 1
+    words = np.diff(np.append(np.searchsorted(first, start), len(first)))
+    eight = np.ndarray((size + 1,), "<u8", raw, strides=(1,))
+    some, at, left = np.arange(len(first)), first, last - first
+    hashes = _mixed(left.astype(np.uint64) ^ np.uint64(0x5851F42D4C957F2D))
+    while len(some):
+        hashes[some] = _mixed((hashes[some] ^ (eight[at] & _HEAD[np.minimum(left, 8)])) * np.uint64(0xD6E8FEB86659FD93))
+        more = left > 8
+        some, at, left = some[more], at[more] + 8, left[more] - 8
+    return raw[:size], row, np.arange(len(row)) - np.searchsorted(row, row), start, np.append(start[1:], size), words, hashes
+
+
+class _Lines:
+    """Lines of a run of texts, by row and number, the number of their words, and the hashes of all words in their order."""
+
+    def __init__(self, column: pa.Array):
+        parts, at = [], 0
+        for first, block in _pieces(column, BLOCK):
+            raw, row, number, start, end, size, hashes = _tokens(block)
+            parts.append((raw, row + first, number, start + at, end + at, size, hashes))
+            at += len(raw)
+        self.raw, self.row, self.number, self.start, self.end, self.size, self.hash = (np.concatenate(c) for c in zip(*parts, strict=True))
+
+    def same(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Whether lines a and b are equal byte for byte (but for a break at the end)."""
+        text = self.raw.tobytes() if len(a) else b""
+        line = lambda k: text[self.start[k] : self.end[k]].rstrip(b"\n")
+        return np.fromiter((line(i) == line(j) for i, j in zip(a.tolist(), b.tolist(), strict=True)), bool, len(a))
+
+
 def _rarity(docs: DataFrame) -> np.ndarray:
-    """Coded counts (a byte each, logarithmic) of word hash buckets over all texts."""
+    """Coded counts (a byte each, logarithmic) of word hash buckets over all texts. Tasks send their sums in short runs
+    of buckets, which are added up as they stream by."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(BUCKETS, np.uint32)
         for batch in batches:
-            seen = Counter(b"\n".join(_bytes(batch)).lower().split())
-            if seen:
-                at = np.fromiter(map(xxhash.xxh64_intdigest, seen), np.uint64, len(seen)) & np.uint64(BUCKETS - 1)
-                total += np.bincount(at.astype(np.int64), weights=np.fromiter(seen.values(), np.int64, len(seen)), minlength=BUCKETS).astype(np.uint32)
-        small = np.minimum(total, 65535).astype(np.uint16)
+            for _, column in _pieces(batch.column(0), PIECE):
+                total += np.bincount((_Lines(column).hash & np.uint64(BUCKETS - 1)).view(np.int64), minlength=BUCKETS).astype(np.uint32)
         for i in range(0, BUCKETS, CHUNK):
-            yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([small[i : i + CHUNK].tobytes()], pa.binary())], names=["at", "counts"])
+            run = total[i : i + CHUNK]
+            if run.any():
+                yield pa.RecordBatch.from_arrays([pa.array([i], pa.int32()), pa.array([run.tobytes()], pa.binary())], names=["at", "counts"])
 
-    def add(table: pa.Table) -> pa.Table:
-        total = np.zeros(CHUNK, np.uint64)
-        for part in table.column("counts").to_pylist():
-            total += np.frombuffer(part, np.uint16)
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, total = None, np.zeros(CHUNK, np.uint64)
+        for batch in batches:
+            for i, part in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                if i != at and at is not None:
+                    yield coded(at, total)
+                    total[:] = 0
+                at = i
+                total += np.frombuffer(part.as_buffer(), np.uint32)
+        if at is not None:
+            yield coded(at, total)
+
+    def coded(at: int, total: np.ndarray) -> pa.RecordBatch:
         code = np.minimum(120, np.round(4 * np.log2(total + 1.0))).astype(np.uint8)
-        return pa.table({"at": table.column("at")[:1], "codes": pa.array([code.tobytes()], pa.binary())})
+        return pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([code.tobytes()], pa.binary())], names=["at", "codes"])
 
-    found = docs.mapInArrow(count, "at int, counts binary").groupBy("at").applyInArrow(add, "at int, codes binary").collect()
+    sums = docs.mapInArrow(count, "at int, counts binary").repartition("at").sortWithinPartitions("at")
     codes = np.zeros(BUCKETS, np.uint8)
-    for row in found:
+    for row in sums.mapInArrow(add, "at int, codes binary").collect():
         codes[row["at"] : row["at"] + CHUNK] = np.frombuffer(row["codes"], np.uint8)
     return codes
 
 
-class _Order(dict):
-    """Words as 63-bit numbers whose order is rarity, then hash."""
-
-    def __init__(self, codes: np.ndarray):
-        super().__init__()
-        self.codes = codes.tobytes()
-
-    def __missing__(self, word: bytes) -> int:
-        if len(self) >= MEMO:
-            self.clear()
-        h = xxhash.xxh64_intdigest(word)
-        number = self[word] = (self.codes[h & (BUCKETS - 1)] << 56) | (h >> 8)
-        return number
-
-
-_ORDERS: dict[str, _Order] = {}
+_CODES: dict[str, np.ndarray] = {}
 POSTING = "token long, doc long, mark long, line int, ni long, s0 long, s1 long"
-MEETING = "kind int, doc long, mark long, line int, ydoc long, ymark long, yline int, apart int, more boolean, token long, ni long, s0 long, s1 long"
+MEETING = "kind int, doc long, mark long, line int, ydoc long, ymark long, yline int, apart int, asks boolean, token long, ni long, s0 long, s1 long"
 COPY, WHOLE = -2, -1
 GONE, PAIR, GROUPED = 0, 1, 2
+EQUAL = -1  # in place of the parity distance: sets whose hashes are equal
+ONCE = 4  # the code of words that occur once
 WIDE = 96  # sets above this size compare 128 parity bits, others 64
 GROUP = 2_048  # postings of one token that meet at once; beyond, leaders come first
+CROWD = 20_000  # words that occur more often deal their postings to salted groups of about this size
+SALT = 12  # low bits of a token that tell its salted groups apart
+BESIDE = 13  # bits of a line's number beside a word's, 51 bits, in one sorting key
+KEY, YOURS = ["doc", "mark", "line"], ["ydoc", "ymark", "yline"]
 GATHER = 200_000  # postings gathered for one vectorised step
 
 
 def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Two words of bits a set: bit b tells whether an odd number of its words hash to b; of wide sets the second word
     holds those of one half of the hash range. Sets that differ in d words differ in at most d bits."""
-    one = np.left_shift(np.uint64(1), flat & np.uint64(63))
+    one = np.left_shift(np.uint64(1), (flat >> np.uint64(SALT)) & np.uint64(63))
     s0 = np.bitwise_xor.reduceat(one, starts)
-    half = np.where((flat & np.uint64(64)) > 0, one, np.uint64(0))
+    half = np.where((flat & np.uint64(64 << SALT)) > 0, one, np.uint64(0))
     s1 = np.where(sizes > WIDE, np.bitwise_xor.reduceat(half, starts), np.uint64(0))
     return s0.view(np.int64), s1.view(np.int64)
 
 
-def _postings(docs: DataFrame, codes: np.ndarray, threshold: float) -> DataFrame:
+def _groups(token: np.ndarray, crowd: int) -> np.ndarray:
+    """The number of salted groups that a token's postings are dealt to, by the code of its count."""
+    return np.minimum(1 << SALT, np.ceil(np.exp2((token >> 44 + SALT) / 4.0) / crowd)).astype(np.int64)
+
+
+def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int = CROWD) -> DataFrame:
     """Rows (token, doc, mark, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
-    as a token with ni = WHOLE, and lines that repeat one of their batch, known to go, with ni = COPY and no prefix."""
+    as a token with ni = WHOLE, and lines that repeat one of their run of texts, known to go, with ni = COPY and no prefix.
+
+    A token is the code of a word's count, 44 bits of its hash, and a salt where the word is very frequent. Different
+    words of one token only meet for nothing. A word that occurs once meets nobody and is not posted."""
     shared, name = docs.sparkSession.sparkContext.broadcast(codes), uuid.uuid4().hex
 
     def each(batch):
-        if name not in _ORDERS:
-            _ORDERS.clear()
-            _ORDERS[name] = _Order(shared.value)
-        key, first = _ORDERS[name].__getitem__, {}
-        ids = list(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True))
-        order = sorted(range(len(ids)), key=ids.__getitem__)
-        every = _bytes(batch)
-        for at in range(0, len(ids), ROWS):
-            docs_, lines_, sets, gone = [], [], [], []
-            for r in order[at : at + ROWS]:
-                for k, line in enumerate(every[r].lower().split(b"\n")):
-                    words = set(line.split())
-                    if words:
-                        tokens = array("q", sorted(map(key, words)))
-                        whole = xxhash.xxh64_intdigest(tokens, 1) >> 1
-                        if whole in first:
-                            if first[whole] != (*ids[r], k):
-                                gone.append((whole ^ (len(gone) << 20), *ids[r], k))
-                        else:
-                            first[whole] = (*ids[r], k)
-                            docs_.append(ids[r])
-                            lines_.append(k)
-                            sets.append((whole, tokens))
-            if gone:
-                yield _posting_rows(*(np.array(c) for c in zip(*gone, strict=True)), np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64))
-            if not sets:
-                continue
-            sizes = np.fromiter((len(t) for _, t in sets), np.int64, len(sets))
-            starts = np.cumsum(sizes) - sizes
-            flat = np.frombuffer(b"".join(t.tobytes() for _, t in sets), np.int64)
-            s0, s1 = _parities(flat.view(np.uint64), starts, sizes)
-            (doc, mark), line = np.array(docs_, np.int64).T, np.array(lines_, np.int64)
-            yield _posting_rows(np.array([w for w, _ in sets], np.int64), doc, mark, line, np.full(len(sets), WHOLE), *np.zeros((2, len(sets)), np.int64))
-            counts = sizes - np.ceil(threshold * sizes - 1e-9).astype(np.int64) + 1
-            row = np.repeat(np.arange(len(sets)), counts)
-            rank = np.arange(len(row)) - np.repeat(np.cumsum(counts) - counts, counts)
-            token = flat[starts[row] + rank]
-            yield _posting_rows(token, doc[row], mark[row], line[row], (sizes[row] << 32) | rank, s0[row], s1[row])
+        if name not in _CODES:
+            _CODES.clear()
+            _CODES[name] = shared.value
+        doc_of, mark_of = (batch.column(i).to_numpy() for i in (0, 1))
+        for at, column in _pieces(batch.column(2), PIECE):
+            seen = _Lines(column)
+            if len(seen.hash):
+                yield from run(seen, doc_of[at : at + len(column)], mark_of[at : at + len(column)])
+
+    def run(seen: _Lines, doc_of: np.ndarray, mark_of: np.ndarray):
+        number = _CODES[name][(seen.hash & np.uint64(BUCKETS - 1)).view(np.int64)].astype(np.uint64) << np.uint64(44) | seen.hash >> np.uint64(20)
+        line = np.repeat(np.arange(len(seen.size)), seen.size)
+        runs = []
+        for a in range(0, len(seen.size), 1 << BESIDE):  # as many lines as fit a key beside the number
+            i, j = np.searchsorted(line, [a, a + (1 << BESIDE)])
+            key = np.sort((line[i:j] - a).view(np.uint64) << np.uint64(64 - BESIDE) | number[i:j])
+            if len(key):
+                key = key[np.concatenate([[True], key[1:] != key[:-1]])]
+                runs.append(((key >> np.uint64(64 - BESIDE)).view(np.int64) + a, key & np.uint64((1 << 64 - BESIDE) - 1)))
+        line, flat = (np.concatenate(c) for c in zip(*runs, strict=True))
+        flat <<= np.uint64(SALT)
+        starts = np.flatnonzero(np.concatenate([[True], line[1:] != line[:-1]]))
+        sizes = np.diff(np.append(starts, len(line)))
+        whole = np.add.reduceat(_mixed(flat), starts).view(np.int64)
+        of = line[starts]
+        doc, mark, nth = doc_of[seen.row[of]], mark_of[seen.row[of]], seen.number[of]
+        # Lines that equal an earlier one of the run byte for byte; sets that only have equal hashes are left for later.
+        by = np.lexsort([nth, mark, doc, whole])
+        opens = np.flatnonzero(np.concatenate([[True], whole[by[1:]] != whole[by[:-1]]]))
+        lead = np.empty(len(by), np.int64)
+        lead[by] = np.repeat(by[opens], np.diff(np.append(opens, len(by))))
+        mine = np.flatnonzero(lead != np.arange(len(lead)))
+        same = np.zeros(len(lead), bool)
+        same[mine] = seen.same(of[mine], of[lead[mine]])
+        gone = np.flatnonzero(same & ((doc != doc[lead]) | (mark != mark[lead]) | (nth != nth[lead])))
+        if len(gone):
+            yield _posting_rows(whole[gone] ^ (gone << 20), doc[gone], mark[gone], nth[gone], np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64))
+        left = np.flatnonzero(~same)
+        s0, s1 = _parities(flat, starts, sizes)
+        yield _posting_rows(whole[left], doc[left], mark[left], nth[left], np.full(len(left), WHOLE), *np.zeros((2, len(left)), np.int64))
+        n = sizes[left]
+        counts = n - np.ceil(threshold * n - 1e-9).astype(np.int64) + 1
+        place = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
+        row = np.repeat(left, counts)
+        token = flat[starts[row] + place]
+        kept = np.flatnonzero(token >> np.uint64(44 + SALT) != ONCE)
+        row, token, place = row[kept], token[kept], place[kept]
+        groups = _groups(token.view(np.int64), crowd)
+        many = np.flatnonzero(groups > 1)
+        token[many] |= _mixed((doc[row[many]] * 31 + nth[row[many]]).view(np.uint64)) % groups[many].view(np.uint64)
+        yield _posting_rows(token.view(np.int64), doc[row], mark[row], nth[row], (sizes[row] << 32) | place, s0[row], s1[row])
 
     return map_batches(docs, each, POSTING)
 
@@ -188,8 +281,8 @@ def _posting_rows(token, doc, mark, line, ni, s0, s1) -> pa.RecordBatch:
 class _Meetings:
     """The pairs of one step: postings sorted by token, in columns, here sorted by ni within it."""
 
-    def __init__(self, rows: pa.Table, threshold: float):
-        self.threshold = threshold
+    def __init__(self, rows: pa.Table, threshold: float, crowd: int, group: int):
+        self.threshold, self.crowd, self.group = threshold, crowd, group
         columns = [rows.column(i).to_numpy() for i in range(7)]
         order = np.lexsort([columns[4], columns[0]])
         token, self.doc, self.mark, line, self.ni, s0, s1 = (c[order] for c in columns)
@@ -267,46 +360,46 @@ class _Meetings:
         return x[other], y[other], bits[other], np.array(partly, np.int64)
 
     def rows(self) -> pa.RecordBatch:
-        """GONE: copies; PAIR: of each posting its two nearest earlier partners, marked if it has more; GROUPED: see below."""
-        at = np.flatnonzero(self.ni == WHOLE)
+        """GONE: copies within a run of texts; PAIR: of each posting its two nearest earlier partners, and of sets with
+        equal hashes the first; GROUPED: whole groups in which some posting, marked, has not met all its partners."""
+        gone, at = np.flatnonzero(self.ni == COPY), np.flatnonzero(self.ni == WHOLE)
         order = at[np.lexsort([self.line[at], self.mark[at], self.doc[at], self.token[at]])]
         # A repeated row of one document is the same line, not a copy of it.
         opens = np.flatnonzero(np.concatenate([[True], self.token[order[1:]] != self.token[order[:-1]]])) if len(order) else np.zeros(0, np.int64)
         lead = np.repeat(order[opens], np.diff(np.append(opens, len(order))))
-        repeat = order[self.other(order, lead)]
-        gone = np.concatenate([np.flatnonzero(self.ni == COPY), repeat])
+        again = self.other(order, lead)
+        equal, equal_to = order[again], lead[again]
         ids = np.flatnonzero(self.ni >= 0)
         starts = np.flatnonzero(np.concatenate([[True], self.token[ids[1:]] != self.token[ids[:-1]]])) if len(ids) else np.zeros(0, np.int64)
         sizes = np.diff(np.append(starts, len(ids)))
-        large = np.repeat(sizes > GROUP, sizes)
+        large = np.repeat(sizes > self.group, sizes)
         several = np.repeat(sizes > 1, sizes)
-        parts, partly = [self.near(ids[~large & several])], [np.zeros(0, np.int64)]
-        for s, n in zip(starts[sizes > GROUP].tolist(), sizes[sizes > GROUP].tolist(), strict=True):
+        parts, asking = [self.near(ids[~large & several])], [ids[_groups(self.token[ids], self.crowd) > 1]]
+        for s, n in zip(starts[sizes > self.group].tolist(), sizes[sizes > self.group].tolist(), strict=True):
             *pairs, more = self.led(ids[s : s + n])
             parts.append(tuple(pairs))
-            partly.append(more)
+            asking.append(more)
         x, y, bits = (np.concatenate(c) for c in zip(*parts, strict=True))
         order = np.lexsort([bits, x])
         x, y, bits = x[order], y[order], bits[order]
-        fresh = np.concatenate([[True], x[1:] != x[:-1]]) if len(x) else np.zeros(0, bool)
-        begin = np.flatnonzero(fresh)
+        begin = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
         count = np.diff(np.append(begin, len(x)))
-        nth = np.arange(len(x)) - np.repeat(begin, count)
-        more = (np.repeat(count, count) > 2) | np.isin(x, np.concatenate(partly))
-        kept = nth < 2
-        x, y, bits, more = x[kept], y[kept], bits[kept], more[kept]
-        # Groups in which a posting has still more partners are handed on whole, for lines that stay in doubt.
-        handed = ids[np.isin(self.token[ids], np.unique(self.token[x[more]]))]
-        kinds = [(GONE, gone, None), (PAIR, x, y), (GROUPED, handed, None)]
-        sizes = [len(rows) for _, rows, _ in kinds]
+        asking.append(x[begin[count > 2]])
+        kept = np.arange(len(x)) - np.repeat(begin, count) < 2
+        x, y, bits = np.concatenate([equal, x[kept]]), np.concatenate([equal_to, y[kept]]), np.concatenate([np.full(len(equal), EQUAL), bits[kept]])
+        asks = np.zeros(len(self.token), bool)
+        asks[np.concatenate(asking)] = True
+        handed = ids[np.isin(self.token[ids], np.unique(self.token[asks]))]
+        kinds = [(GONE, gone), (PAIR, x), (GROUPED, handed)]
+        sizes = [len(rows) for _, rows in kinds]
         at = np.concatenate([gone, x, handed])
-        pair = np.repeat([kind == PAIR for kind, _, _ in kinds], sizes)
-        group = np.repeat([kind == GROUPED for kind, _, _ in kinds], sizes)
+        pair = np.repeat([kind == PAIR for kind, _ in kinds], sizes)
+        group = np.repeat([kind == GROUPED for kind, _ in kinds], sizes)
         to = at.copy()
         to[pair] = y
-        apart, marked = np.zeros(len(at), np.int32), np.zeros(len(at), bool)
-        apart[pair], marked[pair] = bits, more
-        of_group = [pa.array(c, pa.int64(), mask=~group) for c in (self.token[at], self.ni[at], self.s0.view(np.int64)[at], self.s1.view(np.int64)[at])]
+        apart = np.zeros(len(at), np.int32)
+        apart[pair] = bits
+        of_group = [pa.array(c, pa.int64(), mask=~group) for c in (self.token[at] >> SALT << SALT, self.ni[at], self.s0.view(np.int64)[at], self.s1.view(np.int64)[at])]
         return pa.RecordBatch.from_arrays(
             [
                 pa.array(np.repeat(np.array([GONE, PAIR, GROUPED], np.int32), sizes)),
@@ -317,14 +410,14 @@ class _Meetings:
                 pa.array(self.mark[to], mask=~pair),
                 pa.array(self.line[to].astype(np.int32), mask=~pair),
                 pa.array(apart),
-                pa.array(marked),
+                pa.array(group & asks[at]),
                 *of_group,
             ],
-            names=["kind", "doc", "mark", "line", "ydoc", "ymark", "yline", "apart", "more", "token", "ni", "s0", "s1"],
+            names=["kind", "doc", "mark", "line", "ydoc", "ymark", "yline", "apart", "asks", "token", "ni", "s0", "s1"],
         )
 
 
-def _meet(dealt: DataFrame, threshold: float) -> DataFrame:
+def _meet(dealt: DataFrame, threshold: float, crowd: int = CROWD, group: int = GROUP) -> DataFrame:
     """The meetings of postings that lie sorted by token; a task holds some hundred thousand rows and the
     largest group at a time."""
 
@@ -340,10 +433,10 @@ def _meet(dealt: DataFrame, threshold: float) -> DataFrame:
                 rows = pa.Table.from_batches(held)
                 token = rows.column(0).to_numpy()
                 cut = int(np.searchsorted(token, token[-1]))
-                yield _Meetings(rows.slice(0, cut), threshold).rows()
+                yield _Meetings(rows.slice(0, cut), threshold, crowd, group).rows()
                 held, size = rows.slice(cut).to_batches(), len(token) - cut
         if held:
-            yield _Meetings(pa.Table.from_batches(held), threshold).rows()
+            yield _Meetings(pa.Table.from_batches(held), threshold, crowd, group).rows()
 
     return dealt.mapInArrow(run, MEETING)
 
@@ -380,51 +473,55 @@ def _words(lines: DataFrame, docs: DataFrame) -> Written:
 def _verified(pairs: DataFrame, words: DataFrame, threshold: float) -> DataFrame:
     """(doc, mark, line) of the pairs' later lines whose words prove the similarity."""
     x, y = words, words.select(F.col("doc").alias("ydoc"), F.col("mark").alias("ymark"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
-    both = pairs.join(x, ["doc", "mark", "line"]).join(y, ["ydoc", "ymark", "yline"]).select("doc", "mark", "line", "words", "ywords")
+    both = pairs.join(x, KEY).join(y, YOURS).select(*KEY, "words", "ywords")
 
     def check(batch):
         good = []
         for a, b in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True):
+            if a == b:
+                good.append(True)
+                continue
             s, t = set(a.split()), set(b.split())
             common = len(s & t)
             good.append(common >= threshold * (len(s) + len(t) - common) - 1e-9)
         kept = batch.filter(pa.array(good))
-        yield pa.RecordBatch.from_arrays([kept.column(0), kept.column(1), kept.column(2)], names=["doc", "mark", "line"])
+        yield pa.RecordBatch.from_arrays([kept.column(0), kept.column(1), kept.column(2)], names=KEY)
 
     return map_batches(both, check, "doc long, mark long, line int").distinct()
 
 
-def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, crowd: int = CROWD, group: int = GROUP) -> DataFrame:
     """(doc, mark, line) of every line that has an earlier similar one; doc and mark as in ``_keyed``."""
     spark = docs.sparkSession
     own = _keyed(docs.select(id_col, text_col), id_col, text_col).select("doc", "mark", F.col(text_col).alias("text"))
     codes = _rarity(own.select("text"))
-    met = Written(_meet(_postings(own, codes, threshold).repartition("token").sortWithinPartitions("token"), threshold), "lines-met")
+    met = Written(_meet(_postings(own, codes, threshold, crowd).repartition("token").sortWithinPartitions("token"), threshold, crowd, group), "lines-met")
     release(spark)
-    key = ["doc", "mark", "line"]
-    yours = ["ydoc", "ymark", "yline"]
-    ends = [*key, *yours]
-    copies = Written(met.frame.where(F.col("kind") == GONE).select(*key).distinct(), "lines-removed")
-    pairs = Written(
-        met.frame.where(F.col("kind") == PAIR).groupBy(*ends).agg(F.min("apart").alias("apart"), F.max("more").alias("more")).join(copies.frame, key, "left_anti"),
-        "lines-pairs",
-    )
-    grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *key, "ni", "s0", "s1")
-    words = _words(pairs.frame.select(*key).union(pairs.frame.select(*yours)), own)
+    ends = [*KEY, *YOURS]
+    proposed = met.frame.where(F.col("kind") == PAIR).select(*ends, "apart")
+    equal = proposed.where(F.col("apart") == EQUAL)
+    # Lines with an equal set somewhere earlier need no other partner, once their words have proved it.
+    pairs = Written(equal.union(proposed.where(F.col("apart") != EQUAL).join(equal.select(*KEY), KEY, "left_anti")).groupBy(*ends).agg(F.min("apart").alias("apart")), "lines-pairs")
+    words = _words(pairs.frame.select(*KEY).union(pairs.frame.select(*YOURS)), own)
     release(spark)
-    best = Written(pairs.frame.groupBy(*key).agg(F.min(F.struct("apart", *yours)).alias("b"), F.max("more").alias("more")).select(*key, "b.ydoc", "b.ymark", "b.yline", "more"), "lines-best")
-    first = Written(copies.frame.union(_verified(best.frame.select(*ends), words.frame, threshold)), "lines-removed")
-    rest = pairs.frame.select(*ends).join(first.frame, key, "left_anti").join(best.frame.select(*ends), ends, "left_anti")
+    best = Written(pairs.frame.groupBy(*KEY).agg(F.min(F.struct("apart", *YOURS)).alias("b")).select(*KEY, "b.ydoc", "b.ymark", "b.yline", "b.apart"), "lines-best")
+    first = Written(_verified(best.frame.select(*ends), words.frame, threshold), "lines-removed")
+    rest = pairs.frame.select(*ends).join(first.frame, KEY, "left_anti").join(best.frame.select(*ends), ends, "left_anti")
     second = Written(first.frame.union(_verified(rest, words.frame, threshold)), "lines-removed")
     release(spark)
-    asking = grouped.join(best.frame.where("more").select(*key).join(second.frame, key, "left_anti"), key, "left_semi")
-    others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in (*key, "ni", "s0", "s1")))
-    later = F.struct(*key) > F.struct(*(F.col(c).alias(k) for c, k in zip(yours, key, strict=True)))
-    others = Written(asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).distinct().join(pairs.frame.select(*ends), ends, "left_anti"), "lines-pairs")
+    grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *KEY, "ni", "s0", "s1", "asks")
+    asking = grouped.where("asks").drop("asks").join(second.frame, KEY, "left_anti")
+    others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in (*KEY, "ni", "s0", "s1")))
+    later = F.struct(*KEY) > F.struct(*(F.col(c).alias(k) for c, k in zip(YOURS, KEY, strict=True)))
+    # Equal hashes of different sets: those lines meet all that they were spared.
+    unequal = best.frame.where(F.col("apart") == EQUAL).select(*KEY).join(second.frame, KEY, "left_anti")
+    spared = proposed.join(unequal, KEY, "left_semi").select(*ends)
+    others = Written(asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).union(spared).distinct().join(pairs.frame.select(*ends), ends, "left_anti"), "lines-pairs")
     words.drop()
-    words = _words(others.frame.select(*key).union(others.frame.select(*yours)), own)
-    out = Written(second.frame.union(_verified(others.frame, words.frame, threshold)), "lines-removed")
-    for table in (met, copies, pairs, words, best, first, second, others):
+    words = _words(others.frame.select(*KEY).union(others.frame.select(*YOURS)), own)
+    gone = met.frame.where(F.col("kind") == GONE).select(*KEY)
+    out = Written(gone.union(second.frame).union(_verified(others.frame, words.frame, threshold)).distinct(), "lines-removed")
+    for table in (met, pairs, words, best, first, second, others):
         table.drop()
     release(spark)
     return out.frame

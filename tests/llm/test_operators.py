@@ -200,6 +200,38 @@ def test_lines_of_null_and_repeated_ids_are_kept_apart(spark):
     assert len(out) == len(rows) and sum(r.n_removed for r in out) == 4 and {r.removed for r in out if r.doc_id == 6} == {"1,2"}
 
 
+def _removed_by_brute_force(rows, threshold=0.8):
+    """Every line of (doc, text) that has an earlier line of a similarity of at least the threshold."""
+    every = [(d, k, lines.words_of(line)) for d, t in rows for k, line in enumerate((t or "").split("\n")) if line.split()]
+    gone = set()
+    for i, (d, k, s) in enumerate(every):
+        if any(len(s & t) >= threshold * len(s | t) - 1e-9 for _, _, t in every[:i]):
+            gone.add((d, k))
+    return gone
+
+
+@pytest.mark.parametrize("sizes", [{}, {"crowd": 8, "group": 6}])
+def test_lines_equal_brute_force(spark, sizes):
+    """With sizes: very frequent words and large groups, at the size of a test."""
+    rng = np.random.default_rng(8)
+    common, rare = [f"the{i}" for i in range(12)], [f"rare{i}word" for i in range(400)]
+    families = [[*rng.choice(rare, rng.integers(0, 30), False), *rng.choice(common, rng.integers(1, 10), False)] for _ in range(25)]
+    rows = []
+    for d in range(70):
+        made = []
+        for _ in range(rng.integers(0, 5)):
+            words = list(families[rng.integers(0, len(families))])
+            for _ in range(rng.integers(0, 4)):
+                at = rng.integers(0, len(words) + 1)
+                words[at : at + rng.integers(0, 2)] = [str(rng.choice(rare))]
+            rng.shuffle(words)
+            made.append(" ".join(words) + ["", " ", "\t", " \r"][rng.integers(0, 4)])
+        rows.append((d, "\n".join(made) if made else [None, "", " \n "][d % 3]))
+    rows.append((70, "one " * 70_000 + "\n" + " ".join(f"very{i}" for i in range(3_000)) + "\n" + " ".join(f"very{i}" for i in range(40, 3_000)) + "\none"))
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {(r.doc, r.line) for r in lines.removed_lines(frame, **sizes).collect()} == _removed_by_brute_force(rows)
+
+
 def test_personal_data():
     found = {k: v for k, v in pii.base_spans(TEXTS[-1]).items()}
     assert [TEXTS[-1][a:b] for a, b in found["email"]] == ["a.b@example.org"] and len(found["ip"]) == 1 and len(found["phone"]) == 1
