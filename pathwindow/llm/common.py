@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-import gc
+import atexit
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -30,19 +31,54 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+_TIDIED: set[str] = set()
+
+
+def run_dir(spark: SparkSession) -> str:
+    """This application's part of the shared folder; it is deleted when the driver's Python ends in order."""
+    path = f"{shared_dir(spark)}/corpus-{spark.sparkContext.applicationId}"
+    if path not in _TIDIED:
+        _TIDIED.add(path)
+        atexit.register(_tidy, spark, path)
+    return path
+
+
+def _tidy(spark: SparkSession, path: str) -> None:
+    if spark.sparkContext._jsc is not None and not spark.sparkContext._jsc.sc().isStopped():
+        _delete(spark, path)
+
+
+def _delete(spark: SparkSession, name: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(name)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+SHUFFLE_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+@contextmanager
+def shuffles_dropped(spark: SparkSession) -> Iterator[None]:
+    """Within, a query's shuffle files go as soon as it ends; its rows are in a table by then."""
+    before = spark.conf.get(SHUFFLE_CLEANUP, "false")
+    spark.conf.set(SHUFFLE_CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(SHUFFLE_CLEANUP, before)
+
+
 class Written:
     """A frame written as Parquet into the shared folder, and its path for a later drop."""
 
     def __init__(self, frame: DataFrame, tag: str):
         self.spark = frame.sparkSession
-        self.path = f"{shared_dir(self.spark)}/{tag}-{uuid.uuid4().hex}"
-        frame.write.parquet(self.path)
+        self.path = f"{run_dir(self.spark)}/{tag}-{uuid.uuid4().hex}"
+        with shuffles_dropped(self.spark):
+            frame.write.parquet(self.path)
         self.frame = self.spark.read.schema(frame.schema).parquet(self.path)
 
     def drop(self) -> None:
-        jvm = self.spark._jvm
-        path = jvm.org.apache.hadoop.fs.Path(self.path)
-        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+        _delete(self.spark, self.path)
 
 
 def written(frame: DataFrame, tag: str) -> DataFrame:
@@ -50,12 +86,6 @@ def written(frame: DataFrame, tag: str) -> DataFrame:
     return Written(frame, tag).frame
 
 
-def release(spark: SparkSession) -> None:
-    """Let go of frames that are no longer used, so that Spark may delete their shuffle files."""
-    gc.collect()
-    spark._jvm.System.gc()
-
-
 def map_batches(
     frame: DataFrame, work: Callable[[pa.RecordBatch], Iterable[pa.RecordBatch]] | Callable, schema: str, setup: Callable[[], Callable] | None = None
 ) -> DataFrame:

@@ -31,12 +31,12 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Written, map_batches, release, texts
+from .common import Written, map_batches, texts
 
 THRESHOLD = 0.8
 BUCKETS = 1 << 22
 CHUNK = 1 << 12
-PIECE = 32 << 20  # bytes of text whose lines are taken at once
+PIECE = 12 << 20  # bytes of text whose lines are taken at once
 BLOCK = 1 << 20  # bytes of text hashed at once
 NO_ID = -(1 << 63)
 CLASHING = 1_000_000  # repeated ids that are broadcast; more are joined by a shuffle
@@ -492,23 +492,19 @@ def _verified(pairs: DataFrame, words: DataFrame, threshold: float) -> DataFrame
 
 def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, crowd: int = CROWD, group: int = GROUP) -> DataFrame:
     """(doc, mark, line) of every line that has an earlier similar one; doc and mark as in ``_keyed``."""
-    spark = docs.sparkSession
     own = _keyed(docs.select(id_col, text_col), id_col, text_col).select("doc", "mark", F.col(text_col).alias("text"))
     codes = _rarity(own.select("text"))
     met = Written(_meet(_postings(own, codes, threshold, crowd).repartition("token").sortWithinPartitions("token"), threshold, crowd, group), "lines-met")
-    release(spark)
     ends = [*KEY, *YOURS]
     proposed = met.frame.where(F.col("kind") == PAIR).select(*ends, "apart")
     equal = proposed.where(F.col("apart") == EQUAL)
     # Lines with an equal set somewhere earlier need no other partner, once their words have proved it.
     pairs = Written(equal.union(proposed.where(F.col("apart") != EQUAL).join(equal.select(*KEY), KEY, "left_anti")).groupBy(*ends).agg(F.min("apart").alias("apart")), "lines-pairs")
     words = _words(pairs.frame.select(*KEY).union(pairs.frame.select(*YOURS)), own)
-    release(spark)
     best = Written(pairs.frame.groupBy(*KEY).agg(F.min(F.struct("apart", *YOURS)).alias("b")).select(*KEY, "b.ydoc", "b.ymark", "b.yline", "b.apart"), "lines-best")
     first = Written(_verified(best.frame.select(*ends), words.frame, threshold), "lines-removed")
     rest = pairs.frame.select(*ends).join(first.frame, KEY, "left_anti").join(best.frame.select(*ends), ends, "left_anti")
     second = Written(first.frame.union(_verified(rest, words.frame, threshold)), "lines-removed")
-    release(spark)
     grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *KEY, "ni", "s0", "s1", "asks")
     asking = grouped.where("asks").drop("asks").join(second.frame, KEY, "left_anti")
     others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in (*KEY, "ni", "s0", "s1")))
@@ -523,7 +519,6 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     out = Written(gone.union(second.frame).union(_verified(others.frame, words.frame, threshold)).distinct(), "lines-removed")
     for table in (met, pairs, words, best, first, second, others):
         table.drop()
-    release(spark)
     return out.frame
 
 

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Written, map_batches, release, texts
+from .common import Written, map_batches, texts
 
 GRAM, PIECE = 200, 48
 WINDOW = GRAM - PIECE + 1
@@ -249,18 +249,15 @@ def _settled(fetched: DataFrame) -> DataFrame:
 
 def repeated_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """(places, keyed docs): places (doc, mark, at, n) are runs of starts whose 200 bytes start elsewhere too."""
-    spark = docs.sparkSession
     own = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text_col).alias("text"))
     runs = Written(_run_rows(own), "suffix-runs")
     kinds = Written(
         runs.frame.groupBy("anchor", "content").agg(F.count("*").alias("c"), F.min(F.struct("doc", "mark", "at", "n", "off")).alias("r")).withColumn("single", F.col("c") == 1),
         "suffix-kinds",
     )
-    release(spark)
     several = kinds.frame.groupBy("anchor").agg(F.count("*").alias("d")).where("d > 1").select("anchor")
     whole = Written(runs.frame.join(kinds.frame.where("not single").select("anchor", "content"), ["anchor", "content"]).select("doc", "mark", "at", "n"), "suffix-whole")
     runs.drop()
-    release(spark)
     asked = kinds.frame.join(several, "anchor").select("r.*", "anchor", "single").groupBy("doc", "mark").agg(F.collect_list(F.struct("at", "n", "off", "anchor", "single")).alias("runs"))
 
     def fetch(batch):
@@ -280,7 +277,6 @@ def repeated_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     fetched = map_batches(own.join(by_doc.hint("shuffle_hash"), "doc").select("doc", "text", "wanted"), fetch, "doc long, mark long, at long, n int, off int, anchor long, single boolean, raw binary")
     rest = Written(_settled(fetched), "suffix-rest")
     kinds.drop()
-    release(spark)
     return whole.frame.union(rest.frame), own
 
 
