@@ -1,12 +1,16 @@
 """Edit-aware token counts.
 
 A text is held as leaves of some pre-tokens each, cut only where the tokenizer always cuts; a segment tree holds sums
-of characters and tokens over the leaves. An edit finds its leaves by a descent over the character sums, re-encodes
-those leaves and the ones next to them (boundary context), puts the new text into the first of them, and corrects the
-sums on the paths to the root. The count of a text after edits never needs the untouched leaves again.
+of characters and tokens over the leaves. An edit finds its leaves by a descent over the character sums, puts the new
+text into them, cuts the result into leaves of the usual size again, encodes those, and corrects the sums on the paths
+to the root. The leaf before is encoded again only where the edit took away the cut between them (boundary context). A
+leaf may grow to twice its size before it is cut; where an edit makes more leaves than it touched, the tree is laid out
+anew from the counts that are there, without any encoding. So the characters encoded for an edit are those of the touched
+leaves and of the new text, whatever the number of edits before it.
 
 Defined results: a null or empty text has no leaves and no tokens; edits beyond the end append; edits are applied in
-order, each to the text as the former ones left it; repeated rows each get their row; extra columns are ignored.
+order, each to the text as the former ones left it; a mark of the vocabulary (the end-of-text string) in a text is its
+own token and is never cut; repeated rows each get their row; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -31,9 +35,11 @@ def leaves_of(text: str, coder: Encoder, size: int = LEAF) -> tuple[list[str], l
     """Leaves and their token counts."""
     if not text:
         return [], []
+    if len(coder.cut(text)) > 1:
+        return _rough(text, coder, size)
     head, *rest = text.split(" ")
     try:
-        counts = [len(coder.encode(head)), *(len(ids) // 4 for ids in map(coder.memo.__getitem__, rest))]
+        counts = [len(coder.plain(head)), *(len(ids) // 4 for ids in map(coder.memo.__getitem__, rest))]
     except KeyError:
         return _rough(text, coder, size)
     parts = [head, *rest]
@@ -44,28 +50,35 @@ def leaves_of(text: str, coder: Encoder, size: int = LEAF) -> tuple[list[str], l
 def _rough(text: str, coder: Encoder, size: int) -> tuple[list[str], list[int]]:
     """As leaves_of where some blanks are not cuts: pieces that can't start a leaf stay with the one before."""
     parts = text.split(" ")
-    safe = [i for i in range(1, len(parts)) if parts[i] and not parts[i][0].isspace()]
+    safe = [i for i in range(1, len(parts)) if _opens(" " + parts[i], coder)]
     cuts = [0, *safe[size - 1 :: size], len(parts)]
     leaves = []
     for a, b in zip(cuts, cuts[1:], strict=False):
         if a < b:
             leaves.append((" " if a else "") + " ".join(parts[a:b]))
-    return leaves, [len(coder.encode(x)) for x in leaves]
+    return leaves, [coder.count(x) for x in leaves]
+
+
+def _opens(text: str, coder: Encoder) -> bool:
+    """Whether the tokenizer starts a piece here whatever stands before."""
+    return len(text) > 1 and text[0] == " " and not text[1].isspace() and not text.startswith(tuple(coder.marks), 1)
 
 
 class TokenTree:
     def __init__(self, text: str, coder: Encoder, size: int = LEAF):
-        self.coder = coder
-        self.leaves, counts = leaves_of(text, coder, size)
-        self.width = 1 << max(0, (max(1, len(self.leaves)) - 1).bit_length())
+        self.coder, self.size, self.encoded = coder, size, 0
+        self._lay(*leaves_of(text, coder, size))
+
+    def _lay(self, leaves: list[str], counts: list[int]) -> None:
+        self.leaves = leaves
+        self.width = 1 << max(0, (max(1, len(leaves)) - 1).bit_length())
         self.sums = np.zeros((2 * self.width, 2), np.int64)
-        if self.leaves:
-            self.sums[self.width : self.width + len(self.leaves)] = np.column_stack([[len(x) for x in self.leaves], counts])
+        if leaves:
+            self.sums[self.width : self.width + len(leaves)] = np.column_stack([[len(x) for x in leaves], counts])
         level = self.width
         while level > 1:
             self.sums[level // 2 : level] = self.sums[level : 2 * level : 2] + self.sums[level + 1 : 2 * level : 2]
             level //= 2
-        self.encoded = 0
 
     @property
     def chars(self) -> int:
@@ -104,21 +117,26 @@ class TokenTree:
         end = min(max(start, end), self.chars)
         first, before = self._find(start)
         last, _ = self._find(max(start, end - 1))
-        prior = first - 1  # its end is context for a changed start
-        while prior >= 0 and not self.leaves[prior]:
-            prior -= 1
-        if prior >= 0:
-            first, before = prior, before - len(self.leaves[prior])
-        following = last + 1
-        while following < len(self.leaves) and not self.leaves[following]:
-            following += 1
-        last = min(following, len(self.leaves) - 1)
         whole = "".join(self.leaves[first : last + 1])
         changed = whole[: start - before] + new + whole[end - before :]
+        while changed and not _opens(changed, self.coder) and before:
+            first -= 1
+            before -= len(self.leaves[first])
+            changed = self.leaves[first] + changed
         self.encoded += len(changed)
-        self._set(first, changed, self.coder.count(changed))
-        for leaf in range(first + 1, last + 1):
-            if self.leaves[leaf]:
+        if changed.count(" ") <= 2 * self.size:
+            leaves, counts = ([changed], [self.coder.count(changed)]) if changed else ([], [])
+        else:
+            leaves, counts = leaves_of(changed, self.coder, self.size)
+        if len(leaves) > last + 1 - first:
+            kept = self.sums[self.width : self.width + len(self.leaves), 1].tolist()
+            self._lay(self.leaves[:first] + leaves + self.leaves[last + 1 :], kept[:first] + counts + kept[last + 1 :])
+            return
+        for leaf in range(first, last + 1):
+            k = leaf - first
+            if k < len(leaves):
+                self._set(leaf, leaves[k], counts[k])
+            elif self.leaves[leaf]:
                 self._set(leaf, "", 0)
 
 

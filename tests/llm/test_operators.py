@@ -55,9 +55,14 @@ def test_simhash_trees_lose_no_link(spark):
 
 def test_packing(docs, none):
     rows = packing.pack(docs).collect()
-    coder = Encoder()
-    want = sum(coder.count(t or "") + 1 for t in [*TEXTS, TEXTS[3]])
-    assert sum(r.length for r in rows) == want and all(r.length <= 2048 for r in rows)
+    whole, want = _whole_tokenizer(), []
+    for i, t in [*enumerate(TEXTS), (3, TEXTS[3])]:
+        ids = np.array([*whole.encode(t or "", add_special_tokens=False).ids, 0], "<u4")
+        start = 0
+        for piece, length in enumerate([n for n in [len(ids) % 2048] if n] + [2048] * (len(ids) // 2048)):
+            want.append((i, piece, start, length, zlib.crc32(ids[start : start + length].tobytes())))
+            start += length
+    assert sorted((r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in rows) == sorted(want)
     by: dict = {}
     for r in rows:
         by.setdefault(r.sequence_id, []).append((r.offset, r.length))
@@ -89,9 +94,8 @@ def test_ids_equal_the_whole_text_tokenizer(docs):
     from tokenizers import Tokenizer
 
     whole = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
-    whole.encode_special_tokens = True
     coder = Encoder()
-    for t in [*TEXTS, "  lead", "trail ", "tab\tin", "a\n b", "x \n y", "don't  stop"]:
+    for t in [*TEXTS, "  lead", "trail ", "tab\tin", "a\n b", "x \n y", "don't  stop", "a <|endoftext|> b", "<|endoftext|><|endoftext|>x  <|endoftext|>", "<|endof text|>"]:
         assert np.frombuffer(coder.ids(t or ""), "<u4").tolist() == whole.encode(t or "", add_special_tokens=False).ids
 
 
@@ -106,6 +110,68 @@ def test_token_counts_after_edits():
         assert tree.text() == text and tree.tokens == coder.count(text)
 
 
+def _whole_tokenizer():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def test_token_trees_stay_exact_under_random_edits():
+    coder, rng, whole = Encoder(), np.random.default_rng(7), _whole_tokenizer()
+    bits = ["one", " two", "  ", "\n", " <|endoftext|>", "<|endoftext|>", "three ", "", "é😀", " a b c d e f g h i j k l m", "\t x"]
+    for _ in range(40):
+        text = "".join(rng.choice(bits, rng.integers(0, 30)))
+        tree = token_counts.TokenTree(text, coder, size=2)
+        for _ in range(12):
+            a = int(rng.integers(0, len(text) + 2))
+            b, new = a + int(rng.integers(0, 12)), str(rng.choice(bits))
+            text = text[:a] + new + text[max(min(a, len(text)), b) :]
+            tree.edit(a, b, new)
+            assert tree.text() == text and tree.chars == len(text) and tree.tokens == len(whole.encode(text, add_special_tokens=False).ids)
+
+
+def test_edits_encode_only_what_they_touch():
+    coder = Encoder()
+    words = [f"word{i % 997}" for i in range(20_000)]
+    text = " ".join(words)
+    for step in (20, 60):
+        edits, at = [], 0
+        for i, w in enumerate(words):
+            if i % step == 0:
+                edits.append((at, at + len(w), "[name]"))
+            at += len(w) + 1
+        for order in (edits[::-1], sorted(edits, key=lambda e: e[0] * 7919 % 10007)):
+            tree = token_counts.TokenTree(text, coder)
+            leaf = max(map(len, tree.leaves))
+            moved = 0
+            for a, b, new in order:
+                shift = sum(len(n) - (y - x) for x, y, n in order[:moved] if x < a)
+                tree.edit(a + shift, b + shift, new)
+                moved += 1
+            assert tree.encoded <= 2 * len(edits) * leaf and len(tree.leaves) >= len(words) // 64
+
+
+def test_token_counts(spark, docs, none):
+    whole = _whole_tokenizer()
+    edits = lambda t: [(0, 3, "X y"), (len(t) // 2, len(t) // 2 + 9, ""), (10**9, 10**9, " tail")] if t else []
+
+    def after(t):
+        for a, b, new in edits(t):
+            t = t[: min(a, len(t))] + new + t[min(b, len(t)) :]
+        return t
+
+    n = lambda t: len(whole.encode(t, add_special_tokens=False).ids)
+    rows = sorted((r.doc_id, r.n_tokens, r.n_edits, r.n_tokens_after) for r in token_counts.count_tokens(docs, edits).collect())
+    assert rows == sorted((i, n(t or ""), len(edits(t or "")), n(after(t or ""))) for i, t in [*enumerate(TEXTS), (3, TEXTS[3])])
+    assert token_counts.count_tokens(none).count() == 0
+    for r in token_counts.count_tokens(docs).collect():
+        t = TEXTS[r.doc_id] or ""
+        for a, b, new in token_counts.redactions(t):
+            t = t[:a] + new + t[b:]
+        assert r.n_tokens_after == n(t)
+
+
 def test_embeddings(spark):
     rng = np.random.default_rng(4)
     base = rng.normal(size=(40, 64))
