@@ -94,3 +94,17 @@ def choose_cut(points: np.ndarray, degree_at: np.ndarray, lo: float, hi: float,
     profit = estimate_traversals(points[held], degree_at[held], lo, hi, degree_at_lo, two_m, table, by_quantiles).profit
     best = int(np.argmax(profit))
     return float(points[held][best]) if profit[best] > 0 else lo
+
+
+def cut_profit(x, degree_at_x, lo: float, hi: float, degree_at_lo: float, two_m: float, wmax: float):
+    """The profit of a cut x for arrays or columns of candidates, uniform weights assumed (as in estimate_traversals)."""
+    if isinstance(x, np.ndarray):
+        reach, far = np.maximum(x, lo - wmax), np.minimum(hi, np.maximum(x, lo - wmax) + wmax)
+    else:
+        from pyspark.sql import functions as F
+
+        reach = F.greatest(x, F.lit(lo - wmax))
+        far = F.least(F.lit(hi), reach + wmax)
+    band = degree_at_x - degree_at_lo
+    pulled = (far - reach) * (degree_at_lo / wmax)
+    return (min(hi, lo + wmax) - lo) * band / wmax - pulled * band / two_m - pulled

@@ -7,7 +7,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.engine import Config, adaptive_sssp
+from ..plans.engine import Config, adaptive_all
 from ..plans.prepared import PreparedGraph, ensure_checkpoint_dir
 
 
@@ -18,9 +18,9 @@ def random_sources(graph: PreparedGraph, count: int = 64, seed: int = 42) -> lis
 
 
 def multi_source(graph: PreparedGraph, sources: list[int], cfg: Config = Config()) -> DataFrame:
-    """(source, v, dist): one search after another on the shared preprocessing."""
-    found = [adaptive_sssp(graph, s, cfg).state.select(F.lit(s).cast("long").alias("source"), "v", "dist") for s in sources]
-    return reduce(DataFrame.union, found)
+    """(source, v, dist): searches on the shared preprocessing; tasks of one job where the graph fits a task."""
+    found = adaptive_all(graph, sources, cfg)
+    return reduce(DataFrame.union, (found[s].state.select(F.lit(s).cast("long").alias("source"), "v", "dist") for s in dict.fromkeys(sources)))
 
 
 def nearest_facility(graph: PreparedGraph, facilities: list[int], cfg: Config = Config()) -> DataFrame:

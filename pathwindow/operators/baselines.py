@@ -4,37 +4,39 @@ from __future__ import annotations
 
 import heapq
 import math
+from dataclasses import replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.stepping import choose_width
-from ..plans.engine import Result, _open_histogram, _result
-from ..plans.prepared import PreparedGraph, fixed_plans
-from ..plans.rounds import Search, path_length
+from ..functions.stepping import QuantileTable, choose_width
+from ..plans.engine import Result, run
+from ..plans.prepared import PreparedGraph
+from ..plans.rounds import FRESH, Band
 
-def fresh() -> Column:
-    return F.col("fresh")
+ALL = {"skip_parent": False, "keep_leaves": True}
+
+
+def bellman_ford_loop(search) -> None:
+    while search.last.fresh:
+        search.push(FRESH)
 
 
 def bellman_ford(graph: PreparedGraph, source: int) -> Result:
     """Every round extends all lengths that improved in the one before."""
-    search = Search(graph, source, skip_parent=False, keep_leaves=True)
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        while search.last.fresh:
-            search.push(fresh())
-    return _result(search)
+    return run(graph, source, bellman_ford_loop, ALL)
+
+
+def dijkstra_loop(search, max_rounds: int) -> None:
+    while search.last.fresh:
+        if search.counters.rounds >= max_rounds:
+            raise RuntimeError("too many rounds")
+        search.push((Band(hi=search.last.fresh_min, fresh=True, closed=True),))
 
 
 def dijkstra_rounds(graph: PreparedGraph, source: int, max_rounds: int = 100_000) -> Result:
     """Every round settles all vertices at the least open length: no path is extended twice."""
-    search = Search(graph, source, skip_parent=False, keep_leaves=True)
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        while search.last.fresh:
-            if search.counters.rounds >= max_rounds:
-                raise RuntimeError("too many rounds")
-            search.push(fresh() & (F.col("dist") == search.last.fresh_min))
-    return _result(search)
+    return run(graph, source, dijkstra_loop, ALL, max_rounds=max_rounds)
 
 
 def dijkstra_local(edges: list[tuple], source: int) -> dict[int, float]:
@@ -54,170 +56,131 @@ def dijkstra_local(edges: list[tuple], source: int) -> dict[int, float]:
     return best
 
 
+def dijkstra_components(edges: DataFrame, components: DataFrame, sources: DataFrame) -> DataFrame:
+    """(source, v, dist): exact searches in one process for each component that holds a source, a group of rows each.
+
+    For graphs of many small components (v, component): a component has to fit a task."""
+    import pandas as pd
+
+    kind = dict(edges.dtypes)["w"]
+    asked = sources.select(F.col("source").cast("long").alias("source")).join(components, F.col("source") == F.col("v")).select("component", "source")
+    held = edges.join(components, F.col("a") == F.col("v")).join(asked.select("component").distinct(), "component", "left_semi").select("component", "a", "b", "w")
+
+    def each(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        edge_list = list(left[["a", "b", "w"]].itertuples(index=False, name=None))
+        return pd.DataFrame([(s, v, d) for s in right["source"] for v, d in dijkstra_local(edge_list, s).items()], columns=["source", "v", "dist"])
+
+    return held.groupBy("component").cogroup(asked.groupBy("component")).applyInPandas(each, f"source long, v long, dist {kind}")
+
+
+def _delta(graph, delta):
+    return delta or max(0.1 * graph.wmax, 1 if isinstance(graph.wmax, int) else 0) or 1.0
+
+
+def delta_loop(search, delta, adaptive: bool, fused: int) -> None:
+    graph, lo = search.graph, 0
+    delta = _delta(graph, delta)
+    while search.last.fresh:
+        lo = max(lo, search.last.fresh_min)
+        if adaptive:
+            delta = choose_width(search.statistics(lo)[0], graph.two_m, graph.table).width or 1
+        else:
+            lo = math.floor(lo / delta) * delta
+        hi = lo + delta
+        while search.last.fresh and search.last.fresh_min < hi:
+            if fused and hasattr(search, "fused"):
+                search.fused(lo, None, fused, (lo, hi), extend_to=hi, upto=delta)
+            else:
+                search.push((Band(lo, hi, fresh=True),), None, (None, delta), (lo, hi))
+        search.push((Band(lo, hi, counted="none"),), None, (delta, None), (lo, hi))
+        search.counters.windows += 1
+        lo = hi
+
+
 def delta_stepping(graph: PreparedGraph, source: int, delta=None, adaptive: bool = False, fused: bool = False, local_rounds: int = 256) -> Result:
     """Buckets of width delta (a tenth of the largest weight by default): light arcs to a fixed point, then heavy ones.
 
-    ``adaptive``: each bucket's width is the window choice's. ``fused``: light rounds run on within partitions first.
-    """
-    search, lo = Search(graph, source, skip_parent=False), 0
-    delta = delta or max(0.1 * graph.wmax, 1 if isinstance(graph.wmax, int) else 0)
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        while search.last.fresh:
-            lo = max(lo, search.last.fresh_min)
-            if adaptive:
-                delta = choose_width(_open_histogram(search, lo), graph.two_m, graph.table).width
-            else:
-                lo = math.floor(lo / delta) * delta
-            hi = lo + delta
-            here = (F.col("dist") >= lo) & (F.col("dist") < hi)
-            while search.last.fresh and search.last.fresh_min < hi:
-                if fused:
-                    fused_round(search, lo, hi, delta, local_rounds)
-                else:
-                    search.push(fresh() & here, F.col("w") <= delta, note=(lo, hi))
-            search.push(here, F.col("w") > delta, F.lit(False), (lo, hi))
-            search.counters.windows += 1
-            lo = hi
-    return _result(search)
-
-
-def fused_round(search: Search, lo, hi, delta, local_rounds: int) -> None:
-    """Relax light arcs inside each partition up to a number of times, then let the partitions exchange once.
-
-    A partition's state and arcs meet in one Arrow batch pair; hash partitions bound its size.
+    ``adaptive``: each bucket's width is the window choice's. ``fused``: light rounds run on within partitions first (a
+    distributed search; within one task every round is local).
     """
-    import numpy as np
-    import pyarrow as pa
-
-    source, keep = search.source, search.keep_leaves
-    parts = search.graph.parts
-    part = F.pmod(F.hash("v"), F.lit(parts))
-    kind = dict(search.graph.arcs.dtypes)["w"]
-
-    def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        v, deg = left.column("v").to_numpy(), left.column("deg").to_numpy()
-        dist = left.column("dist").to_pandas().astype(float).to_numpy().copy()
-        fresh = left.column("fresh").to_numpy(zero_copy_only=False).copy()
-        hops = left.column("hops").to_pandas().fillna(0).to_numpy(int).copy()
-        parent = left.column("parent").to_pandas().fillna(-1).to_numpy(np.int64).copy()
-        order = np.argsort(v)
-        src, dst, w = (right.column(c).to_numpy() for c in ("src", "dst", "w"))
-        light = w <= delta
-        src, dst, w = src[light], dst[light], w[light]
-        at = order[np.searchsorted(v[order], src)] if len(src) else np.zeros(0, int)
-        there = np.searchsorted(v[order], dst) if len(v) else np.zeros(0, int)
-        inside = (there < len(v)) & (v[order][np.minimum(there, len(v) - 1)] == dst) if len(v) else np.zeros(0, bool)
-        out = []
-        improved_any = np.zeros(len(v), bool)
-        extended = 0
-        for _ in range(local_rounds):
-            go = fresh & (dist >= lo) & (dist < hi) & ((deg > 1) | (v == source) | keep)
-            fresh &= ~((dist >= lo) & (dist < hi))
-            if not go.any():
-                break
-            extended += int(go.sum())
-            use = np.flatnonzero(go[at])
-            length = dist[at[use]] + w[use]
-            away = use[~inside[use]]
-            if len(away):
-                out.append((dst[away], dist[at[away]] + w[away], hops[at[away]] + 1, src[away]))
-            home = inside[use]
-            target, length, via = order[there[use[home]]], length[home], at[use[home]]
-            rank = np.lexsort([length, target])
-            target, length, via = target[rank], length[rank], via[rank]
-            lead = np.concatenate([[True], target[1:] != target[:-1]]) if len(target) else np.zeros(0, bool)
-            target, length, via = target[lead], length[lead], via[lead]
-            better = ~(dist[target] <= length)
-            target, length, via = target[better], length[better], via[better]
-            dist[target], hops[target], parent[target] = length, hops[via] + 1, v[via]
-            fresh[target] = improved_any[target] = True
-        lists = [np.concatenate([o[i] for o in out]) if out else np.zeros(0) for i in range(4)]
-        reached = ~np.isnan(dist)
-        n = len(lists[0])
-        values = lambda own, more: np.concatenate([own, more])
-        number = pa.float64() if kind == "double" else pa.int64()
-        length = values(np.where(reached, dist, 0), lists[1])
-        known = np.concatenate([reached, np.ones(n, bool)])
-        return pa.table({
-            "v": pa.array(values(v, lists[0]).astype(np.int64)), "own": pa.array(np.concatenate([np.ones(len(v), bool), np.zeros(n, bool)])), "deg": pa.array(values(deg, np.zeros(n)).astype(np.int64)),
-            "dist": pa.array(length if kind == "double" else np.rint(length).astype(np.int64), number, mask=~known),
-            "hops": pa.array(values(hops, lists[2]).astype(np.int32), mask=~known), "parent": pa.array(values(parent, lists[3]).astype(np.int64), mask=~known),
-            "fresh": pa.array(np.concatenate([fresh, np.zeros(n, bool)])), "extended": pa.array(np.where(np.arange(len(v) + n) == 0, extended, 0)),
-        })
-
-    state = search.state.withColumn("part", part)
-    arcs = search.graph.arcs.withColumn("part", F.pmod(F.hash("src"), F.lit(parts)))
-    schema = f"v long, own boolean, deg long, dist {kind}, hops int, parent long, fresh boolean, extended long"
-    met = state.groupBy("part").cogroup(arcs.groupBy("part")).applyInArrow(run, schema).checkpoint()
-    search.counters.extended += met.agg(F.sum("extended")).first()[0] or 0
-    found = met.where("not own").groupBy(F.col("v").alias("dst")).agg(F.min(F.struct(F.col("dist").alias("length"), "hops", F.col("parent").alias("src"))).alias("best"), F.count("*").alias("k"))
-    search.state = met.where("own").select("v", "deg", "dist", "hops", "parent", "fresh").repartition(parts, "v")
-    search._merge(found, F.lit(False), F.lit(False), "fused", (lo, hi))
+    return run(graph, source, delta_loop, {"skip_parent": False}, delta=delta, adaptive=adaptive, fused=local_rounds if fused else 0)
+
+
+def delta_star_loop(search, delta) -> None:
+    threshold, delta = 0, _delta(search.graph, delta)
+    while search.last.fresh:
+        threshold = max(threshold, search.last.fresh_min) + delta
+        search.push((Band(hi=threshold, fresh=True),), note=(0, threshold))
 
 
 def delta_star_stepping(graph: PreparedGraph, source: int, delta=None) -> Result:
     """A threshold that moves on by delta in every round, whether or not a bucket is done."""
-    search, threshold = Search(graph, source, skip_parent=False), 0
-    delta = delta or max(0.1 * graph.wmax, 1 if isinstance(graph.wmax, int) else 0)
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        while search.last.fresh:
-            threshold = max(threshold, search.last.fresh_min) + delta
-            search.push(fresh() & (F.col("dist") < threshold), note=(0, threshold))
-    return _result(search)
+    return run(graph, source, delta_star_loop, {"skip_parent": False}, delta=delta)
+
+
+def rho_loop(search, rho: int) -> None:
+    while search.last.fresh:
+        limit = max(search.nearest_fresh(rho), search.last.fresh_min) if search.last.fresh > rho else None
+        search.push(FRESH if limit is None else (Band(hi=limit, fresh=True, closed=True),))
 
 
 def rho_stepping(graph: PreparedGraph, source: int, rho: int | None = None) -> Result:
-    """Every round extends the rho nearest fresh vertices (ties with the last one too)."""
-    search = Search(graph, source, skip_parent=False)
-    rho = rho or max(64, graph.n // 8)
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        while search.last.fresh:
-            limit = None
-            if search.last.fresh > rho:
-                limit = search.state.where(fresh()).agg(F.percentile("dist", rho / search.last.fresh)).first()[0]
-            search.push(fresh() if limit is None else fresh() & (F.col("dist") <= max(limit, search.last.fresh_min)))
-    return _result(search)
-
-
-def pruned_delta_stepping(graph: PreparedGraph, source: int, delta=None) -> Result:
+    """Every round extends about the rho nearest fresh vertices (ties with the last one too)."""
+    return run(graph, source, rho_loop, {"skip_parent": False}, rho=rho or max(64, graph.n // 8))
+
+
+def pruned_delta_loop(search, delta, max_windows: int) -> None:
+    lo, wmax = 0, search.graph.wmax
+    delta = _delta(search.graph, delta)
+    delta = int(math.ceil(delta)) if isinstance(wmax, int) else delta
+    slack = 0 if isinstance(wmax, int) else 1e-9 * (1 + float(wmax))
+    r = search.last
+    while r.top + wmax >= lo:
+        if search.counters.windows >= max_windows:
+            raise RuntimeError("too many windows")
+        hi = lo + delta
+        pushed, left = search.degree_sums(lo, wmax)
+        if not left:
+            break
+        pull = pushed > left
+        if pull:
+            search.pull(lo, hi, max(0, lo - wmax - slack), note=(lo, hi))
+        short = Band(lo, hi, counted="fresh")
+        r = search.push((short,) if pull else (Band(lo - wmax - slack, lo, counted="none"), short), (lo, hi), note=(lo, hi))
+        while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
+            r = search.push((Band(lo, hi, fresh=True),), (lo, hi), note=(lo, hi))
+        search.counters.windows += 1
+        lo = hi
+
+
+def pruned_delta_stepping(graph: PreparedGraph, source: int, delta=None, max_windows: int = 100_000) -> Result:
     """Fixed windows in which only arcs whose length falls into the window are relaxed; per window, settled vertices
     either all push or are all pulled from, by the smaller degree sum."""
-    search, lo, wmax = Search(graph, source), 0, graph.wmax
-    delta = delta or max(0.1 * wmax, 1 if isinstance(wmax, int) else 0)
-    delta = int(math.ceil(delta)) if isinstance(wmax, int) else delta
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        r = search.last
-        while r.top + wmax >= lo:
-            hi = lo + delta
-            short, band = (F.col("dist") >= lo) & (F.col("dist") < hi), (F.col("dist") >= lo - wmax) & (F.col("dist") < lo)
-            sums = search.state.agg(F.sum(F.when(band, F.col("deg"))).alias("pushed"), F.sum(F.when(F.col("dist").isNull() | (F.col("dist") >= lo), F.col("deg"))).alias("open")).first()
-            if not sums["open"]:
-                break
-            pull = (sums["pushed"] or 0) > sums["open"]
-            if pull:
-                search.pull(lo, hi, max(0, lo - wmax), note=(lo, hi))
-            r = search.push(short if pull else band | short, (path_length() >= lo) & (path_length() < hi), short & fresh(), (lo, hi))
-            while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
-                r = search.push(fresh() & short, (path_length() >= lo) & (path_length() < hi), note=(lo, hi))
-            search.counters.windows += 1
-            lo = hi
-    return _result(search)
+    return run(graph, source, pruned_delta_loop, None, delta=delta, max_windows=max_windows)
 
 
 def bfs(graph: PreparedGraph, source: int) -> Result:
     """Fewest hops: the search with all weights one."""
-    ones = graph.arcs.withColumn("w", F.lit(1).cast("long"))
-    from dataclasses import replace
+    one = F.lit(1).cast("long")
+    chunks = graph.chunks.select("src", one.alias("wmin"), one.alias("wmax"), F.transform("adjacent", lambda x: F.struct(one.alias("w"), x["dst"].alias("dst"))).alias("adjacent"))
+    ones = replace(graph, arcs=graph.arcs.withColumn("w", one), chunks=chunks, table=QuantileTable((1, 1)), cache={})
+    return bellman_ford(ones, source)
 
-    from ..functions.stepping import QuantileTable
 
-    return bellman_ford(replace(graph, arcs=ones, table=QuantileTable((1, 1))), source)
+SHARES = (0.02, 0.05, 0.1, 0.2, 0.5, 1.0)
 
 
-def tune_delta(graph: PreparedGraph, source: int, shares: tuple[float, ...] = (0.05, 0.1, 0.3, 1.0)) -> DataFrame:
+def tune_delta(graph: PreparedGraph, source: int, shares: tuple[float, ...] = SHARES) -> DataFrame:
     """Counters of delta-stepping over widths, as shares of the largest weight."""
     rows = []
     for share in shares:
-        c = delta_stepping(graph, source, max(share * graph.wmax, 1)).counters
+        c = delta_stepping(graph, source, max(share * graph.wmax, 1) if isinstance(graph.wmax, int) else share * graph.wmax).counters
         rows.append((share, c.rounds, c.relaxed, c.extended))
     return graph.arcs.sparkSession.createDataFrame(rows, "share double, rounds int, relaxed long, extended long")
+
+
+def tuned_delta_stepping(graph: PreparedGraph, source: int, shares: tuple[float, ...] = SHARES, sync_cost: int | None = None) -> Result:
+    """Fused delta-stepping with the width of the least work: traversals, and a synchronisation as so many of them."""
+    cost = graph.n if sync_cost is None else sync_cost
+    best = min(tune_delta(graph, source, shares).collect(), key=lambda r: (r["relaxed"] + cost * r["rounds"], r["share"]))
+    return delta_stepping(graph, source, max(best["share"] * graph.wmax, 1) if isinstance(graph.wmax, int) else best["share"] * graph.wmax, fused=True)

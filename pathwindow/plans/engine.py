@@ -1,17 +1,23 @@
-"""The adaptive window search and the fixed-schedule searches, all on the same rounds."""
+"""The adaptive window search and the fixed-schedule searches, all on the same rounds.
+
+A schedule is a loop over rounds of a search object: ``rounds.Search`` on distributed frames, or ``local.LocalSearch``
+within one task where the graph's checked size allows it. ``run`` chooses.
+"""
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass, replace
+from collections.abc import Callable
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.stepping import balance_degree, choose_cut, choose_width, open_degree
+from ..functions.stepping import balance_degree, choose_cut, choose_width, cut_profit, open_degree
+from .local import fits, search_locally
 from .prepared import PreparedGraph, fixed_plans
-from .rounds import Counters, Search, path_length
+from .rounds import FRESH, Band, Counters, Search
 
 SLACK = 1e-9
 
@@ -25,160 +31,177 @@ class Config:
     cut_mode: str = "grid"  # grid, all, cdf
     width: float | None = None  # a fixed width in place of the chosen one
     jump_empty: bool = True
+    fused: int = 256  # local rounds before an exchange where the width is the largest weight (distributed search); 0: none
     max_windows: int = 20_000
     max_rounds: int = 50_000
 
 
 @dataclass
 class Result:
-    state: DataFrame  # v, dist, hops, parent of reached vertices
+    state: DataFrame  # v, dist, hops, parent, deg of reached vertices
     counters: Counters
     graph: PreparedGraph
     source: int
+    seconds: float | None = None  # of the search alone, where it ran within a task
+    others: dict = field(default_factory=dict)
 
     def trace(self) -> DataFrame:
         schema = "window int, round int, kind string, lo double, hi double, cut double, extended long, relaxed long, improved long"
         return self.state.sparkSession.createDataFrame(self.counters.trace, schema)
 
 
-def _result(search: Search) -> Result:
-    return Result(search.state.where("dist is not null").select("v", "dist", "hops", "parent", "deg"), search.counters, search.graph, search.source)
-
-
-def _open_histogram(search: Search, hi) -> dict[int, int]:
-    left = search.state.where(F.col("dist").isNull() | (F.col("dist") >= hi)).groupBy("deg").agg(F.count("*").alias("n"))
-    return {r["deg"]: r["n"] for r in left.collect()}
-
-
-def _cut(search: Search, cfg: Config, lo, hi, grid: tuple[float, float] | None) -> float:
-    """Degree sums of settled vertices by distance, and the best cut among the candidates."""
-    graph = search.graph
-    settled = search.state.where(F.col("dist") < lo)
-    if cfg.cut_mode == "all":
-        # every settled distance is a candidate; a histogram of distances this fine is for small graphs and audits
-        rows = settled.groupBy("dist").agg(F.sum("deg").alias("d")).orderBy("dist").collect()
-        points, sums = np.array([float(r["dist"]) for r in rows]), np.array([float(r["d"]) for r in rows])
-    else:
-        first, last = grid
-        step = (last - first) / cfg.st_num or 1.0
-        place = F.greatest(F.lit(-1), F.least(F.lit(cfg.st_num), F.floor((F.col("dist") - first) / step))).cast("int")
-        rows = settled.groupBy(place.alias("k")).agg(F.sum("deg").alias("d")).collect()
-        sums = np.zeros(cfg.st_num + 1)
-        for r in rows:
-            if r["k"] >= 0:
-                sums[r["k"]] += r["d"]
-        points = first + step * np.arange(cfg.st_num + 1)
-    below_lo = float(settled.agg(F.sum("deg")).first()[0] or 0)
-    degree_lo = graph.two_m - below_lo
-    at = degree_lo + np.cumsum(sums[::-1])[::-1]
-    cut = choose_cut(points, at, float(lo), float(hi), degree_lo, graph.two_m, graph.table, cfg.cut_mode == "cdf")
-    return max(0.0, min(cut, float(lo)))
-
-
-def _jump(search: Search, lo):
-    """The least length that any settled vertex offers an open one, where a window brought nothing."""
-    settled = search.state.where(F.col("dist") < lo).select("v", "dist")
-    closed = settled.select(F.col("v").alias("dst"))
-    offers = settled.join(search.graph.arcs, F.col("v") == F.col("src")).join(closed, "dst", "left_anti").agg(F.min(path_length())).first()[0]
-    waiting = search.state.where(F.col("dist") >= lo).agg(F.min("dist")).first()[0]
-    return min((x for x in (offers, waiting) if x is not None), default=None)
+def _alone(graph: PreparedGraph, source: int) -> Result:
+    """A source without edges reaches itself."""
+    kind = dict(graph.arcs.dtypes)["w"]
+    row = graph.arcs.sparkSession.range(1).select(F.lit(source).cast("long").alias("v"), F.lit(0).cast(kind).alias("dist"), F.lit(0).alias("hops"), F.lit(source).cast("long").alias("parent"), F.lit(0).cast("long").alias("deg"))
+    return Result(row, Counters(), graph, source)
+
+
+def run(graph: PreparedGraph, source: int, loop: Callable, options: dict | None = None, **args) -> Result:
+    """One search by a schedule, within a task or distributed."""
+    return run_all(graph, [source], loop, options, **args)[source]
+
+
+def run_all(graph: PreparedGraph, sources: list[int], loop: Callable, options: dict | None = None, **args) -> dict[int, Result]:
+    """Searches from several sources on the shared preprocessing: tasks of one job where the graph fits a task, otherwise
+    one distributed search after another."""
+    options = options or {}
+    there = {r["v"] for r in graph.vertices.where(F.col("v").isin(list(sources))).select("v").collect()} if graph.n else set()
+    found = {s: _alone(graph, s) for s in sources if s not in there}
+    asked = [s for s in dict.fromkeys(sources) if s in there]
+    if asked and fits(graph):
+        states, counters, seconds = search_locally(graph, asked, loop, options, args)
+        for s in asked:
+            found[s] = Result(states.where(F.col("source") == s).drop("source"), counters[s], graph, s, seconds[s])
+        return found
+    for s in asked:
+        search = Search(graph, s, **options)
+        with fixed_plans(graph.arcs.sparkSession, graph.parts):
+            loop(search, **args)
+        found[s] = Result(search.state.where("dist is not null").select("v", "dist", "hops", "parent", "deg"), search.counters, graph, s)
+    return found
 
 
-def adaptive_sssp(graph: PreparedGraph, source: int, cfg: Config = Config()) -> Result:
-    """Exact shortest paths in windows [lo, hi) whose widths follow degrees and weights.
+def adaptive_loop(search, cfg: Config = Config(), stop_at_target: bool = False) -> None:
+    """Windows [lo, hi) whose widths follow degrees and weights.
 
     Settled vertices below ``cut`` push their arcs into the window; those of [cut, lo) are pulled from. The first window
     ends at the nearest vertex of at least the balance degree; a source of such degree closes it at zero, after its own
     arcs are relaxed once, and the second window starts there.
     """
-    spark, wmax = graph.arcs.sparkSession, graph.wmax
-    alpha = cfg.alpha if cfg.alpha != "auto" else (max(graph.histogram) if max(graph.histogram) <= 2 * balance_degree(graph.histogram) and max(graph.histogram) <= 8 else 3)
-    slack = SLACK * (1 + float(wmax)) if not isinstance(wmax, int) else 0
-    hub = balance_degree(graph.histogram)
-    search = Search(graph, source, hub)
-    c = search.counters
-    with fixed_plans(spark, graph.parts):
-        # first window: open-ended until a hub is met
-        lo, hi = 0, math.inf
-        while True:
-            rows = F.col("fresh") & (F.col("dist") < (hi if hi < math.inf else F.col("dist") + 1))
-            before = hi
-            r = search.push(rows, None if hi == math.inf else path_length() < hi, note=(lo, hi))
-            hi = min(hi, r.hub if r.hub is not None else math.inf)
-            if r.fresh == 0 or (r.fresh_min is not None and r.fresh_min >= hi):
-                break
-            if hi == before and not r.improved and r.fresh_min is None:
-                break
+    graph, c = search.graph, search.counters
+    wmax, whole = graph.wmax, isinstance(graph.wmax, int)
+    alpha = cfg.alpha
+    if alpha == "auto":
+        alpha = max(graph.histogram) if max(graph.histogram) <= min(8, 2 * balance_degree(graph.histogram)) else 3
+    slack = 0 if whole else SLACK * (1 + float(wmax))
+    # first window: open-ended until a hub is met
+    hi = math.inf
+    while True:
+        before = hi
+        r = search.push((Band(hi=None if hi == math.inf else hi, fresh=True),), None if hi == math.inf else (None, hi), note=(0, hi))
+        hi = min(hi, r.hub if r.hub is not None else math.inf)
+        if r.fresh == 0 or (r.fresh_min is not None and r.fresh_min >= hi):
+            break
+        if hi == before and not r.improved and r.fresh_min is None:
+            break
+        if c.rounds > cfg.max_rounds:
+            raise RuntimeError("too many rounds")
+    c.windows += 1
+    if hi == math.inf:
+        return
+    previous_full, st0, st1 = False, hi, None
+    while search.last.top + wmax >= hi:
+        if stop_at_target and search.last.target is not None and search.last.target < hi:
+            return
+        first, step = (None, 1.0) if st1 is None else (float(st0), (float(st1) - float(st0)) / cfg.st_num or 1.0)
+        histogram, sums = search.statistics(hi, first, step, cfg.st_num)
+        if not histogram:
+            break
+        if c.windows >= cfg.max_windows:
+            raise RuntimeError("too many windows")
+        lo, total = hi, open_degree(histogram)
+        choice = choose_width(histogram, graph.two_m, graph.table, alpha, cfg.beta)
+        width = cfg.width or choice.width or 1
+        full = width >= wmax
+        hi = lo + width
+        if hi <= lo:
+            raise RuntimeError("a window must have a width")
+        if st1 is None and 2 * total <= graph.two_m:
+            st1 = lo
+            step = (float(st1) - float(st0)) / cfg.st_num or 1.0
+            if cfg.cut_mode != "all":
+                _, sums = search.statistics(lo, float(st0), step, cfg.st_num)
+        cut = lo
+        if cfg.pull == "always":
+            cut = max(0, lo - wmax)
+        elif cfg.pull != "off" and 2 * total < graph.two_m and not previous_full:
+            if full:
+                cut = max(0, lo - wmax)
+            elif cfg.cut_mode == "all":
+                found = search.best_cut(lo, lambda x, d, lo=lo, hi=hi, total=total: cut_profit(x, d, float(lo), float(hi), total, graph.two_m, float(wmax)))
+                cut = lo if found is None else found
+            else:
+                points = float(st0) + step * np.arange(cfg.st_num + 1)
+                at = total + np.cumsum(sums[::-1])[::-1]
+                cut = choose_cut(points, at, float(lo), float(hi), total, graph.two_m, graph.table, cfg.cut_mode == "cdf")
+            cut = max(0, min(cut, lo))
+        previous_full = full
+        if whole and cut < lo:
+            cut = int(math.floor(cut))
+        note = (lo, hi, cut)
+        if cut < lo:
+            search.pull(lo, hi, cut, "semi" if cfg.pull == "semi" else "request", note)
+        # settled vertices that push reach back one maximum weight at most; they are no new paths
+        settled, short = Band(lo - wmax - slack, cut, counted="none"), Band(lo, hi, counted="fresh")
+        r = search.push((settled, short), (lo, hi), note=note)
+        gained = r.improved
+        while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
+            if full and cfg.fused and hasattr(search, "fused"):
+                r = search.fused(lo, hi, cfg.fused, note)
+            else:
+                r = search.push((Band(lo, hi, fresh=True),), (lo, hi), note=note)
+            gained += r.improved
             if c.rounds > cfg.max_rounds:
                 raise RuntimeError("too many rounds")
         c.windows += 1
-        if hi == math.inf:
-            return _result(search)
-        previous_full, grid, st0 = False, None, hi
-        while search.last.top + wmax >= hi:
-            histogram = _open_histogram(search, hi)
-            if not histogram:
+        if cfg.jump_empty and not gained:
+            ahead = search.jump(hi)
+            if ahead is None:
                 break
-            if c.windows >= cfg.max_windows:
-                raise RuntimeError("too many windows")
-            lo = hi
-            choice = choose_width(histogram, graph.two_m, graph.table, alpha, cfg.beta)
-            width = cfg.width or choice.width
-            full = width >= wmax
-            hi = lo + width
-            if hi <= lo:
-                raise RuntimeError("a window must have a width")
-            total = open_degree(histogram)
-            if grid is None and 2 * total <= graph.two_m:
-                grid = (float(st0), float(lo))
-            cut = lo
-            if cfg.pull == "always":
-                cut = max(0, lo - wmax)
-            elif cfg.pull != "off" and 2 * total < graph.two_m and not previous_full:
-                cut = max(0, lo - wmax) if full else _cut(search, cfg, lo, hi, grid)
-                cut = lo if cut >= lo else cut
-            previous_full = full
-            if isinstance(wmax, int):
-                cut = cut if cut == lo else int(math.floor(cut))
-            note = (lo, hi, cut)
-            inside = (path_length() >= lo) & (path_length() < hi)
-            if cut < lo:
-                search.pull(lo, hi, cut, "semi" if cfg.pull == "semi" else "request", note)
-            # settled vertices that push reach back one maximum weight at most; they are no new paths
-            band = (F.col("dist") >= lo - wmax - slack) & (F.col("dist") < cut)
-            short = (F.col("dist") >= lo) & (F.col("dist") < hi)
-            r = search.push(band | short, inside, short & F.col("fresh"), note)
-            gained = r.improved
-            while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
-                r = search.push(F.col("fresh") & short, inside, note=note)
-                gained += r.improved
-                if c.rounds > cfg.max_rounds:
-                    raise RuntimeError("too many rounds")
-            c.windows += 1
-            if cfg.jump_empty and not gained:
-                ahead = _jump(search, hi)
-                if ahead is None:
-                    break
-                hi = max(hi, ahead)
-    return _result(search)
+            hi = max(hi, ahead)
+
+
+def _options(graph: PreparedGraph, **more) -> dict:
+    return {"hub_degree": balance_degree(graph.histogram)} | more
+
+
+def adaptive_sssp(graph: PreparedGraph, source: int, cfg: Config = Config()) -> Result:
+    """Exact shortest paths by the adaptive windows."""
+    return run(graph, source, adaptive_loop, _options(graph), cfg=cfg)
+
+
+def adaptive_all(graph: PreparedGraph, sources: list[int], cfg: Config = Config()) -> dict[int, Result]:
+    return run_all(graph, sources, adaptive_loop, _options(graph), cfg=cfg)
+
+
+def windowed_loop(search, thresholds: list) -> None:
+    wmax = search.graph.wmax
+    slack = 0 if isinstance(wmax, int) else SLACK * (1 + float(wmax))
+    edges = sorted({0, *thresholds})
+    for lo, hi in zip(edges, [*edges[1:], None], strict=True):
+        short = Band(lo, hi, counted="fresh")
+        r = search.push((Band(lo - wmax - slack, lo, counted="none"), short), (lo, hi), note=(lo, hi))
+        while r.fresh and r.fresh_min is not None and (hi is None or r.fresh_min < hi):
+            r = search.push((Band(lo, hi, fresh=True),), (lo, hi), note=(lo, hi))
+        search.counters.windows += 1
+        if hi is not None and r.top is not None and r.top + wmax < hi:
+            break
 
 
 def windowed_sssp(graph: PreparedGraph, source: int, thresholds: list) -> Result:
     """Windows between given ascending thresholds; beyond the last one the search runs to its end."""
-    search, wmax = Search(graph, source), graph.wmax
-    edges = sorted({0, *thresholds})
-    with fixed_plans(graph.arcs.sparkSession, graph.parts):
-        for lo, hi in zip(edges, [*edges[1:], math.inf], strict=True):
-            below = path_length() < hi if hi < math.inf else F.lit(True)
-            short = (F.col("dist") >= lo) & ((F.col("dist") < hi) if hi < math.inf else F.lit(True))
-            band = (F.col("dist") >= lo - wmax) & (F.col("dist") < lo)
-            r = search.push(band | short, (path_length() >= lo) & below, short & F.col("fresh"), (lo, hi))
-            while r.fresh and r.fresh_min is not None and r.fresh_min < hi:
-                r = search.push(F.col("fresh") & short, (path_length() >= lo) & below, note=(lo, hi))
-            search.counters.windows += 1
-            if r.top is not None and r.top + wmax < hi:
-                break
-    return _result(search)
+    return run(graph, source, windowed_loop, thresholds=thresholds)
 
 
 def push_only(graph: PreparedGraph, source: int, cfg: Config = Config()) -> Result:
@@ -187,8 +210,12 @@ def push_only(graph: PreparedGraph, source: int, cfg: Config = Config()) -> Resu
 
 
 def point_to_point(graph: PreparedGraph, source: int, target: int, cfg: Config = Config()) -> Result:
-    """The search; rows of other vertices beyond the target's distance are left out."""
-    found = adaptive_sssp(graph, source, cfg)
+    """The search up to the window that settles the target; only vertices up to its distance are given, all of them
+    final. An unreached target gives no rows."""
+    found = run(graph, source, adaptive_loop, _options(graph, target=target), cfg=cfg, stop_at_target=True)
     limit = found.state.where(F.col("v") == target).select(F.col("dist").alias("limit"))
     found.state = found.state.join(F.broadcast(limit)).where("dist <= limit").drop("limit")
     return found
+
+
+__all__ = ["FRESH", "Band", "Config", "Result", "adaptive_all", "adaptive_loop", "adaptive_sssp", "point_to_point", "push_only", "run", "run_all", "windowed_sssp"]

@@ -4,20 +4,23 @@ from __future__ import annotations
 
 import tempfile
 from contextlib import contextmanager
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.stepping import QuantileTable
 from ..sources.graphs import symmetrize
 
 QUANTILES = 4096
-# Above this many arcs the quantile table comes from one approximate pass; only speed depends on it.
-EXACT_ARCS = 20_000_000
 SAMPLE = 1_000_000
 # Small graphs get fewer partitions than the session's number, so that a round is not all overhead.
 ARCS_A_PART = 250_000
+# Arcs in one adjacency row; a hub has several.
+CHUNK = 512
+# Graphs of at most this many arcs (24 bytes each) may be searched within single tasks, see plans.local.
+LOCAL_ARCS = 4_000_000
 
 
 def ensure_checkpoint_dir(spark: SparkSession) -> None:
@@ -45,32 +48,58 @@ def fixed_plans(spark: SparkSession, parts: int | None = None):
 
 
 @dataclass
-class PreparedGraph:
-    arcs: DataFrame  # src, dst, w: clustered by src and sorted by (src, w)
-    vertices: DataFrame  # v, deg: clustered by v
+class Facts:
+    """What schedules need to know of a graph; small whatever its size."""
+
     n: int
     two_m: int
     histogram: dict[int, int]
     table: QuantileTable
-    parts: int
 
     @property
     def wmax(self):
         return self.table.wmax
 
 
-def weight_quantiles(edges: DataFrame, num: int = QUANTILES, mode: str = "auto", m: int | None = None) -> QuantileTable:
+@dataclass
+class PreparedGraph(Facts):
+    arcs: DataFrame  # src, dst, w: clustered by src and sorted by (src, w)
+    chunks: DataFrame  # src, wmin, wmax, adjacent: array of (w, dst) in the order of weight; clustered by src
+    vertices: DataFrame  # v, deg: clustered by v
+    parts: int
+    local_arcs: int = LOCAL_ARCS
+    cache: dict = field(default_factory=dict)
+
+
+def running_sums(frame: DataFrame, order: str, value: str) -> DataFrame:
+    """The frame with ``upto``, the sum of a value over all rows up to this one in an order that has no ties.
+
+    Rows go to ranges of the order; sums run within a range, and the totals of the ranges before (a number a range, added
+    up on the driver) come on top. The ranges are checkpointed, so that totals and rows agree.
+    """
+    ensure_checkpoint_dir(frame.sparkSession)
+    # a single range stands for itself as its own partition
+    ranged = frame.repartitionByRange(order).withColumn("__range", F.spark_partition_id()).checkpoint()
+    totals = {r["__range"]: r["t"] for r in ranged.groupBy("__range").agg(F.sum(value).alias("t")).collect()}
+    before, sums = 0, []
+    for k in sorted(totals):
+        sums += [F.lit(k), F.lit(before)]
+        before += totals[k]
+    base = F.element_at(F.create_map(*sums), F.col("__range")) if sums else F.lit(0)
+    return ranged.withColumn("upto", F.sum(value).over(Window.partitionBy("__range").orderBy(order)) + base).drop("__range")
+
+
+def weight_quantiles(edges: DataFrame, num: int = QUANTILES, mode: str = "exact", m: int | None = None) -> QuantileTable:
     """Weights at num equally spaced shares: the least weight that at least the share of edges stays at or below.
 
-    Modes: exact (per-weight counts and their running sum), approx (one percentile sketch), sample, sketch (KLL), or auto.
-    The maximum is always exact, since look-back and stop tests rely on it.
+    Modes: exact (per-weight counts and their running sum over ranges of weights), approx (one percentile sketch), sketch
+    (KLL) or sample (of about SAMPLE edges). Only speed depends on the table, but for its maximum, which is always exact,
+    since look-back and stop tests rely on it.
     """
-    m = edges.count() if m is None else m
+    told = edges.agg(F.count("*").alias("m"), F.max("w").alias("top")).first()
+    m, top = told["m"], told["top"]
     if not m:
-        return QuantileTable((0.0, 0.0))
-    if mode == "auto":
-        mode = "exact" if 2 * m <= EXACT_ARCS else "approx"
-    top = edges.agg(F.max("w")).first()[0]
+        return QuantileTable((0, 0))
     if mode == "sample" and m > SAMPLE:
         edges = edges.sample(SAMPLE / m, seed=42)
         m = edges.count()
@@ -79,35 +108,51 @@ def weight_quantiles(edges: DataFrame, num: int = QUANTILES, mode: str = "auto",
         values = edges.select(F.col("w").cast("double").alias("w")).agg(F.kll_sketch_agg_double("w").alias("s")).select(F.kll_sketch_get_quantile_double("s", shares).alias("q")).first()["q"]
     elif mode == "approx":
         values = edges.agg(F.percentile_approx("w", [i / (num - 1) for i in range(num)], 10 * num)).first()[0]
-    else:
-        counts = edges.groupBy("w").agg(F.count("*").alias("c")).orderBy("w")
-        counts.createOrReplaceTempView("__weight_counts")
-        # the running sum goes over distinct weights; each share picks one, so the driver gets num rows
-        ranked = counts.sparkSession.sql("SELECT w, c, sum(c) OVER (ORDER BY w) AS upto FROM __weight_counts")
+    elif mode in ("exact", "sample"):
+        ranked = running_sums(edges.groupBy("w").agg(F.count("*").alias("c")), "w", "c")
+        # each share picks one of the distinct weights, so the driver gets num rows at most
         first = F.ceil((F.col("upto") - F.col("c")) * (num - 1) / F.lit(m)).cast("long")
         last = F.floor(F.col("upto") * (num - 1) / F.lit(m)).cast("long")
-        spans = ranked.select("w", F.greatest(first, F.lit(0)).alias("i0"), last.alias("i1")).where("i0 <= i1").collect()
+        spans = ranked.select("w", F.greatest(first, F.lit(0)).alias("i0"), last.alias("i1")).where("i0 <= i1").orderBy("w").collect()
         values = [None] * num
         for r in spans:
             for i in range(r["i0"], min(num - 1, r["i1"]) + 1):
                 if values[i] is None:
                     values[i] = r["w"]
+    else:
+        raise ValueError(f"unknown mode of weight quantiles: {mode}")
     values = list(values)
     values[-1] = top
     return QuantileTable(tuple(values))
 
 
-def prepare(edges: DataFrame, num: int = QUANTILES, quantiles: str = "auto") -> PreparedGraph:
-    """One full shuffle of the arcs; later rounds never exchange them again."""
+def check_edges(edges: DataFrame) -> int:
+    """The number of edges; raises where an end or a weight is missing or a weight is negative or no number."""
+    w = F.col("w").cast("double")
+    told = edges.agg(F.count("*").alias("m"), F.count(F.when(F.col("a").isNull() | F.col("b").isNull() | w.isNull() | F.isnan(w) | (w < 0), 1)).alias("bad")).first()
+    if told["bad"]:
+        raise ValueError(f"{told['bad']} edges have a missing end or weight, or a weight that is negative or no number")
+    return told["m"]
+
+
+def prepare(edges: DataFrame, num: int = QUANTILES, quantiles: str = "exact", local_arcs: int = LOCAL_ARCS) -> PreparedGraph:
+    """One full shuffle of the arcs; later rounds never exchange them again.
+
+    Arcs, adjacency chunks and vertices are checkpointed and kept in memory as far as it goes; a lost copy is read again.
+    ``local_arcs``: graphs of at most so many arcs are searched within single tasks (0: never).
+    """
     spark = edges.sparkSession
     ensure_checkpoint_dir(spark)
     kept = edges.checkpoint()
-    m = kept.count()
+    m = check_edges(kept)
     parts = max(1, min(int(spark.conf.get("spark.sql.shuffle.partitions")), -(-2 * m // ARCS_A_PART)))
     with fixed_plans(spark, parts):
         arcs = symmetrize(kept).repartition(parts, "src").sortWithinPartitions("src", "w").checkpoint()
+        number = F.floor((F.row_number().over(Window.partitionBy("src").orderBy("w", "dst")) - 1) / CHUNK)
+        listed = arcs.withColumn("chunk", number).groupBy("src", "chunk").agg(F.array_sort(F.collect_list(F.struct("w", "dst"))).alias("adjacent"), F.min("w").alias("wmin"), F.max("w").alias("wmax"))
+        chunks = listed.select("src", "wmin", "wmax", "adjacent").sortWithinPartitions("src").checkpoint().persist(StorageLevel.MEMORY_AND_DISK)
         vertices = arcs.groupBy(F.col("src").alias("v")).agg(F.count("*").alias("deg")).checkpoint()
         histogram = {r["deg"]: r["n"] for r in vertices.groupBy("deg").agg(F.count("*").alias("n")).collect()}
         two_m = sum(d * n for d, n in histogram.items())
-        table = weight_quantiles(kept, num, quantiles, two_m // 2)
-    return PreparedGraph(arcs, vertices, sum(histogram.values()), two_m, histogram, table, parts)
+        table = weight_quantiles(kept, num, quantiles)
+    return PreparedGraph(sum(histogram.values()), two_m, histogram, table, arcs, chunks, vertices, parts, local_arcs)

@@ -14,9 +14,12 @@ from .tables import load
 
 
 def canonical(edges: DataFrame) -> DataFrame:
-    """Loops dropped, ends ordered, parallels reduced to their least weight; negative weights are refused."""
-    checked = F.when(F.col("w") < 0, F.raise_error(F.lit("negative edge weight"))).otherwise(F.col("w"))
-    return edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), checked.alias("w")).groupBy("a", "b").agg(F.min("w").alias("w"))
+    """Loops dropped, ends ordered, parallels reduced to their least weight; missing or negative weights and missing ends
+    are refused."""
+    bad = F.col("w").isNull() | (F.col("w") < 0) | F.isnan(F.col("w").cast("double")) | F.col("a").isNull() | F.col("b").isNull()
+    checked = F.when(bad, F.raise_error(F.lit("an edge has a missing end or weight, or a negative weight"))).otherwise(F.col("w"))
+    edges = edges.withColumn("w", checked)
+    return edges.where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "w").groupBy("a", "b").agg(F.min("w").alias("w"))
 
 
 def symmetrize(edges: DataFrame) -> DataFrame:

@@ -7,15 +7,15 @@ import pytest
 from pathwindow.functions.stepping import QuantileTable, balance_degree, choose_width, open_degree
 from pathwindow.operators import apps, audit, baselines
 from pathwindow.plans import prepared
-from pathwindow.plans.engine import Config, adaptive_sssp, push_only, windowed_sssp
+from pathwindow.plans.engine import Config, adaptive_sssp, point_to_point, push_only, windowed_sssp
 from pathwindow.plans.prepared import prepare, weight_quantiles
 
 TOY = [(1, 2, 1), (1, 3, 4), (2, 3, 2), (2, 4, 6), (3, 4, 3), (3, 5, 5), (4, 5, 1), (4, 6, 7), (5, 6, 2), (6, 7, 1), (2, 5, 9), (8, 9, 1)]
 
 
-@pytest.fixture(scope="module")
-def toy(spark):
-    return prepare(spark.createDataFrame(TOY, "a long, b long, w long"))
+@pytest.fixture(scope="module", params=["within a task", "distributed"])
+def toy(spark, request):
+    return prepare(spark.createDataFrame(TOY, "a long, b long, w long"), local_arcs=0 if request.param == "distributed" else 1000)
 
 
 def got(result):
@@ -39,10 +39,11 @@ def test_other_methods_are_exact(toy, method):
     assert got(method(toy, 7)) == baselines.dijkstra_local(TOY, 7)
 
 
-def test_any_thresholds_and_cuts_are_exact(spark):
+@pytest.mark.parametrize("local_arcs", [0, 1000])
+def test_any_thresholds_and_cuts_are_exact(spark, local_arcs):
     rng = random.Random(3)
     edges = [(a, b, w) for a, b, w in {(min(p), max(p)): (min(p), max(p), rng.randint(0, 9)) for p in ((rng.randrange(20), rng.randrange(20)) for _ in range(60)) if p[0] != p[1]}.values()]
-    graph = prepare(spark.createDataFrame(edges, "a long, b long, w long"))
+    graph = prepare(spark.createDataFrame(edges, "a long, b long, w long"), local_arcs=local_arcs)
     source = edges[0][0]
     want = baselines.dijkstra_local(edges, source)
     assert got(windowed_sssp(graph, source, [2, 3, 7])) == want
@@ -50,13 +51,60 @@ def test_any_thresholds_and_cuts_are_exact(spark):
         assert got(adaptive_sssp(graph, source, Config(pull=pull, alpha=1))) == want
 
 
-def test_float_weights_keep_every_arc(spark):
+@pytest.mark.parametrize("local_arcs", [0, 1000])
+def test_float_weights_keep_every_arc(spark, local_arcs):
     rng = random.Random(5)
     edges = [(i, j, rng.choice([0.1, 0.3, 0.7, 1.0])) for i in range(9) for j in range(i + 1, 9) if rng.random() < 0.5]
-    graph = prepare(spark.createDataFrame(edges, "a long, b long, w double"))
+    graph = prepare(spark.createDataFrame(edges, "a long, b long, w double"), local_arcs=local_arcs)
     assert got(adaptive_sssp(graph, edges[0][0], Config(alpha=1, pull="always"))) == baselines.dijkstra_local(edges, edges[0][0])
 
 
+def test_both_ways_of_running_do_the_same_work(spark):
+    rng = random.Random(11)
+    pairs = {(min(p), max(p)) for p in ((rng.randrange(60), rng.randrange(60)) for _ in range(500)) if p[0] != p[1]}
+    frame = spark.createDataFrame([(a, b, rng.randint(1, 1000)) for a, b in pairs], "a long, b long, w long")
+    small, large = prepare(frame, local_arcs=10_000), prepare(frame, local_arcs=0)
+    methods = [adaptive_sssp, lambda g, s: adaptive_sssp(g, s, Config(cut_mode="all")), baselines.delta_stepping, baselines.pruned_delta_stepping]
+    for method in methods:
+        one, two = method(small, 7), method(large, 7)
+        assert one.seconds is not None and two.seconds is None
+        rows = lambda r: sorted(map(tuple, r.state.select("v", "dist", "hops", "parent", "deg").collect()))
+        assert rows(one) == rows(two) and vars(one.counters) == vars(two.counters)
+
+
+@pytest.mark.parametrize("local_arcs", [0, 1000])
+def test_zero_weights_missing_sources_and_empty_graphs(spark, local_arcs):
+    for kind in ("long", "double"):
+        zero = prepare(spark.createDataFrame([(1, 2, 0), (2, 3, 0)], "a long, b long, w long").selectExpr("a", "b", f"CAST(w AS {kind}) AS w"), local_arcs=local_arcs)
+        for method in (adaptive_sssp, baselines.delta_stepping, baselines.delta_star_stepping, baselines.pruned_delta_stepping):
+            assert got(method(zero, 1)) == {1: 0, 2: 0, 3: 0}
+        assert got(adaptive_sssp(zero, 99)) == {99: 0}
+    empty = prepare(spark.createDataFrame([], "a long, b long, w long"), local_arcs=local_arcs)
+    assert empty.n == 0 and got(adaptive_sssp(empty, 5)) == {5: 0}
+
+
+def test_bad_edges_are_refused(spark):
+    for bad in ((1, 2, None), (1, None, 3.0), (1, 2, -1.0), (1, 2, float("nan"))):
+        with pytest.raises(ValueError):
+            prepare(spark.createDataFrame([(3, 4, 1.0), bad], "a long, b long, w double"))
+
+
+def test_long_chains_by_fused_rounds(spark):
+    edges = [(i, i + 1, 1 + i % 3) for i in range(400)]
+    graph = prepare(spark.createDataFrame(edges, "a long, b long, w long"), local_arcs=0)
+    found = adaptive_sssp(graph, 0)
+    assert got(found) == baselines.dijkstra_local(edges, 0) and audit.validate(found).count() == 0
+    plain = prepare(spark.createDataFrame(edges, "a long, b long, w long"), local_arcs=10_000)
+    assert found.counters.rounds < adaptive_sssp(plain, 0).counters.rounds
+
+
+def test_point_to_point_stops_early(spark):
+    edges = [(i, i + 1, 1) for i in range(200)] + [(0, i, 500) for i in range(2, 200)]
+    graph = prepare(spark.createDataFrame(edges, "a long, b long, w long"))
+    whole, near = adaptive_sssp(graph, 0), point_to_point(graph, 0, 5)
+    assert got(near) == {v: d for v, d in got(whole).items() if d <= 5} and near.counters.rounds <= whole.counters.rounds
+
+
 def test_quantiles(spark):
     edges = spark.createDataFrame([(i, i + 1, i + 1) for i in range(100)], "a long, b long, w long")
     table = weight_quantiles(edges, 11, "exact")
