@@ -7,8 +7,9 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.engine import Config, adaptive_all
-from ..plans.prepared import PreparedGraph, ensure_checkpoint_dir
+from ..plans.engine import Config, Result, adaptive_all, adaptive_sssp
+from ..plans.prepared import PreparedGraph, ensure_checkpoint_dir, fixed_plans, prepare
+from ..plans.rounds import FRESH, Search
 
 
 def random_sources(graph: PreparedGraph, count: int = 64, seed: int = 42) -> list[int]:
@@ -65,3 +66,56 @@ def components(edges: DataFrame) -> DataFrame:
         if not jumped.where("c <> old").limit(1).count():
             return jumped.select("v", F.col("c").alias("component"))
         label = jumped.select("v", "c")
+
+
+def hop_stats(graph: PreparedGraph, source: int, longest: int = 1 << 20) -> DataFrame:
+    """(reached, hops, most): the fewest hops of shortest paths, summed and at most, for whole weights.
+
+    A hop adds one to weights scaled by more than any path has hops, so the search itself breaks ties by hops."""
+    if graph.n >= longest:
+        raise ValueError("a path may have more hops than the scale allows for")
+    both = graph.arcs.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b"), (F.col("w") * longest + 1).alias("w"))
+    found = adaptive_sssp(prepare(both, local_arcs=graph.local_arcs), source).state
+    hops = F.col("dist") % longest
+    return found.agg(F.count("*").alias("reached"), F.sum(hops).alias("hops"), F.max(hops).alias("most"))
+
+
+def eccentricity(graph: PreparedGraph, sources: list[int], cfg: Config = Config()) -> DataFrame:
+    """(source, eccentricity, closeness): the largest distance, and reached vertices over the sum of distances."""
+    return multi_source(graph, sources, cfg).groupBy("source").agg(F.max("dist").cast("long").alias("eccentricity"), F.round(F.count("*") / F.sum("dist"), 9).alias("closeness"))
+
+
+def k_nearest(state: DataFrame, k: int) -> DataFrame:
+    """The k vertices nearest to the source, the least ids on ties."""
+    return state.select("v", "dist").orderBy("dist", "v").limit(k)
+
+
+def ego_network(graph: PreparedGraph, state: DataFrame, radius) -> DataFrame:
+    """The edges (a, b, w) between vertices within a distance of the source."""
+    near = within(state, radius).select("v")
+    edges = graph.arcs.where("src < dst").select(F.col("src").alias("a"), F.col("dst").alias("b"), "w")
+    return edges.join(near.withColumnRenamed("v", "a"), "a", "left_semi").join(near.withColumnRenamed("v", "b"), "b", "left_semi").select("a", "b", "w")
+
+
+def path_lengths(graph: PreparedGraph, found: Result, targets: list[int]) -> DataFrame:
+    """(target, length): the summed weights along the extracted path to each target."""
+    asked = graph.arcs.sparkSession.createDataFrame([(t,) for t in targets], "target long")
+    parents = found.state.where(F.col("v") != found.source).select("v", "parent")
+    steps = extract_paths(parents, asked, found.source).select("target", F.explode(F.arrays_zip(F.col("path").alias("src"), F.slice("path", 2, F.size("path")).alias("dst"))).alias("s")).select("target", "s.src", "s.dst").where("dst is not null")
+    return steps.join(graph.arcs, ["src", "dst"]).groupBy("target").agg(F.sum("w").cast("long").alias("length"))
+
+
+def repair(graph: PreparedGraph, found: DataFrame, source: int, inserted: DataFrame) -> DataFrame:
+    """(v, dist, hops, parent, deg) after edges (a, b, w) came in or became cheaper: only what they change is searched again.
+
+    ``graph`` holds the new edges already. Rounds start from their ends with the distances that were known."""
+    search = Search(graph, source, skip_parent=False, keep_leaves=True)
+    ends = inserted.select(F.col("a").alias("v")).union(inserted.select("b")).distinct().withColumn("touched", F.lit(True))
+    known = found.select("v", F.col("dist").alias("d"), F.col("hops").alias("h"), F.col("parent").alias("p"))
+    with fixed_plans(graph.arcs.sparkSession, graph.parts):
+        seeded = search.state.join(known, "v", "left").join(ends, "v", "left")
+        pick = lambda old, new: F.coalesce(F.col(new), F.col(old)).alias(old)
+        search.state = seeded.select("v", "deg", pick("dist", "d"), pick("hops", "h"), pick("parent", "p"), (F.col("touched").isNotNull() & F.coalesce("d", "dist").isNotNull()).alias("fresh")).repartition(graph.parts, "v").checkpoint()
+        while search.last.fresh:
+            search.push(FRESH)
+    return search.state.where("dist is not null").select("v", "dist", "hops", "parent", "deg")

@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 
-from pyspark.sql import DataFrame
+import numpy as np
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.stepping import balance_degree
@@ -51,28 +53,113 @@ def canonical_parents(arcs: DataFrame, state: DataFrame, source: int) -> DataFra
     return found
 
 
+def window_of(length: Column, bounds: list) -> Column:
+    """The number of the last bound at or below a length (-1: none), by binary search; bounds ascend."""
+    import pandas as pd
+    from pyspark.sql.functions import pandas_udf
+
+    held = np.array(bounds, float)
+
+    @pandas_udf("long")
+    def place(x: pd.Series) -> pd.Series:
+        return pd.Series(np.searchsorted(held, x.to_numpy(float), "right") - 1)
+
+    return place(length.cast("double"))
+
+
+def windows_of(result: Result) -> list[tuple]:
+    """(lo, hi, cut) of the windows after the first, in their order."""
+    found: dict[int, list] = {}
+    for window, _, _, lo, hi, cut, *_ in result.counters.trace:
+        if cut is not None:
+            found.setdefault(window, [lo, hi, lo])[2] = cut
+    return [tuple(found[k]) for k in sorted(found)]
+
+
 def skipped_edges(result: Result) -> DataFrame:
-    """Irrelevant arcs by window and whether the cut let them be skipped (pull) or not (push)."""
-    windows = result.trace().where("lo is not null").groupBy("window").agg(F.max("lo").alias("lo"), F.max("hi").alias("hi"), F.min("cut").alias("cut"))
-    told = _with_ends(result.graph.arcs, result.state)
-    length = F.col("du") + F.col("w")
-    met = told.join(F.broadcast(windows), (length >= F.col("lo")) & (length < F.col("hi")) & (F.col("du") < F.col("lo")) & (F.col("dv") < F.col("lo")))
-    kind = F.when(F.col("du") < F.coalesce("cut", "lo"), "pushed").otherwise("skipped")
-    return met.groupBy("window", kind.alias("kind")).agg(F.count("*").alias("arcs"))
+    """(window, kind, skipped, arcs): irrelevant arcs by the window that their length falls into.
+
+    Kinds, by when their ends were settled: ``before`` the first window that was pulled into; by ``same`` if the far end was
+    settled no later than the near end's window closed; ``later`` if it was settled in a window after that. An arc is
+    skipped if its near end lies at or above the window's cut, where pulling never looks at it.
+    """
+    windows = windows_of(result)
+    spark = result.state.sparkSession
+    if not windows:
+        return spark.createDataFrame([], "window long, kind string, skipped boolean, arcs long")
+    pulled = [lo for lo, _, cut in windows if cut < lo]
+    table = spark.createDataFrame([(k, float(lo), float(hi), float(cut)) for k, (lo, hi, cut) in enumerate(windows)], "window long, lo double, hi double, cut double")
+    lows = [lo for lo, _, _ in windows]
+    told = _with_ends(result.graph.arcs, result.state).withColumn("window", window_of(F.col("du") + F.col("w"), lows)).withColumn("own", window_of(F.col("du"), lows)).withColumn("far", window_of(F.col("dv"), lows))
+    met = told.join(F.broadcast(table), "window").where("du + w < hi and du < lo and dv < lo")
+    kind = F.when(F.col("du") < (min(pulled) if pulled else math.inf), "before").when(F.col("far") <= F.col("own"), "same").otherwise("later")
+    return met.groupBy("window", kind.alias("kind"), (F.col("du") >= F.col("cut")).alias("skipped")).agg(F.count("*").alias("arcs"))
+
+
+def window_claims(result: Result, beta: float = 0.9) -> DataFrame:
+    """(window, open_lo, open_hi, share, held): the degrees open at both ends of each window, and whether the window left
+    at most the share of them open that its width was chosen for."""
+    graph, windows = result.graph, windows_of(result)
+    spark = result.state.sparkSession
+    if not windows:
+        return spark.createDataFrame([], "window long, open_lo long, open_hi long, share double, held boolean")
+    bounds = sorted({x for lo, hi, _ in windows for x in (lo, hi)})
+    sums = {r["k"]: r["d"] for r in result.state.withColumn("k", window_of(F.col("dist"), bounds)).groupBy("k").agg(F.sum("deg").alias("d")).collect()}
+    # degrees open at a bound: those not settled below it
+    settled, opened = sums.get(-1, 0), {}
+    for k, x in enumerate(bounds):
+        opened[x] = graph.two_m - settled
+        settled += sums.get(k, 0)
+    rows = []
+    for k, (lo, hi, _) in enumerate(windows):
+        share = min(beta, max(opened[lo], graph.two_m - opened[lo]) / graph.two_m)
+        rows.append((k, opened[lo], opened[hi], share, opened[hi] <= share * opened[lo]))
+    return spark.createDataFrame(rows, "window long, open_lo long, open_hi long, share double, held boolean")
+
+
+def load_imbalance(graph: PreparedGraph) -> DataFrame:
+    """(partitions, arcs, largest, imbalance): arcs by partition, the largest over the mean."""
+    parts = graph.chunks.groupBy(F.spark_partition_id().alias("p")).agg(F.sum(F.size("adjacent")).alias("n"))
+    return parts.agg(F.lit(graph.parts).cast("long").alias("partitions"), F.sum("n").alias("arcs"), F.max("n").alias("largest"), (F.max("n") * graph.parts / F.sum("n")).alias("imbalance"))
+
+
+def repeated_arcs(result: Result) -> DataFrame:
+    """(relaxed, tight, repeated): relaxations and requests of a search, arcs that a shortest path may use, and work beyond
+    one traversal of each reached vertex's last arc."""
+    c = result.counters
+    tight = tight_arcs(result.graph.arcs, result.state).count()
+    reached = result.state.count()
+    return result.state.sparkSession.createDataFrame([(c.relaxed + c.requested, tight, c.relaxed + c.requested - (reached - 1))], "relaxed long, tight long, repeated long")
 
 
 def measures(result: Result) -> dict[str, float]:
     """The normalised measures of one search."""
-    c, graph = result.counters, result.graph
-    reached, inner, hops, top = result.state.agg(F.count("*"), F.count(F.when((F.col("deg") > 1) | (F.col("v") == result.source), 1)), F.avg("hops"), F.max("hops")).first()
-    scale = max(1.0, math.log2(max(2, graph.n)))
-    m = graph.two_m / 2
-    traversals = c.relaxed + c.requested
-    return {
-        "n_frontier": c.extended / max(1, inner), "n_sync": c.rounds / scale, "n_trav": traversals / max(1, reached), "average_en": (hops or 0) / scale, "max_en": (top or 0) / scale,
-        "degree_skew": math.log2(max(graph.histogram) / balance_degree(graph.histogram)), "edges_a_vertex": m / graph.n, "work_saving": m / graph.n - traversals / max(1, reached),
-        "traversals_a_sync": traversals / max(1, c.rounds), "skippable_bound": (m - graph.n) / m if m else 0.0, "redundant": 1 - (reached - 1) / max(1, traversals),
-    }
+    return average_measures(result.graph, {result.source: result})
+
+
+def average_measures(graph: PreparedGraph, found: dict[int, Result]) -> dict[str, float]:
+    """The normalised measures, as means over searches from several sources."""
+    results = list(found.values())
+    states = [r.state.select(F.lit(r.source).cast("long").alias("source"), "v", "hops", "deg") for r in results]
+    if results[0].others.get("states") is not None:
+        states = [results[0].others["states"].where(F.col("source").isin([r.source for r in results]))]
+    inner = F.count(F.when((F.col("deg") > 1) | (F.col("v") == F.col("source")), 1))
+    told = {r["source"]: r for r in reduce(DataFrame.unionByName, [s.select("source", "v", "hops", "deg") for s in states]).groupBy("source").agg(F.count("*").alias("reached"), inner.alias("inner"), F.avg("hops").alias("hops"), F.max("hops").alias("top")).collect()}
+    scale, m, rows = max(1.0, math.log2(max(2, graph.n))), graph.two_m / 2, []
+    for r in results:
+        t, c = told[r.source], r.counters
+        traversals, reached = c.relaxed + c.requested, t["reached"]
+        rows.append(
+            {
+                "n_frontier": c.extended / max(1, t["inner"]), "n_sync": c.rounds / scale, "n_trav": traversals / max(1, reached), "average_en": (t["hops"] or 0) / scale, "max_en": (t["top"] or 0) / scale,
+                "work_saving": m / max(1, graph.n) - traversals / max(1, reached), "traversals_a_sync": traversals / max(1, c.rounds), "redundant": 1 - (reached - 1) / max(1, traversals),
+                "probed": c.probed / max(1, reached), "seconds": r.seconds or 0.0,
+            }
+        )
+    out = {k: sum(x[k] for x in rows) / len(rows) for k in rows[0]}
+    if graph.n:
+        out |= {"degree_skew": math.log2(max(graph.histogram) / balance_degree(graph.histogram)), "edges_a_vertex": m / graph.n, "skippable_bound": (m - graph.n) / m}
+    return out
 
 
 def measure_table(spark, results: dict[str, Result]) -> DataFrame:

@@ -63,14 +63,17 @@ def dijkstra_components(edges: DataFrame, components: DataFrame, sources: DataFr
     import pandas as pd
 
     kind = dict(edges.dtypes)["w"]
-    asked = sources.select(F.col("source").cast("long").alias("source")).join(components, F.col("source") == F.col("v")).select("component", "source")
-    held = edges.join(components, F.col("a") == F.col("v")).join(asked.select("component").distinct(), "component", "left_semi").select("component", "a", "b", "w")
+    of_source = components.select(F.col("v").alias("source"), F.col("component").alias("part"))
+    of_edge = components.select(F.col("v").alias("a"), F.col("component").alias("part"))
+    asked = sources.select(F.col("source").cast("long").alias("source")).join(of_source, "source").select("part", "source")
+    wanted = asked.select("part").distinct()
+    held = edges.join(of_edge, "a").join(wanted, "part", "left_semi").select("part", "a", "b", "w")
 
     def each(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
         edge_list = list(left[["a", "b", "w"]].itertuples(index=False, name=None))
         return pd.DataFrame([(s, v, d) for s in right["source"] for v, d in dijkstra_local(edge_list, s).items()], columns=["source", "v", "dist"])
 
-    return held.groupBy("component").cogroup(asked.groupBy("component")).applyInPandas(each, f"source long, v long, dist {kind}")
+    return held.groupBy("part").cogroup(asked.groupBy("part")).applyInPandas(each, f"source long, v long, dist {kind}")
 
 
 def _delta(graph, delta):

@@ -72,7 +72,7 @@ def run_all(graph: PreparedGraph, sources: list[int], loop: Callable, options: d
     if asked and fits(graph):
         states, counters, seconds = search_locally(graph, asked, loop, options, args)
         for s in asked:
-            found[s] = Result(states.where(F.col("source") == s).drop("source"), counters[s], graph, s, seconds[s])
+            found[s] = Result(states.where(F.col("source") == s).drop("source"), counters[s], graph, s, seconds[s], {"states": states})
         return found
     for s in asked:
         search = Search(graph, s, **options)

@@ -84,23 +84,34 @@ def event_chain(spark: SparkSession, sf_dir: str) -> DataFrame:
     return canonical(of_all.union(of_user))
 
 
+def name_id(*names: Column) -> Column:
+    """An id of 60 bits for a name: the head of its MD5. ``name_clashes`` tells whether names share one."""
+    return F.conv(F.substring(F.md5(F.concat(*names)), 1, 15), 16, 10).cast("long")
+
+
+def name_clashes(names: DataFrame, name: str) -> DataFrame:
+    """(id, first, last) of ids that more than one name has; no rows as long as ids may stand for names."""
+    told = names.select(F.col(name).alias("name")).groupBy(name_id(F.col("name")).alias("id")).agg(F.min("name").alias("first"), F.max("name").alias("last"))
+    return told.where("first <> last")
+
+
 def page_link(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pages and the targets of their links, unit weights; ids are hashes of the URLs."""
+    """Pages and the targets of their links, unit weights."""
     pages = load(spark, sf_dir, "pages")
     found = pages.select("url", F.explode(F.expr("regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)")).alias("target"))
-    return canonical(found.select(F.xxhash64("url").alias("a"), F.xxhash64("target").alias("b"), F.lit(1).cast("long").alias("w")))
+    return canonical(found.select(name_id(F.col("url")).alias("a"), name_id(F.col("target")).alias("b"), F.lit(1).cast("long").alias("w")).where("a is not null and b is not null"))
 
 
 def host_page(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A star for each host."""
-    pages = load(spark, sf_dir, "pages")
-    return canonical(pages.select(F.xxhash64(F.lit("host"), F.regexp_extract("url", "^[a-z]+://([^/]+)", 1)).alias("a"), F.xxhash64("url").alias("b"), F.lit(1).cast("long").alias("w")))
+    pages = load(spark, sf_dir, "pages").where("url is not null")
+    return canonical(pages.select(name_id(F.lit("host "), F.regexp_extract("url", "^[a-z]+://([^/]+)", 1)).alias("a"), name_id(F.col("url")).alias("b"), F.lit(1).cast("long").alias("w")))
 
 
 def _word_graph(frame: DataFrame, key: str) -> DataFrame:
-    words = frame.select(F.col(key).alias("k"), F.explode(F.expr("regexp_extract_all(lower(text), '(\\\\p{L}+)', 1)")).alias("word"))
+    words = frame.select(F.col(key).alias("k"), F.explode(F.expr("regexp_extract_all(lower(text), '(\\\\p{L}+)', 1)")).alias("word")).where("k is not null")
     counts = words.groupBy("k", "word").agg(F.count("*").alias("c"))
-    return canonical(counts.select((F.col("k") * 2).alias("a"), (F.xxhash64("word") * 2 + 1).alias("b"), (1000000 / F.col("c")).cast("long").alias("w")))
+    return canonical(counts.select((F.col("k") * 2).alias("a"), (name_id(F.col("word")) * 2 + 1).alias("b"), F.floor(F.lit(1000000) / F.col("c")).cast("long").alias("w")))
 
 
 def doc_word(spark: SparkSession, sf_dir: str) -> DataFrame:

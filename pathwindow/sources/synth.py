@@ -12,13 +12,13 @@ QUADRANTS = (0.57, 0.19, 0.19, 0.05)
 
 
 def unit_hash(*columns: Column) -> Column:
-    """A number in [0, 1) from a hash."""
-    return F.pmod(F.xxhash64(*columns), F.lit(1 << 40)) / F.lit(float(1 << 40))
+    """A number in [0, 1): the first 40 bits of the MD5 of the columns as text, so that any SQL engine can draw the same."""
+    return F.conv(F.substring(F.md5(F.concat_ws(",", *columns)), 1, 10), 16, 10).cast("long") / F.lit(float(1 << 40))
 
 
 def weights_from_hash(edges: DataFrame, seed: int = 1) -> DataFrame:
     """Weights in (0, 1], by ends and seed."""
-    return edges.withColumn("w", 1 - unit_hash(F.lit(seed), F.least("a", "b"), F.greatest("a", "b")))
+    return edges.withColumn("w", 1 - unit_hash(F.lit("w"), F.lit(seed), F.least("a", "b"), F.greatest("a", "b")))
 
 
 def kron(spark: SparkSession, scale: int, edge_factor: int, seed: int = 1) -> DataFrame:
@@ -35,7 +35,7 @@ def kron(spark: SparkSession, scale: int, edge_factor: int, seed: int = 1) -> Da
 
 def unif(spark: SparkSession, scale: int, edge_factor: int, seed: int = 1) -> DataFrame:
     """Both ends uniform."""
-    end = lambda salt: F.pmod(F.xxhash64(F.lit(seed), F.lit(salt), F.col("id")), F.lit(1 << scale))
+    end = lambda salt: F.floor(unit_hash(F.lit(salt), F.lit(seed), F.col("id")) * (1 << scale)).cast("long")
     return canonical(weights_from_hash(spark.range(edge_factor << scale).select(end("a").alias("a"), end("b").alias("b")), seed))
 
 

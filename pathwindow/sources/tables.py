@@ -30,9 +30,30 @@ def read_any(spark: SparkSession, path: str, form: str, schema: str) -> DataFram
     return reader.csv(path, header=True) if form == "csv" else reader.format(form).load(path)
 
 
-def write_bucketed(arcs: DataFrame, table: str, buckets: int = 8) -> None:
+def write_bucketed(arcs: DataFrame, table: str, buckets: int = 8, path: str | None = None) -> None:
     """Arcs as a table bucketed by source and sorted by weight, so that joins on the source need no exchange."""
-    arcs.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "w").saveAsTable(table)
+    writer = arcs.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "w")
+    (writer.option("path", path) if path else writer).saveAsTable(table)
+
+
+def write_adjacency(arcs: DataFrame, path: str) -> None:
+    """One line of JSON for each vertex: its id and its arcs in the order of weight."""
+    arcs.groupBy("src").agg(F.array_sort(F.collect_list(F.struct("w", "dst"))).alias("arcs")).write.mode("overwrite").json(path)
+
+
+def read_adjacency(spark: SparkSession, path: str, kind: str = "double") -> DataFrame:
+    lists = spark.read.schema(f"src long, arcs array<struct<w:{kind},dst:bigint>>").json(path)
+    return lists.select("src", F.explode("arcs").alias("arc")).select("src", "arc.dst", "arc.w")
+
+
+def read_jdbc(spark: SparkSession, url: str, table: str, **options: str) -> DataFrame:
+    """A table of a database; options as Spark's reader has them (partitionColumn, lowerBound, numPartitions...)."""
+    return spark.read.format("jdbc").options(url=url, dbtable=table, **options).load()
+
+
+def read_kafka(spark: SparkSession, servers: str, topic: str, **options: str) -> DataFrame:
+    """A stream of a topic's messages; it needs the connector's package on the cluster."""
+    return spark.readStream.format("kafka").options(**{"kafka.bootstrap.servers": servers, "subscribe": topic}, **options).load()
 
 
 def write_state(state: DataFrame, path: str) -> None:
