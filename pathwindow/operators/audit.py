@@ -6,8 +6,10 @@ import math
 from functools import reduce
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.functions import pandas_udf
 
 from ..functions.stepping import balance_degree
 from ..functions.weights import edge_class
@@ -55,9 +57,6 @@ def canonical_parents(arcs: DataFrame, state: DataFrame, source: int) -> DataFra
 
 def window_of(length: Column, bounds: list) -> Column:
     """The number of the last bound at or below a length (-1: none), by binary search; bounds ascend."""
-    import pandas as pd
-    from pyspark.sql.functions import pandas_udf
-
     held = np.array(bounds, float)
 
     @pandas_udf("long")
