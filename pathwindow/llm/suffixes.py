@@ -6,7 +6,8 @@ and a run is one row: anchor hash, content hash, place. Runs whose whole content
 one anchor has several contents, one run of each content is fetched and its suffixes are settled block by block: within
 a block, cover-sample suffixes are ranked by prefix doubling, suffixes are sorted by bucket and hashed ends, and ties are
 settled exactly: the first and last bytes directly, the long middle by the ranks at the cover positions that both
-suffixes of a pair reach at the same offset. A block holds a bounded number of bytes beyond its largest bucket.
+suffixes of a pair reach at the same offset. A block holds a bounded number of bytes beyond its largest bucket; an
+anchor with very many different runs is split into buckets of suffixes that share three quarters of their bytes.
 
 Defined results: strings never cross texts; a null or empty text has no bytes; texts under 200 bytes lose nothing;
 repeated rows count as occurrences of each other's strings; extra columns are ignored; an empty table gives no rows.
@@ -30,6 +31,7 @@ WINDOW = GRAM - PIECE + 1
 SLICE = 1 << 20  # bytes hashed at once
 BLOCK = 4 << 20  # bytes of fetched runs settled at once
 COVER = 57
+HOT, SPAN = 1_000, 50  # different runs of an anchor beyond which it is split, and the starts of a piece of it
 NO_ID = -(1 << 63)
 _BASE = 0x2545F4914F6CDD1D
 _PLACE = (1 << 24) - 1
@@ -247,18 +249,38 @@ def _settled(fetched: DataFrame) -> DataFrame:
     return fetched.repartition("anchor").sortWithinPartitions("anchor").mapInArrow(run, "doc long, mark long, at long, n int")
 
 
-def repeated_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """(places, keyed docs): places (doc, mark, at, n) are runs of starts whose 200 bytes start elsewhere too."""
+def _split(raw: bytes, run) -> Iterator[tuple[int, int, int, int]]:
+    """A run of a crowded anchor by pieces of SPAN starts, each in a bucket of its own: (at, n, off, bucket).
+
+    Starts are cut by their distance to the anchor, so equal suffixes fall into the same piece. All suffixes of a piece
+    cover the same GRAM - SPAN + 1 bytes, whose hash therefore belongs into the bucket: what remains together has the
+    greater part of its bytes in common."""
+    at, n, off = run["at"], run["n"], run["off"]
+    step = 0
+    while step < n:
+        piece = (off - step) // SPAN
+        upto = min(n, off - piece * SPAN + 1)
+        first = at + off - piece * SPAN - SPAN + 1
+        common = raw[first + SPAN - 1 : first + GRAM]
+        bucket = xxhash.xxh3_64_intdigest(common, (run["anchor"] ^ piece) & 0xFFFFFFFFFFFFFFFF)
+        yield at + step, upto - step, off - step, bucket - ((bucket >> 63) << 64)
+        step = upto
+
+
+def repeated_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> tuple[DataFrame, DataFrame]:
+    """(places, keyed docs): places (doc, mark, at, n) are runs of starts whose 200 bytes start elsewhere too.
+
+    ``hot``: anchors with more different runs than this are split into finer buckets."""
     own = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text_col).alias("text"))
     runs = Written(_run_rows(own), "suffix-runs")
     kinds = Written(
         runs.frame.groupBy("anchor", "content").agg(F.count("*").alias("c"), F.min(F.struct("doc", "mark", "at", "n", "off")).alias("r")).withColumn("single", F.col("c") == 1),
         "suffix-kinds",
     )
-    several = kinds.frame.groupBy("anchor").agg(F.count("*").alias("d")).where("d > 1").select("anchor")
+    several = kinds.frame.groupBy("anchor").agg(F.count("*").alias("d")).where("d > 1").select("anchor", (F.col("d") > hot).alias("hot"))
     whole = Written(runs.frame.join(kinds.frame.where("not single").select("anchor", "content"), ["anchor", "content"]).select("doc", "mark", "at", "n"), "suffix-whole")
     runs.drop()
-    asked = kinds.frame.join(several, "anchor").select("r.*", "anchor", "single").groupBy("doc", "mark").agg(F.collect_list(F.struct("at", "n", "off", "anchor", "single")).alias("runs"))
+    asked = kinds.frame.join(several, "anchor").select("r.*", "anchor", "single", "hot").groupBy("doc", "mark").agg(F.collect_list(F.struct("at", "n", "off", "anchor", "single", "hot")).alias("runs"))
 
     def fetch(batch):
         out = []
@@ -268,7 +290,9 @@ def repeated_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
             mark -= (mark >> 63) << 64
             for group in wanted:
                 if group["mark"] == mark:
-                    out += [(doc, mark, r["at"], r["n"], r["off"], r["anchor"], r["single"], raw[r["at"] : r["at"] + r["n"] + GRAM - 1]) for r in group["runs"]]
+                    for r in group["runs"]:
+                        for at, n, off, anchor in _split(raw, r) if r["hot"] else [(r["at"], r["n"], r["off"], r["anchor"])]:
+                            out.append((doc, mark, at, n, off, anchor, r["single"], raw[at : at + n + GRAM - 1]))
         kinds_ = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.bool_(), pa.binary())
         columns = zip(*out, strict=True) if out else ([] for _ in kinds_)
         yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds_, strict=True)], names=["doc", "mark", "at", "n", "off", "anchor", "single", "raw"])
@@ -280,9 +304,9 @@ def repeated_places(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return whole.frame.union(rest.frame), own
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", hot: int = HOT) -> DataFrame:
     """One row a document: doc_id, the kept bytes, the removed spans, and the contract's digests of them."""
-    places, _ = repeated_places(docs, id_col, text_col)
+    places, _ = repeated_places(docs, id_col, text_col, hot)
     spans = places.groupBy("doc", "mark").agg(F.sort_array(F.collect_list(F.struct("at", "n"))).alias("places")).groupBy("doc").agg(F.collect_list(F.struct("mark", "places")).alias("wanted"))
     keyed = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(id_col).cast("long"), F.lit(NO_ID)).alias("doc"), F.col(text_col).alias("text"))
 

@@ -212,8 +212,9 @@ def test_suffixes(spark, none):
     pool = ["".join(rng.choice(list("abcd é"), 150)) for _ in range(6)]
     texts = ["".join(pool[k] for k in rng.integers(0, 6, 5)) for _ in range(30)] + [None, "", "short", "x" * 450, pool[0] + "1" + pool[1]]
     frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
-    out = {r.doc_id: (r.kept_sha256, r.n_removed) for r in suffixes.remove_repeats(frame).collect()}
-    assert out == dict(enumerate(_repeats([(t or "").encode() for t in texts])))
+    want = dict(enumerate(_repeats([(t or "").encode() for t in texts])))
+    for hot in (suffixes.HOT, 1):
+        assert {r.doc_id: (r.kept_sha256, r.n_removed) for r in suffixes.remove_repeats(frame, hot=hot).collect()} == want
     assert suffixes.remove_repeats(none).count() == 0
 
 
@@ -310,6 +311,72 @@ def test_personal_data():
     assert pii.base_spans(wild)["email"] == [m.span() for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", wild)]
 
 
+def _base_by_regex(text):
+    import re
+
+    kinds = {
+        "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)",
+        "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
+    }
+
+    def good(kind, t):
+        digits = [int(c) for c in t if c in "0123456789"]
+        if kind == "ip":
+            return all(int(p) <= 255 for p in t.split("."))
+        if kind == "card":
+            twice = [d if i % 2 == 0 else d * 2 - 9 * (d > 4) for i, d in enumerate(reversed(digits))]
+            return 12 <= len(digits) <= 19 and sum(twice) % 10 == 0
+        return kind != "phone" or 9 <= len(digits) <= 15
+
+    spans = [(m.start(), k, m.end(), kind) for k, (kind, p) in enumerate(kinds.items()) for m in re.finditer(p, text) if good(kind, m.group())]
+    return [(kind, a, b) for a, _, b, kind in sorted(spans)]
+
+
+def test_personal_data_equals_brute_force(spark, docs, none):
+    rng = np.random.default_rng(12)
+    bits = ["a.b@c.de", "x@y", "10.0.0.1", "999.1.1.1", "4111 1111 1111 1111", "4111111111111112", "+1 (202) 555-0147", "+49 30", " ", ", ", "é", "😀", ".", "-", "1", "@", "+", "\n", "378282246310005"]
+    texts = [*TEXTS, *("".join(rng.choice(bits, rng.integers(1, 40))) for _ in range(300))]
+    frame = spark.createDataFrame([(i, t, "c") for i, t in enumerate(texts)], "doc_id long, text string, spans string")
+    out = {r.doc_id: r for r in pii.digest(pii.find_personal_data(frame)).collect()}
+    for i, t in enumerate(texts):
+        want = _base_by_regex(t or "")
+        told = ",".join(f"{k}:{a}:{b}" for k, a, b in want)
+        assert out[i].base_sha256 == hashlib.sha256(told.encode()).hexdigest()
+        assert [out[i][f"n_{k}"] for k in ("email", "ip", "card", "phone")] == [sum(w[0] == k for w in want) for k in ("email", "ip", "card", "phone")]
+        assert set(told.split(",")) <= set(out[i].spans.split(","))
+    assert pii.find_personal_data(none).count() == 0
+
+
+def test_held_out_labels_never_reach_a_model(spark):
+    rng = np.random.default_rng(3)
+    bad, good = ["vile", "hate", "awful", "filth"], ["calm", "kind", "note", "page", "tree", "river"]
+    texts = [" ".join(rng.choice(bad if i % 3 == 0 and k % 2 else good, 1)[0] for k in range(20)) for i in range(240)]
+    docs = spark.createDataFrame([(i, t, 0.5) for i, t in enumerate(texts)], "doc_id long, text string, score double")
+    fold = lambda i, n: zlib.crc32(str(i).encode()) % n
+    label = lambda flip: spark.createDataFrame([(i, int((i % 3 != 0) != (flip and fold(i, 5) == 0)), int((i % 3 == 0) != (flip and fold(i, 4) == 2))) for i in range(240)], "doc_id long, quality int, toxic int")
+    told = []
+    for flip in (False, True):
+        labels = label(flip)
+        model = toxicity.fit(docs, labels, held_out=toxicity.held_out("doc_id"))
+        toxic = {r.doc_id: (r.held_out, r.score, r.predicted) for r in toxicity.digest(toxicity.score(docs, model)).collect()}
+        fine = {r.doc_id: (r.held_out, r.score, r.predicted) for r in quality.digest(quality.classify(docs, labels)).collect()}
+        told.append((toxic, fine))
+    assert told[0] == told[1]
+    for rows, n, at in zip(told[0], (4, 5), (2, 0), strict=True):
+        assert {i: r[0] for i, r in rows.items()} == {i: fold(i, n) == at for i in range(240)}
+        assert all(p == int(s >= 0.3) for _, s, p in rows.values())
+
+
+def test_empty_tables_and_clashing_columns(spark, docs, none):
+    empty = spark.createDataFrame([], "vec_id long, embedding array<float>, label int, node long, shard int")
+    assert embeddings.near_duplicates(empty).count() == 0
+    bench = spark.createDataFrame([("1", "x y")], "item_id string, text string")
+    assert decontaminate.find_contamination(none, bench).count() == 0
+    assert decontaminate.find_contamination(docs, bench.limit(0)).where("n_hit > 0").count() == 0
+    more = docs.withColumns({"anchor": docs.n, "content": docs.n, "mark": docs.n, "doc": docs.n, "items": docs.n, "runs": docs.n, "n_hit": docs.n})
+    assert suffixes.remove_repeats(more).count() == decontaminate.find_contamination(more, bench.withColumn("doc_id", bench.item_id)).count() == len(TEXTS) + 1
+
+
 def test_quality_and_toxicity_models_on_tiny_tables(spark, docs):
     labels = spark.createDataFrame([(i, i % 2, i % 2) for i in range(11)] + [(3, None, None)], "doc_id long, quality int, toxic int")
     scored = quality.digest(quality.classify(docs, labels)).collect()

@@ -1,7 +1,10 @@
+import re
+
 import numpy as np
+from pyspark.sql import functions as F
 
 import corpus_pipeline
-from pathwindow.llm import shingles
+from pathwindow.llm import lines, shingles, toxicity
 
 SF = "/root/testdata/sf0.001"
 
@@ -49,3 +52,56 @@ def test_near_dedup_drops_copies_only_never_by_id(spark):
     left = corpus_pipeline.drop_near_copies(spark, spark.createDataFrame(rows, "doc_id long, text string, other int"), SF).collect()
     assert len(left) == 23 and {r.text for r in left} == {r[1] for r in rows}
     assert {r.doc_id for r in left if r.text in (text(50), text(4))} == {7, 9} and sum(r.doc_id is None for r in left) == 19
+
+
+def _lines_left(rows):
+    """(doc_id, text) without the lines that have an earlier line of a Jaccard similarity of 0.8 or more, by brute force."""
+    seen, out = [], []
+    for doc, text in rows:
+        kept = []
+        for line in (text or "").split("\n"):
+            words = lines.words_of(line)
+            if words and any(len(words & s) >= 0.8 * len(words | s) - 1e-9 for s in seen):
+                seen.append(words)
+                continue
+            if words:
+                seen.append(words)
+            kept.append(line)
+        out.append((doc, "\n".join(kept)))
+    return out
+
+
+def _contaminated(text, items):
+    words = re.findall(r"[0-9a-z\x80-\U0010ffff]+", re.sub("[A-Z]", lambda m: m.group().lower(), text or ""))
+    hit = set()
+    for item in items:
+        own = re.findall(r"[0-9a-z\x80-\U0010ffff]+", re.sub("[A-Z]", lambda m: m.group().lower(), item or ""))
+        size = min(13, len(own))
+        windows = {tuple(own[k : k + size]) for k in range(len(own) - size + 1)} if own else set()
+        for k in range(len(words) - size + 1):
+            if size and tuple(words[k : k + size]) in windows:
+                hit.update(range(k, k + size))
+    return bool(hit) and 20 * len(hit) >= len(words)
+
+
+def test_stages_equal_brute_force(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").orderBy("doc_id")
+    rows = [(r.doc_id, r.text) for r in docs.collect()]
+    got = corpus_pipeline.drop_lines(spark, docs, SF)
+    assert got.columns == docs.columns
+    assert {r.doc_id: r.text for r in got.collect()} == dict(_lines_left(rows))
+    items = [r.text for r in spark.read.parquet(f"{SF}/benchmark.parquet").collect()]
+    assert {r.doc_id for r in corpus_pipeline.drop_contaminated(spark, docs, SF).collect()} == {d for d, t in rows if not _contaminated(t, items)}
+    packed = corpus_pipeline.pack(spark, docs, SF).collect()
+    assert {r.doc_id for r in packed} == {d for d, _ in rows}
+    left = corpus_pipeline.drop_toxic(spark, docs, SF)
+    scored = toxicity.score(docs, toxicity.fit(docs, spark.read.parquet(f"{SF}/labels.parquet"), held_out=toxicity.held_out("doc_id")))
+    assert {r.doc_id for r in left.collect()} == {r.doc_id for r in toxicity.digest(scored).collect() if not r.predicted}
+
+
+def test_stages_take_empty_tables_and_nulls(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    odd = docs.limit(3).union(docs.limit(2).withColumn("text", F.lit(None).cast("string"))).union(docs.limit(1).withColumn("doc_id", F.lit(None).cast("long")))
+    for name, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs.limit(0), SF).count() == 0, name
+        assert stage(spark, odd, SF).count() > 0, name
