@@ -36,7 +36,7 @@ from .common import Written, map_batches, texts
 THRESHOLD = 0.8
 BUCKETS = 1 << 22
 CHUNK = 1 << 12
-PIECE = 12 << 20  # bytes of text whose lines are taken at once
+PIECE = 8 << 20  # bytes of text whose lines are taken at once
 BLOCK = 1 << 20  # bytes of text hashed at once
 NO_ID = -(1 << 63)
 CLASHING = 1_000_000  # repeated ids that are broadcast; more are joined by a shuffle
@@ -192,7 +192,8 @@ CROWD = 20_000  # words that occur more often deal their postings to salted grou
 SALT = 12  # low bits of a token that tell its salted groups apart
 BESIDE = 13  # bits of a line's number beside a word's, 51 bits, in one sorting key
 KEY, YOURS = ["doc", "mark", "line"], ["ydoc", "ymark", "yline"]
-GATHER = 200_000  # postings gathered for one vectorised step
+MEETS = 3_000_000  # pairs that a step may look at, beyond its largest group
+GATHER = 100_000  # postings gathered for one vectorised step
 
 
 def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -372,21 +373,27 @@ class _Meetings:
         ids = np.flatnonzero(self.ni >= 0)
         starts = np.flatnonzero(np.concatenate([[True], self.token[ids[1:]] != self.token[ids[:-1]]])) if len(ids) else np.zeros(0, np.int64)
         sizes = np.diff(np.append(starts, len(ids)))
-        large = np.repeat(sizes > self.group, sizes)
-        several = np.repeat(sizes > 1, sizes)
-        parts, asking = [self.near(ids[~large & several])], [ids[_groups(self.token[ids], self.crowd) > 1]]
+        asking, parts = [ids[_groups(self.token[ids], self.crowd) > 1]], [(np.zeros(0, np.int64),) * 3]
+
+        def keep(x, y, bits) -> None:
+            order = np.lexsort([bits, x])
+            x, y, bits = x[order], y[order], bits[order]
+            begin = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
+            count = np.diff(np.append(begin, len(x)))
+            asking.append(x[begin[count > 2]])
+            kept = np.arange(len(x)) - np.repeat(begin, count) < 2
+            parts.append((x[kept], y[kept], bits[kept]))
+
+        meets = np.where((sizes > 1) & (sizes <= self.group), sizes * (sizes - 1) // 2, 0)
+        step = np.repeat(np.where(meets > 0, np.cumsum(meets) // MEETS, -1), sizes)
+        for k in np.unique(step[step >= 0]):
+            keep(*self.near(ids[step == k]))
         for s, n in zip(starts[sizes > self.group].tolist(), sizes[sizes > self.group].tolist(), strict=True):
             *pairs, more = self.led(ids[s : s + n])
-            parts.append(tuple(pairs))
+            keep(*pairs)
             asking.append(more)
         x, y, bits = (np.concatenate(c) for c in zip(*parts, strict=True))
-        order = np.lexsort([bits, x])
-        x, y, bits = x[order], y[order], bits[order]
-        begin = np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
-        count = np.diff(np.append(begin, len(x)))
-        asking.append(x[begin[count > 2]])
-        kept = np.arange(len(x)) - np.repeat(begin, count) < 2
-        x, y, bits = np.concatenate([equal, x[kept]]), np.concatenate([equal_to, y[kept]]), np.concatenate([np.full(len(equal), EQUAL), bits[kept]])
+        x, y, bits = np.concatenate([equal, x]), np.concatenate([equal_to, y]), np.concatenate([np.full(len(equal), EQUAL), bits])
         asks = np.zeros(len(self.token), bool)
         asks[np.concatenate(asking)] = True
         handed = ids[np.isin(self.token[ids], np.unique(self.token[asks]))]

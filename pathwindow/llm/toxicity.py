@@ -200,6 +200,9 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
         .agg(*(amount(y, f).alias(f"{name}{f}") for y, name in ((1, "toxic"), (0, "clean")) for f in range(FOLDS + 1)))
         .where(F.col(f"toxic{FOLDS}") + F.col(f"clean{FOLDS}") >= 3)
     )
+    table = written(table, "toxicity-table")
+    if table.isEmpty():  # no labelled texts, or none that share words: nothing is toxic
+        return Model({}, {}, (1.0, 1.0), None)
     corpus = _counts(texts_of)
     size = Observation()
     corpus = corpus.observe(size, F.sum("n").alias("words"))
