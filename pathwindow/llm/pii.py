@@ -1,8 +1,8 @@
 """Personal data: patterns propose spans, checksums confirm them, context words adjust a score.
 
 Base kinds (email, ip, card, phone) follow fixed patterns and validators and always stay. The method proposes further
-kinds (iban with mod-97, national id with context words) and scores every span from 0 to 1 by its validator and by
-the words around it; proposed spans under ``min_score`` are dropped, base spans never.
+kinds (iban with mod-97, national id with context words, secrets by the name they are assigned to or a known form, and by
+the entropy of their characters) and scores every span from 0 to 1 by its validator and by the words around it; proposed spans under ``min_score`` are dropped, base spans never.
 
 Defined results: a null or empty text has no spans; positions are code points with an exclusive end; repeated rows each
 get their row; extra columns are ignored.
@@ -11,7 +11,9 @@ get their row; extra columns are ignored.
 from __future__ import annotations
 
 import hashlib
+import math
 import re
+from collections import Counter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -19,7 +21,7 @@ from pyspark.sql import functions as F
 
 from .common import map_batches, texts
 
-KINDS = ("email", "ip", "card", "phone", "iban", "national_id")
+KINDS = ("email", "ip", "card", "phone", "iban", "national_id", "secret")
 BASE = KINDS[:4]
 CONTEXT_CHARS = 40
 
@@ -31,6 +33,9 @@ _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])++")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:[ ]?[A-Z0-9]{4}){2,7}(?:[ ]?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
 _NATIONAL = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])")
+_ASSIGNED = re.compile(r"(?i)(?<![a-z0-9])(?:token|secret|passw(?:or)?d|pwd|credential|(?:api|access|private|secret|auth)[_ -]?(?:key|token))s?[\"']?\s{0,3}[:=]\s{0,3}[\"']?([A-Za-z0-9+/_.~-]{12,}+=*)")
+# Fixed forms: keys that public services give out.
+_ISSUED = re.compile(r"(?<![A-Za-z0-9])(?:(?:AKIA|ASIA)[0-9A-Z]{16}|gh[pousr]_[A-Za-z0-9]{30,}|xox[abprs]-[A-Za-z0-9-]{10,}|sk-[A-Za-z0-9_-]{20,}|eyJ[A-Za-z0-9_-]{10,}\.[A-Za-z0-9_-]{10,}\.[A-Za-z0-9_-]{10,})(?![A-Za-z0-9])")
 _DIGIT = re.compile("[0-9]")
 _IBAN_HINT = re.compile(r"[A-Z]{2}[0-9]{2}")
 # Words near a span that speak for its kind.
@@ -41,8 +46,9 @@ _CONTEXT = {
     "phone": ("phone", "tel", "call", "mobile", "telefon"),
     "iban": ("iban", "bank", "account", "konto", "compte", "cuenta"),
     "national_id": ("ssn", "social", "security", "id", "passport"),
+    "secret": ("key", "token", "secret", "password", "auth", "login"),
 }
-_PRIOR = {"email": 0.9, "ip": 0.6, "card": 0.8, "phone": 0.6, "iban": 0.85, "national_id": 0.4}
+_PRIOR = {"email": 0.9, "ip": 0.6, "card": 0.8, "phone": 0.6, "iban": 0.85, "national_id": 0.4, "secret": 0.6}
 
 
 def luhn(digits: str) -> bool:
@@ -60,6 +66,23 @@ def mod97(iban: str) -> bool:
     return int("".join(c if c.isdigit() else str(ord(c) - 55) for c in turned)) % 97 == 1
 
 
+def entropy(text: str) -> float:
+    """Bits a character."""
+    return -sum(n / len(text) * math.log2(n / len(text)) for n in Counter(text).values())
+
+
+def _secrets(text: str) -> list[tuple[int, int]]:
+    found = [m.span() for m in _ISSUED.finditer(text)]
+    if "=" in text or ":" in text:
+        # names and words have few bits a character or no digits; keys have both
+        found += [m.span(1) for m in _ASSIGNED.finditer(text) if entropy(m[1]) >= 3 and _DIGIT.search(m[1])]
+    out: list[tuple[int, int]] = []
+    for a, b in sorted(set(found)):
+        if not out or a >= out[-1][1]:
+            out.append((a, b))
+    return out
+
+
 def _emails(text: str) -> list[tuple[int, int]]:
     """Leftmost matches: a local part is the whole run before an at sign, back to the last match."""
     found, free, at = [], 0, text.find("@")
@@ -99,7 +122,7 @@ def base_spans(text: str) -> dict[str, list[tuple[int, int]]]:
 
 
 def extra_spans(text: str) -> dict[str, list[tuple[int, int]]]:
-    out: dict[str, list[tuple[int, int]]] = {"iban": [], "national_id": []}
+    out: dict[str, list[tuple[int, int]]] = {"iban": [], "national_id": [], "secret": _secrets(text)}
     if _DIGIT.search(text):
         if _IBAN_HINT.search(text):
             out["iban"] = [m.span() for m in _IBAN.finditer(text) if 15 <= len(x := m[0].replace(" ", "")) <= 34 and mod97(x)]
@@ -162,4 +185,6 @@ def digest(found: DataFrame) -> DataFrame:
         *(count(k).cast("long").alias(f"n_{k}") for k in BASE),
         F.sha2(told(base).cast("binary"), 256).alias("base_sha256"),
         told(listed).alias("spans"),
+        F.size("spans").cast("long").alias("n_spans"),
+        count("secret").cast("long").alias("n_secret"),
     )

@@ -305,6 +305,9 @@ def test_personal_data():
     assert pii.luhn("4111111111111111") and pii.mod97("GB82WEST12345698765432")
     assert pii.base_spans("card 4111 1111-1111 1111")["card"] == [(5, 24)] and not pii.base_spans("1.2.3.256")["ip"]
     assert [k for _, _, k, _ in pii.spans_of("iban GB82 WEST 1234 5698 7654 32")].count("iban") == 1
+    key = "04dbebab91ab85687d33eeaaf9ac699e1188f962"
+    assert [(k, f'token = "{key}"'[a:b]) for a, b, k, _ in pii.spans_of(f'token = "{key}"') if k == "secret"] == [("secret", key)]
+    assert not any(k == "secret" for t in ("token: aaaaaaaaaaaaaaaa", "the secret of success", "password = changechange", "token = see1") for *_, k, _ in pii.spans_of(t))
     import re
 
     wild = "a@b.c_d@e.f @x a@@b.c " + "9" * 5000 + " 1.2.3.4.5.6.7.8 " + "q" * 5000 + "@z.y"
