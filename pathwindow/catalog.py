@@ -191,8 +191,8 @@ def _workloads() -> dict[str, tuple[Query, str | None]]:
     )
     # the evaluation; what depends on the algorithm's own course has no SQL
     found["exp_windows"] = (lambda spark, sf_dir: experiments.window_measures(spark, _graphs(spark, sf_dir, BASE)), None)
-    found["exp_variants"] = (lambda spark, sf_dir: experiments.window_measures(spark, _graphs(spark, sf_dir, VARIANTS)), None)
-    found["exp_beta"] = (lambda spark, sf_dir: experiments.beta_sweep(spark, _graphs(spark, sf_dir, SWEPT)), None)
+    found["exp_variants"] = (lambda spark, sf_dir: experiments.window_measures(spark, _graphs(spark, sf_dir, VARIANTS), 16), None)
+    found["exp_beta"] = (lambda spark, sf_dir: experiments.beta_sweep(spark, _graphs(spark, sf_dir, SWEPT), count=16), None)
     found["exp_rivals"] = (_rivals, None)
     found["speedup_table"] = (lambda spark, sf_dir: experiments.speedup_table(_rivals(spark, sf_dir), {g: SECONDS.get(g, 0.0) for g in BASE}), None)
     found["agg_corr_time_traversals"] = (lambda spark, sf_dir: experiments.time_by_traversals(_rivals(spark, sf_dir)), None)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -12,6 +13,8 @@ from ..plans.prepared import PreparedGraph
 from . import apps, audit, baselines
 
 TRIALS = 64
+# The constants of the method, but that graphs whose degrees hardly differ take their largest degree for alpha.
+METHOD = Config(alpha="auto")
 BETAS = (0.85, 0.875, 0.9, 0.925, 0.95)
 Graphs = Iterable[tuple[str, Callable[[], PreparedGraph]]]
 
@@ -31,7 +34,7 @@ def window_measures(spark: SparkSession, graphs: Graphs, count: int = TRIALS) ->
     for name, make in graphs:
         graph = make()
         sources = trials(graph, count)
-        for method, cfg in (("adaptive", Config()), ("windows_only", Config(pull="off"))):
+        for method, cfg in (("adaptive", METHOD), ("windows_only", replace(METHOD, pull="off"))):
             rows.append((name, method, audit.average_measures(graph, adaptive_all(graph, sources, cfg))))
     return _table(spark, rows)
 
@@ -42,12 +45,12 @@ def beta_sweep(spark: SparkSession, graphs: Graphs, betas: tuple[float, ...] = B
         graph = make()
         sources = trials(graph, count)
         for beta in betas:
-            rows.append((name, f"beta_{beta:g}", audit.average_measures(graph, adaptive_all(graph, sources, Config(beta=beta)))))
+            rows.append((name, f"beta_{beta:g}", audit.average_measures(graph, adaptive_all(graph, sources, replace(METHOD, beta=beta)))))
     return _table(spark, rows)
 
 
 RIVALS: dict[str, Callable[[PreparedGraph, list[int]], dict[int, Result]]] = {
-    "adaptive": adaptive_all,
+    "adaptive": lambda g, s: adaptive_all(g, s, METHOD),
     "bellman_ford": lambda g, s: run_all(g, s, baselines.bellman_ford_loop, baselines.ALL),
     "delta_stepping": lambda g, s: run_all(g, s, baselines.delta_loop, {"skip_parent": False}, delta=None, adaptive=False, fused=0),
     "delta_star": lambda g, s: run_all(g, s, baselines.delta_star_loop, {"skip_parent": False}, delta=None),
@@ -97,6 +100,6 @@ def time_by_traversals(measured: DataFrame) -> DataFrame:
 
 def amortisation(spark: SparkSession, graph: PreparedGraph, preprocess: float, counts: tuple[int, ...] = (1, 4, 16, 64)) -> DataFrame:
     """(sources, seconds_a_source): preprocessing and searches over the number of sources that share it."""
-    found = list(adaptive_all(graph, trials(graph, max(counts))).values())
+    found = list(adaptive_all(graph, trials(graph, max(counts)), METHOD).values())
     rows = [(k, (preprocess + sum(r.seconds or 0.0 for r in found[:k])) / k) for k in counts if k <= len(found)]
     return spark.createDataFrame(rows, "sources int, seconds_a_source double")
