@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import ctypes.util
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable, Iterator
@@ -93,13 +95,25 @@ def map_batches(
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         each = setup() if setup else work
-        for batch in batches:
-            if batch.num_rows:
-                yield from each(batch)
+        try:
+            for batch in batches:
+                if batch.num_rows:
+                    yield from each(batch)
+        finally:
+            trim()
 
     return frame.mapInArrow(run, schema)
 
 
+def trim() -> None:
+    """Give freed memory back to the system: Python workers live on after a task, beside those of the next stage."""
+    pa.default_memory_pool().release_unused()
+    libc = ctypes.util.find_library("c")
+    give_back = getattr(ctypes.CDLL(libc), "malloc_trim", None) if libc else None
+    if give_back:
+        give_back(0)
+
+
 def texts(batch: pa.RecordBatch, name: str = "text") -> list[str]:
     """The texts of a batch; a null counts as empty."""
     return [t or "" for t in batch.column(batch.schema.get_field_index(name)).to_pylist()]

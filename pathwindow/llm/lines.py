@@ -31,7 +31,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Written, map_batches, texts
+from .common import Written, map_batches, trim
 
 THRESHOLD = 0.8
 BUCKETS = 1 << 22
@@ -151,6 +151,7 @@ def _rarity(docs: DataFrame) -> np.ndarray:
         for batch in batches:
             for _, column in _pieces(batch.column(0), PIECE):
                 total += np.bincount((_Lines(column).hash & np.uint64(BUCKETS - 1)).view(np.int64), minlength=BUCKETS).astype(np.uint32)
+        trim()
         for i in range(0, BUCKETS, CHUNK):
             run = total[i : i + CHUNK]
             if run.any():
@@ -444,6 +445,7 @@ def _meet(dealt: DataFrame, threshold: float, crowd: int = CROWD, group: int = G
                 held, size = rows.slice(cut).to_batches(), len(token) - cut
         if held:
             yield _Meetings(pa.Table.from_batches(held), threshold, crowd, group).rows()
+        trim()
 
     return dealt.mapInArrow(run, MEETING)
 
