@@ -7,8 +7,11 @@ direct comparison. A batch of texts is scanned by many lanes at once: each lane
 moves all of them by their shifts.
 
 Defined results: a null or wordless text has no words and no hits; wordless benchmark items never occur; repeated
-rows each get their row; repeated items each count; items without an id count in hit
-words and verdict and together as one item, but have no name in the list; extra columns are ignored; an empty benchmark leaves all clean.
+rows each get their row; items of one id are one item; items without an id count in hit words and verdict and together
+as one item, but have no name in the list; extra columns are ignored; an empty benchmark leaves all clean.
+
+A benchmark of more bytes than one set of broadcast patterns may have is dealt into groups of items, and the documents pass
+them one after another, each pass adding to the hit runs and items of the ones before.
 """
 
 from __future__ import annotations
@@ -20,13 +23,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import filter_batches, map_batches, texts
+from .common import Written, map_batches, texts
 
 WINDOW = 13
 # Bytes of patterns in one set of tables; a larger benchmark is searched set by set.
 CHUNK_BYTES = 64 << 20
-# Benchmarks above this many bytes need a partitioned pattern store, which this operator refuses to fake.
-BENCHMARK_BYTES = 2 << 30
+# Benchmark text of one pass over the documents: its windows take about 13 times as much in every Python worker.
+GROUP_BYTES = 32 << 20
 _HASH = np.uint64(0x9E3779B97F4A7C15)
 
 _SEPARATE = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -163,68 +166,88 @@ class PatternSet:
         return out
 
 
-SCHEMA = "doc_id long, n_words long, n_hit long, n_items long, items array<string>, runs array<struct<from: long, to: long>>, contaminated boolean"
+_RUN = pa.struct([("from", pa.int64()), ("to", pa.int64())])
+EXTRA = {"__runs": pa.list_(_RUN), "__items": pa.list_(pa.string()), "__nameless": pa.bool_(), "__words": pa.int64()}
+_EXTRA_SQL = "__runs array<struct<from: long, to: long>>, __items array<string>, __nameless boolean, __words long"
 
 
-def find_contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", window: int = WINDOW) -> DataFrame:
-    """One row a document: words, hit words, the items that occur, the hit runs of words, and the verdict.
+def _joined(runs: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """Runs [from, to) that overlap or touch, as one."""
+    out: list[list[int]] = []
+    for a, b in sorted(runs):
+        if out and a <= out[-1][1]:
+            out[-1][1] = max(out[-1][1], b)
+        else:
+            out.append([a, b])
+    return [(a, b) for a, b in out]
 
-    The benchmark is read once by the driver under a checked size bound and broadcast; documents are never shuffled.
-    """
-    shared, token = _shared(benchmark, text_col, item_col), uuid.uuid4().hex
 
+def _item_groups(benchmark: DataFrame, text_col: str, item_col: str, limit: int):
+    """The benchmark as broadcasts of at most about ``limit`` bytes of text."""
+    small = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(text_col).alias("text"))
+    size = small.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    groups = max(1, -(-size // limit))
+    for k in range(groups):
+        part = small if groups == 1 else small.where(F.pmod(F.xxhash64("text"), F.lit(groups)) == k)
+        yield k + 1 == groups, benchmark.sparkSession.sparkContext.broadcast([(r["item"], r["text"]) for r in part.collect()])
+
+
+def _searched(frame: DataFrame, benchmark: DataFrame, text_col: str, item_col: str, window: int, limit: int, kept: list[str], clean_only: bool = False) -> DataFrame:
+    """The columns ``kept`` with hit runs, items, whether an item without a name occurs, and the number of words."""
+    columns, first, before = frame.columns, True, None
+    for last, shared in _item_groups(benchmark, text_col, item_col, limit):
+        out = kept if last else columns
+        fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in frame.schema if f.name in out)
+        done = map_batches(frame, None, f"{fields}, {_EXTRA_SQL}", _pass(shared, uuid.uuid4().hex, window, text_col, [c for c in columns if c in out], first, clean_only and last))
+        if last:
+            return done
+        held = Written(done, "decontaminate")
+        if before:
+            before.drop()
+        frame, first, before = held.frame, False, held
+
+
+def _pass(shared, token: str, window: int, text_col: str, out: list[str], first: bool, clean_only: bool):
     def setup():
         patterns = _pattern_set(shared, token, window)
 
         def each(batch):
-            ids = batch.column(0)
-            for lo, group in _by_bytes(texts(batch)):
+            known = None if first else [batch.column(batch.schema.get_field_index(c)).to_pylist() for c in ("__runs", "__items", "__nameless")]
+            for lo, group in _by_bytes(texts(batch, text_col)):
                 words = [words_of(t) for t in group]
                 hits = patterns.hits(words)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        ids.slice(lo, len(group)).cast(pa.int64()),
-                        pa.array([len(w) for w in words], pa.int64()),
-                        pa.array([h[0] for h in hits], pa.int64()),
-                        pa.array([len(h[1]) for h in hits], pa.int64()),
-                        pa.array([sorted(h[1] - {None}) for h in hits], pa.list_(pa.string())),
-                        pa.array([[{"from": a, "to": b} for a, b in h[2]] for h in hits], pa.list_(pa.struct([("from", pa.int64()), ("to", pa.int64())]))),
-                        pa.array([h[0] > 0 and 20 * h[0] >= len(w) for h, w in zip(hits, words, strict=True)], pa.bool_()),
-                    ],
-                    names=["doc_id", "n_words", "n_hit", "n_items", "items", "runs", "contaminated"],
-                )
+                runs, items = [h[2] for h in hits], [h[1] for h in hits]
+                if known:
+                    runs = [_joined([*r, *((x["from"], x["to"]) for x in known[0][lo + i])]) for i, r in enumerate(runs)]
+                    items = [t | set(known[1][lo + i]) | ({None} if known[2][lo + i] else set()) for i, t in enumerate(items)]
+                told = [[[{"from": a, "to": b} for a, b in r] for r in runs], [sorted(t - {None}) for t in items], [None in t for t in items], [len(w) for w in words]]
+                part = batch.slice(lo, len(group)).select(out)
+                done = pa.RecordBatch.from_arrays([*part.columns, *(pa.array(c, k) for c, k in zip(told, EXTRA.values(), strict=True))], names=[*out, *EXTRA])
+                if clean_only:
+                    n_hit = [sum(b - a for a, b in r) for r in runs]
+                    done = done.filter(pa.array([not (n > 0 and 20 * n >= len(w)) for n, w in zip(n_hit, words, strict=True)], pa.bool_()))
+                yield done
 
         return each
 
-    return map_batches(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), None, SCHEMA, setup)
-
-
-def _shared(benchmark: DataFrame, text_col: str, item_col: str):
-    """The benchmark as a broadcast, behind a check of its size."""
-    small = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(text_col).alias("text"))
-    size = small.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    if size > BENCHMARK_BYTES:
-        raise ValueError(f"the benchmark has {size} bytes of text; the broadcast bound is {BENCHMARK_BYTES}")
-    return benchmark.sparkSession.sparkContext.broadcast([(r["item"], r["text"]) for r in small.collect()])
+    return setup
 
 
-def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", window: int = WINDOW) -> DataFrame:
-    """The documents that are not contaminated, with all their columns."""
-    shared, token = _shared(benchmark, text_col, item_col), uuid.uuid4().hex
-
-    def setup():
-        patterns = _pattern_set(shared, token, window)
+def find_contamination(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", window: int = WINDOW, group_bytes: int = GROUP_BYTES) -> DataFrame:
+    """One row a document: words, hit words, the items that occur, the hit runs of words, and the verdict.
 
-        def stays(batch: list[str]) -> list[bool]:
-            kept: list[bool] = []
-            for _, group in _by_bytes(batch):
-                words = [words_of(t) for t in group]
-                kept += [not (h[0] > 0 and 20 * h[0] >= len(w)) for h, w in zip(patterns.hits(words), words, strict=True)]
-            return kept
+    The benchmark is read by the driver in groups of a checked size and broadcast; documents are never shuffled.
+    """
+    own = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    told = _searched(own, benchmark, "text", item_col, window, group_bytes, ["doc_id"])
+    n_hit = F.aggregate("__runs", F.lit(0).cast("long"), lambda s, r: s + r["to"] - r["from"])
+    counted = told.select("doc_id", F.col("__words").alias("n_words"), n_hit.alias("n_hit"), (F.size("__items") + F.col("__nameless").cast("int")).cast("long").alias("n_items"), F.col("__items").alias("items"), F.col("__runs").alias("runs"))
+    return counted.withColumn("contaminated", (F.col("n_hit") > 0) & (20 * F.col("n_hit") >= F.col("n_words")))
 
-        return stays
 
-    return filter_batches(docs, setup, text_col)
+def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", window: int = WINDOW, group_bytes: int = GROUP_BYTES) -> DataFrame:
+    """The documents that are not contaminated, with all their columns."""
+    return _searched(docs, benchmark, text_col, item_col, window, group_bytes, docs.columns, clean_only=True).select(*docs.columns)
 
 
 _SETS: dict[str, PatternSet] = {}
