@@ -149,8 +149,8 @@ def _rarity(docs: DataFrame) -> np.ndarray:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(BUCKETS, np.uint32)
         for batch in batches:
-            for _, column in _pieces(batch.column(0), PIECE):
-                total += np.bincount((_Lines(column).hash & np.uint64(BUCKETS - 1)).view(np.int64), minlength=BUCKETS).astype(np.uint32)
+            for _, column in _pieces(batch.column(0), BLOCK):
+                np.add.at(total, (_tokens(column)[-1] & np.uint64(BUCKETS - 1)).view(np.int64), np.uint32(1))
         trim()
         for i in range(0, BUCKETS, CHUNK):
             run = total[i : i + CHUNK]
@@ -181,7 +181,10 @@ def _rarity(docs: DataFrame) -> np.ndarray:
 
 
 _CODES: dict[str, np.ndarray] = {}
-POSTING = "token long, doc long, mark long, line int, ni long, s0 long, s1 long"
+PACKED = "part int, rows binary"
+# A posting's columns (token, doc, mark, line, ni, s0, s1): each lies in one piece within a packed row.
+POSTING = tuple(map(np.dtype, ("<i8", "<i8", "<i8", "<i4", "<i8", "<i8", "<i8")))
+PART = 2_000_000  # words whose postings share a part, about
 MEETING = "kind int, doc long, mark long, line int, ydoc long, ymark long, yline int, apart int, asks boolean, token long, ni long, s0 long, s1 long"
 COPY, WHOLE = -2, -1
 GONE, PAIR, GROUPED = 0, 1, 2
@@ -194,7 +197,7 @@ SALT = 12  # low bits of a token that tell its salted groups apart
 BESIDE = 13  # bits of a line's number beside a word's, 51 bits, in one sorting key
 KEY, YOURS = ["doc", "mark", "line"], ["ydoc", "ymark", "yline"]
 MEETS = 3_000_000  # pairs that a step may look at, beyond its largest group
-GATHER = 100_000  # postings gathered for one vectorised step
+GATHER = 100_000  # postings of one vectorised step, about
 
 
 def _parities(flat: np.ndarray, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -212,13 +215,43 @@ def _groups(token: np.ndarray, crowd: int) -> np.ndarray:
     return np.minimum(1 << SALT, np.ceil(np.exp2((token >> 44 + SALT) / 4.0) / crowd)).astype(np.int64)
 
 
+def _parts(codes: np.ndarray, shuffles: int) -> int:
+    """Into how many parts tokens are dealt: some to a shuffle partition, and enough that a part stays small in a task."""
+    words = float(np.exp2(codes / 4.0).sum()) - len(codes)
+    return min(1 << 16, max(shuffles, min(4 * shuffles, 1_024), math.ceil(words / PART)))
+
+
+def _packed(columns: list[np.ndarray], parts: int) -> pa.RecordBatch:
+    """Postings by the part of their token: (part, rows), a row for each part, so that Spark moves few large rows."""
+    part = (_mixed(columns[0].view(np.uint64)) % np.uint64(parts)).astype(np.uint16)
+    order = np.argsort(part, kind="stable")
+    part, columns = part[order], [np.ascontiguousarray(c[order], t) for c, t in zip(columns, POSTING, strict=True)]
+    opens = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(part) else np.zeros(0, np.int64)
+    ends = np.append(opens, len(part))[1:]
+    rows = [b"".join(c[a:b].tobytes() for c in columns) for a, b in zip(opens.tolist(), ends.tolist(), strict=True)]
+    return pa.RecordBatch.from_arrays([pa.array(part[opens].astype(np.int32)), pa.array(rows, pa.binary())], names=["part", "rows"])
+
+
+def _unpacked(rows: list) -> list[np.ndarray]:
+    """The columns of the postings in packed rows."""
+    width = sum(t.itemsize for t in POSTING)
+    found: list[list[np.ndarray]] = [[] for _ in POSTING]
+    for row in rows:
+        n, at = len(row) // width, 0
+        for column, kind in zip(found, POSTING, strict=True):
+            column.append(np.frombuffer(row, kind, n, at))
+            at += n * kind.itemsize
+    return [np.concatenate(c) for c in found]
+
+
 def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int = CROWD) -> DataFrame:
-    """Rows (token, doc, mark, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
+    """Packed rows of (token, doc, mark, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
     as a token with ni = WHOLE, and lines that repeat one of their run of texts, known to go, with ni = COPY and no prefix.
 
     A token is the code of a word's count, 44 bits of its hash, and a salt where the word is very frequent. Different
     words of one token only meet for nothing. A word that occurs once meets nobody and is not posted."""
     shared, name = docs.sparkSession.sparkContext.broadcast(codes), uuid.uuid4().hex
+    parts = _parts(codes, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
     def each(batch):
         if name not in _CODES:
@@ -228,7 +261,8 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int =
         for at, column in _pieces(batch.column(2), PIECE):
             seen = _Lines(column)
             if len(seen.hash):
-                yield from run(seen, doc_of[at : at + len(column)], mark_of[at : at + len(column)])
+                found = list(run(seen, doc_of[at : at + len(column)], mark_of[at : at + len(column)]))
+                yield _packed([np.concatenate(c) for c in zip(*found, strict=True)], parts)
 
     def run(seen: _Lines, doc_of: np.ndarray, mark_of: np.ndarray):
         number = _CODES[name][(seen.hash & np.uint64(BUCKETS - 1)).view(np.int64)].astype(np.uint64) << np.uint64(44) | seen.hash >> np.uint64(20)
@@ -257,10 +291,10 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int =
         same[mine] = seen.same(of[mine], of[lead[mine]])
         gone = np.flatnonzero(same & ((doc != doc[lead]) | (mark != mark[lead]) | (nth != nth[lead])))
         if len(gone):
-            yield _posting_rows(whole[gone] ^ (gone << 20), doc[gone], mark[gone], nth[gone], np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64))
+            yield whole[gone] ^ (gone << 20), doc[gone], mark[gone], nth[gone], np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64)
         left = np.flatnonzero(~same)
         s0, s1 = _parities(flat, starts, sizes)
-        yield _posting_rows(whole[left], doc[left], mark[left], nth[left], np.full(len(left), WHOLE), *np.zeros((2, len(left)), np.int64))
+        yield whole[left], doc[left], mark[left], nth[left], np.full(len(left), WHOLE), *np.zeros((2, len(left)), np.int64)
         n = sizes[left]
         counts = n - np.ceil(threshold * n - 1e-9).astype(np.int64) + 1
         place = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
@@ -271,21 +305,16 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int =
         groups = _groups(token.view(np.int64), crowd)
         many = np.flatnonzero(groups > 1)
         token[many] |= _mixed((doc[row[many]] * 31 + nth[row[many]]).view(np.uint64)) % groups[many].view(np.uint64)
-        yield _posting_rows(token.view(np.int64), doc[row], mark[row], nth[row], (sizes[row] << 32) | place, s0[row], s1[row])
-
-    return map_batches(docs, each, POSTING)
+        yield token.view(np.int64), doc[row], mark[row], nth[row], (sizes[row] << 32) | place, s0[row], s1[row]
 
-
-def _posting_rows(token, doc, mark, line, ni, s0, s1) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(token, pa.int64()), pa.array(doc, pa.int64()), pa.array(mark, pa.int64()), pa.array(line.astype(np.int32)), *(pa.array(c, pa.int64()) for c in (ni, s0, s1))], names=["token", "doc", "mark", "line", "ni", "s0", "s1"])
+    return map_batches(docs, each, PACKED)
 
 
 class _Meetings:
-    """The pairs of one step: postings sorted by token, in columns, here sorted by ni within it."""
+    """The pairs of one step: columns of postings, here sorted by token and by ni within it."""
 
-    def __init__(self, rows: pa.Table, threshold: float, crowd: int, group: int):
+    def __init__(self, columns: list[np.ndarray], threshold: float, crowd: int, group: int):
         self.threshold, self.crowd, self.group = threshold, crowd, group
-        columns = [rows.column(i).to_numpy() for i in range(7)]
         order = np.lexsort([columns[4], columns[0]])
         token, self.doc, self.mark, line, self.ni, s0, s1 = (c[order] for c in columns)
         self.line, self.token = line.astype(np.int64), token
@@ -426,25 +455,33 @@ class _Meetings:
 
 
 def _meet(dealt: DataFrame, threshold: float, crowd: int = CROWD, group: int = GROUP) -> DataFrame:
-    """The meetings of postings that lie sorted by token; a task holds some hundred thousand rows and the
-    largest group at a time."""
+    """The meetings of packed postings that lie sorted by part; a task holds one part at a time, and of it some hundred
+    thousand rows and the largest group in a step."""
+
+    def met(rows: list) -> Iterator[pa.RecordBatch]:
+        columns, at = _unpacked(rows), 0
+        if len(columns[0]) > 2 * GATHER:
+            order = np.argsort(columns[0], kind="stable")
+            columns = [c[order] for c in columns]
+        size = len(columns[0])
+        while at < size:
+            end = size
+            if size - at > 2 * GATHER:  # up to the end of a token
+                end = int(np.searchsorted(columns[0], columns[0][at + GATHER], "right"))
+            yield _Meetings([c[at:end] for c in columns], threshold, crowd, group).rows()
+            at = end
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[pa.RecordBatch] = []
-        size = 0
+        part, held = None, []
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            held.append(batch)
-            size += batch.num_rows
-            if size >= GATHER and held[0].column(0)[0].as_py() != batch.column(0)[-1].as_py():
-                rows = pa.Table.from_batches(held)
-                token = rows.column(0).to_numpy()
-                cut = int(np.searchsorted(token, token[-1]))
-                yield _Meetings(rows.slice(0, cut), threshold, crowd, group).rows()
-                held, size = rows.slice(cut).to_batches(), len(token) - cut
+            for k, rows in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                if k != part and held:
+                    yield from met(held)
+                    held = []
+                part = k
+                held.append(rows.as_buffer())
         if held:
-            yield _Meetings(pa.Table.from_batches(held), threshold, crowd, group).rows()
+            yield from met(held)
         trim()
 
     return dealt.mapInArrow(run, MEETING)
@@ -503,7 +540,7 @@ def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     """(doc, mark, line) of every line that has an earlier similar one; doc and mark as in ``_keyed``."""
     own = _keyed(docs.select(id_col, text_col), id_col, text_col).select("doc", "mark", F.col(text_col).alias("text"))
     codes = _rarity(own.select("text"))
-    met = Written(_meet(_postings(own, codes, threshold, crowd).repartition("token").sortWithinPartitions("token"), threshold, crowd, group), "lines-met")
+    met = Written(_meet(_postings(own, codes, threshold, crowd).repartition("part").sortWithinPartitions("part"), threshold, crowd, group), "lines-met")
     ends = [*KEY, *YOURS]
     proposed = met.frame.where(F.col("kind") == PAIR).select(*ends, "apart")
     equal = proposed.where(F.col("apart") == EQUAL)

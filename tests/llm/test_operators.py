@@ -302,6 +302,20 @@ def test_lines_equal_brute_force(spark, sizes):
     assert {(r.doc, r.line) for r in lines.removed_lines(frame, **sizes).collect()} == _removed_by_brute_force(rows)
 
 
+def test_packed_postings_come_back_whole():
+    rng = np.random.default_rng(3)
+    columns = [rng.integers(-(1 << 62), 1 << 62, 5_000) for _ in lines.POSTING]
+    columns[3] = rng.integers(0, 1 << 30, 5_000).astype(np.int32)
+    columns[0][:700] = 77
+    packed = lines._packed(columns, 300)
+    part, rows = packed.column(0).to_pylist(), packed.column(1).to_pylist()
+    assert part == sorted(set(part)) and 200 < len(part) <= 300
+    back = lines._unpacked(rows)
+    assert sorted(zip(*(c.tolist() for c in back))) == sorted(zip(*(c.tolist() for c in columns)))
+    assert sum(77 in lines._unpacked([r])[0] for r in rows) == 1
+    assert all(len(c) == 0 for c in lines._unpacked(lines._packed([c[:0] for c in columns], 300).column(1).to_pylist() or [b""]))
+
+
 def test_personal_data():
     found = {k: v for k, v in pii.base_spans(TEXTS[-1]).items()}
     assert [TEXTS[-1][a:b] for a, b in found["email"]] == ["a.b@example.org"] and len(found["ip"]) == 1 and len(found["phone"]) == 1
