@@ -1,9 +1,13 @@
 """Near-duplicates by the similarity of whole shingle sets.
 
-A text is its set of shingles (runs of words, hashed). Minima of 80 mixings of the hashes, four to a band, put similar
+A text is its set of shingles (runs of words, hashed). Each set has a SimHash fingerprint, and vantage-point trees over
+the fingerprints (``simhash.link_fingerprints``) propose those within RADIUS bits; of sets with one fingerprint one goes
+through the trees, and the others are proposed to it. Sets of a similarity down to 0.8 may lie farther apart, so that
+minima of 80 mixings of the hashes, four to a band, propose too: they put similar
 sets into common buckets: a pair of similarity 0.8 shares none of the 20 bands with a chance of (1 - 0.8^4)^20 = 3e-5,
-a more similar one more rarely. Buckets only propose; every link is proven on the sets themselves. First each set meets
-one leader of each of its buckets (another one in each bucket), then all pairs of a bucket that are still in different
+a more similar one more rarely. Trees and buckets only propose; every link is proven on the sets themselves. First each set
+meets its partners from the trees and one leader of each of its buckets (another one in each bucket), then all pairs of a
+bucket that are still in different
 components meet, so no proposed pair is left open and a group of near copies need not emit all its pairs.
 
 Defined results: null, empty and blank texts have the same empty set and are copies of each other; texts of equal sets
@@ -22,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import Written, map_batches, texts
 from .components import components
 from .shards import TASK, deal
-from .simhash import _roots, shingle_hashes
+from .simhash import RADIUS, _roots, fingerprint, link_fingerprints, shingle_hashes
 
 SHINGLE, THRESHOLD = 5, 0.8
 BANDS, ROWS = 20, 4
@@ -31,7 +35,7 @@ GRID = 256  # sets of a bucket that meet in one task; larger buckets become grid
 COLUMNS = 4_096
 _MIX = np.random.default_rng(11).integers(0, 1 << 64, (2, BANDS * ROWS, 1), dtype=np.uint64)
 _MIX[1] |= np.uint64(1)
-SETS = "doc_id long, mark long, row long, node long, n int, hashes binary, bands array<long>"
+SETS = "doc_id long, mark long, row long, node long, n int, fp long, hashes binary, bands array<long>"
 
 
 def set_of(text: str, size: int = SHINGLE) -> np.ndarray:
@@ -70,9 +74,9 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, shingle: int) -> DataFram
             [
                 batch.column(0).cast(pa.int64()), batch.column(2), batch.column(3),
                 pa.array([_signed(xxhash.xxh64_intdigest(r)) for r in raw], pa.int64()), pa.array([len(s) for s in own], pa.int32()),
-                pa.array(raw, pa.binary()), pa.array([bands_of(s) if len(s) else [] for s in own], pa.list_(pa.int64())),
+                pa.array([_signed(fingerprint(s)) for s in own], pa.int64()), pa.array(raw, pa.binary()), pa.array([bands_of(s) if len(s) else [] for s in own], pa.list_(pa.int64())),
             ],
-            names=["doc_id", "mark", "row", "node", "n", "hashes", "bands"],
+            names=["doc_id", "mark", "row", "node", "n", "fp", "hashes", "bands"],
         )
 
     return map_batches(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), _hashed(docs, [text_col]).alias("mark"), _hashed(docs, docs.columns).alias("row")), each, SETS)
@@ -114,18 +118,33 @@ def _forest(table: pa.Table, threshold: float) -> pa.Table:
     return pa.table({"u": pa.array(node[linked], pa.int64()), "v": pa.array(node[root[linked]], pa.int64())})
 
 
+def _from_trees(nodes: DataFrame) -> DataFrame:
+    """(u, v) of nodes (node, fp) whose fingerprints the trees find within the radius: a spanning forest of them, and of
+    each fingerprint its least node with the others."""
+    leads = Written(nodes.groupBy("fp").agg(F.min("node").alias("node")), "near-prints")
+    same = nodes.join(leads.frame.withColumnRenamed("node", "u"), "fp").where("node <> u").select("u", F.col("node").alias("v"))
+    found = Written(link_fingerprints(leads.frame.select("fp", F.lit(0).alias("n"), "node"), RADIUS).union(same).distinct(), "near-trees")
+    leads.drop()
+    return found.frame
+
+
 def _links(sets: DataFrame, threshold: float) -> DataFrame:
     """(node, component) of the nodes that have a similar other one."""
+    close = lambda n, m: F.least(n, m) >= threshold * F.greatest(n, m) - 1e-9
+    pair = lambda x, y: (F.least(x, y).alias("u"), F.greatest(x, y).alias("v"))
     nodes = sets.groupBy("node").agg(F.first("n").alias("n"), F.first("bands").alias("bands"))
+    sized = sets.where("n > 0").groupBy("node").agg(F.first("n").alias("n"), F.first("fp").alias("fp"))
+    of = lambda end, name: sized.select(F.col("node").alias(end), F.col("n").alias(name))
+    trees = _from_trees(sized.select("node", "fp")).join(of("u", "n"), "u").join(of("v", "m"), "v").where(close(F.col("n"), F.col("m"))).select(*pair(F.col("u"), F.col("v")))
+    trees = Written(trees.distinct(), "near-trees")
     placed = Written(nodes.select("node", "n", F.explode("bands").alias("bucket")), "near-placed")
     shared = placed.frame.groupBy("bucket").agg(F.count("*").alias("k"), F.min_by(F.struct("node", "n"), F.xxhash64("node", "bucket")).alias("lead")).where("k > 1")
     met = Written(placed.frame.join(shared, "bucket").select("bucket", "node", "n", "lead"), "near-met")
-    held = Written(sets.join(met.frame.select("node").distinct(), "node", "left_semi").groupBy("node").agg(F.first("hashes").alias("hashes")), "near-held")
+    wanted = met.frame.select("node").union(trees.frame.select("u")).union(trees.frame.select("v"))
+    held = Written(sets.join(wanted.distinct(), "node", "left_semi").groupBy("node").agg(F.first("hashes").alias("hashes")), "near-held")
     placed.drop()
-    close = lambda n, m: F.least(n, m) >= threshold * F.greatest(n, m) - 1e-9
-    pair = lambda x, y: (F.least(x, y).alias("u"), F.greatest(x, y).alias("v"))
     to_lead = met.frame.where((F.col("node") != F.col("lead.node")) & close(F.col("n"), F.col("lead.n")))
-    first = Written(_proven(to_lead.select(*pair(F.col("node"), F.col("lead.node"))).distinct(), held.frame, threshold), "near-links")
+    first = Written(_proven(to_lead.select(*pair(F.col("node"), F.col("lead.node"))).union(trees.frame).distinct(), held.frame, threshold), "near-links")
     found = Written(components(first.frame), "near-components")
     here = met.frame.join(found.frame, "node", "left").select("bucket", "node", F.coalesce("component", "node").alias("c"))
     split = here.groupBy("bucket").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo <> hi").select("bucket")
@@ -136,7 +155,7 @@ def _links(sets: DataFrame, threshold: float) -> DataFrame:
         out = found.frame
     else:
         out = components(first.frame.union(more.frame))
-    for table in (met, held, left):
+    for table in (met, held, left, trees):
         table.drop()
     return out
 

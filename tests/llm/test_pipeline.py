@@ -54,6 +54,19 @@ def test_near_dedup_drops_copies_only_never_by_id(spark):
     assert {r.doc_id for r in left if r.text in (text(50), text(4))} == {7, 9} and sum(r.doc_id is None for r in left) == 19
 
 
+def test_near_dedup_finds_copies_by_trees_over_fingerprints(spark):
+    """Without any bucket the trees alone propose near copies; the sets still have to prove them."""
+    text = lambda k, n=400: " ".join(f"w{k}x{i}" for i in range(n))
+    texts = [t for k in range(30) for t in (text(k), text(k) + " end", text(k) + " end of it")] + [text(99, 40), text(98, 40), "", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    sets = shingles._sets(docs, "doc_id", "text", 5)
+    node = {r.doc_id: r.node for r in sets.collect()}
+    found = {r.node: r.component for r in shingles._links(sets.withColumn("bands", F.array().cast("array<long>")), 0.8).collect()}
+    together = [len({found.get(node[3 * k + i], node[3 * k + i]) for i in range(3)}) == 1 for k in range(30)]
+    assert sum(together) >= 24 and len({found[node[3 * k]] for k in range(30) if together[k]}) == sum(together)
+    assert not {node[90], node[91], node[92]} & set(found)
+
+
 def _lines_left(rows):
     """(doc_id, text) without the lines that have an earlier line of a Jaccard similarity of 0.8 or more, by brute force."""
     seen, out = [], []
