@@ -8,10 +8,11 @@ reach the threshold, and the words themselves decide the rest.
 
 Postings carry parity bits of their set, which bound how much two sets can differ, so few other pairs are left to verify.
 A group of near copies never emits all its pairs: a line proposes its two nearest earlier partners of each prefix word,
-the nearest of all is verified first, the others only for lines that it did not settle, and lines that had still more
-partners and stay in doubt meet all others in a last round. Sets with equal hashes are proposed as pairs too, and their
-words decide. Postings of very frequent words are dealt to salted groups of bounded size; what lies in different groups
-meets in the last round.
+the nearest eight of all are verified first, and lines that they do not settle meet the others in a last round, all that
+share a prefix word where they had still more partners. Sets with equal hashes are proposed as pairs too, and their
+words decide; of such sets only the first meets others, since it is the earliest of them and as near to everything. Should
+words ever disprove an equality of hashes, all is done again with every set meeting. Postings of very frequent words are
+dealt to salted groups of bounded size; what lies in different groups meets in the last round.
 
 Defined results: blank lines and null or empty texts have no words and are never removed; lines of the same set of words
 count as copies whatever their order; rows of one doc_id are one document and not compared line by line with
@@ -28,10 +29,10 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Written, map_batches, trim
+from .common import Written, lists_hashed, map_batches, trim
 
 THRESHOLD = 0.8
 BUCKETS = 1 << 22
@@ -90,8 +91,8 @@ _SPACE = np.isin(np.arange(256), list(b" \t\n\v\f\r"))
 _HEAD = np.array([(1 << 8 * k) - 1 for k in range(9)], np.uint64)  # the first k bytes of eight
 
 
-def _tokens(column: pa.Array) -> tuple[np.ndarray, ...]:
-    """The lower-cased bytes of a run of texts; row, number, start, end and number of words of each line; the words' hashes."""
+def _hashes(column: pa.Array) -> tuple[np.ndarray, ...]:
+    """The lower-cased bytes of a run of texts, where the texts begin and end, the words' first bytes and hashes."""
     low = pc.ascii_lower(column)
     _, offsets, data = low.buffers()
     ends = np.frombuffer(offsets, np.int64 if pa.types.is_large_string(low.type) else np.int32)[low.offset : low.offset + len(low) + 1].astype(np.int64)
@@ -100,11 +101,6 @@ def _tokens(column: pa.Array) -> tuple[np.ndarray, ...]:
     if size:
         raw[:size] = np.frombuffer(data, np.uint8)[ends[0] : ends[-1]]
     ends -= ends[0]
-    filled, breaks = np.flatnonzero(np.diff(ends)), np.flatnonzero(raw[:size] == 10) + 1
-    # A break at the very end of a text opens an empty line there, before the next text's first.
-    start, row = np.concatenate([ends[filled], breaks]), np.concatenate([filled, np.searchsorted(ends[1:], breaks, "left")])
-    order = np.lexsort([row, start])
-    start, row = start[order], row[order]
     blank = np.ones(size + 1, bool)
     blank[:size] = _SPACE[raw[:size]]
     opens, closes = np.append(True, blank[:-1]), blank.copy()
@@ -113,15 +109,29 @@ def _tokens(column: pa.Array) -> tuple[np.ndarray, ...]:
     closes[:-1] = blank[1:]
     closes[at_end] = True
     first, last = np.flatnonzero(~blank & opens), np.flatnonzero(~blank & closes) + 1
-    words = np.diff(np.append(np.searchsorted(first, start), len(first)))
     eight = np.ndarray((size + 1,), "<u8", raw, strides=(1,))
-    some, at, left = np.arange(len(first)), first, last - first
-    hashes = _mixed(left.astype(np.uint64) ^ np.uint64(0x5851F42D4C957F2D))
+    left, by = last - first, np.uint64(0xD6E8FEB86659FD93)
+    hashes = _mixed((_mixed(left.astype(np.uint64) ^ np.uint64(0x5851F42D4C957F2D)) ^ (eight[first] & _HEAD[np.minimum(left, 8)])) * by)
+    some = np.flatnonzero(left > 8)
+    at, left = first[some] + 8, left[some] - 8
     while len(some):
-        hashes[some] = _mixed((hashes[some] ^ (eight[at] & _HEAD[np.minimum(left, 8)])) * np.uint64(0xD6E8FEB86659FD93))
+        hashes[some] = _mixed((hashes[some] ^ (eight[at] & _HEAD[np.minimum(left, 8)])) * by)
         more = left > 8
         some, at, left = some[more], at[more] + 8, left[more] - 8
-    return raw[:size], row, np.arange(len(row)) - np.searchsorted(row, row), start, np.append(start[1:], size), words, hashes
+    return raw[:size], ends, first, hashes
+
+
+def _tokens(column: pa.Array) -> tuple[np.ndarray, ...]:
+    """The lower-cased bytes of a run of texts; row, number, start, end and number of words of each line; the words' hashes."""
+    raw, ends, first, hashes = _hashes(column)
+    size = len(raw)
+    filled, breaks = np.flatnonzero(np.diff(ends)), np.flatnonzero(raw == 10) + 1
+    # A break at the very end of a text opens an empty line there, before the next text's first.
+    start, row = np.concatenate([ends[filled], breaks]), np.concatenate([filled, np.searchsorted(ends[1:], breaks, "left")])
+    order = np.lexsort([row, start])
+    start, row = start[order], row[order]
+    words = np.diff(np.append(np.searchsorted(first, start), len(first)))
+    return raw, row, np.arange(len(row)) - np.searchsorted(row, row), start, np.append(start[1:], size), words, hashes
 
 
 class _Lines:
@@ -150,7 +160,7 @@ def _rarity(docs: DataFrame) -> np.ndarray:
         total = np.zeros(BUCKETS, np.uint32)
         for batch in batches:
             for _, column in _pieces(batch.column(0), BLOCK):
-                np.add.at(total, (_tokens(column)[-1] & np.uint64(BUCKETS - 1)).view(np.int64), np.uint32(1))
+                np.add.at(total, (_hashes(column)[-1] & np.uint64(BUCKETS - 1)).view(np.int64), np.uint32(1))
         trim()
         for i in range(0, BUCKETS, CHUNK):
             run = total[i : i + CHUNK]
@@ -182,8 +192,8 @@ def _rarity(docs: DataFrame) -> np.ndarray:
 
 _CODES: dict[str, np.ndarray] = {}
 PACKED = "part int, rows binary"
-# A posting's columns (token, doc, mark, line, ni, s0, s1): each lies in one piece within a packed row.
-POSTING = tuple(map(np.dtype, ("<i8", "<i8", "<i8", "<i4", "<i8", "<i8", "<i8")))
+# A posting's columns (token, doc, mark, line, ni, s0, s1, whole): each lies in one piece within a packed row.
+POSTING = tuple(map(np.dtype, ("<i8", "<i8", "<i8", "<i4", "<i8", "<i8", "<i8", "<i8")))
 PART = 2_000_000  # words whose postings share a part, about
 MEETING = "kind int, doc long, mark long, line int, ydoc long, ymark long, yline int, apart int, asks boolean, token long, ni long, s0 long, s1 long"
 COPY, WHOLE = -2, -1
@@ -196,6 +206,7 @@ CROWD = 20_000  # words that occur more often deal their postings to salted grou
 SALT = 12  # low bits of a token that tell its salted groups apart
 BESIDE = 13  # bits of a line's number beside a word's, 51 bits, in one sorting key
 KEY, YOURS = ["doc", "mark", "line"], ["ydoc", "ymark", "yline"]
+NEAREST = 8  # partners of a line, by parity bits, that its words are compared with first
 MEETS = 3_000_000  # pairs that a step may look at, beyond its largest group
 GATHER = 100_000  # postings of one vectorised step, about
 
@@ -215,6 +226,19 @@ def _groups(token: np.ndarray, crowd: int) -> np.ndarray:
     return np.minimum(1 << SALT, np.ceil(np.exp2((token >> 44 + SALT) / 4.0) / crowd)).astype(np.int64)
 
 
+def _company(columns: list[np.ndarray], crowd: int) -> list[np.ndarray]:
+    """The postings by token, without those that are alone with theirs and so meet nobody here: known copies stay, and very frequent words."""
+    token, ni = columns[0], columns[4]
+    order = np.argsort(token)
+    new = token[order[1:]] != token[order[:-1]]
+    alone = np.concatenate([[True], new]) & np.append(new, True)[: len(order)]
+    single = order[alone]
+    crowded = (ni[single] >= 0) & (_groups(np.arange(128) << 44 + SALT, crowd) > 1)[token[single] >> 44 + SALT & 127]
+    alone[np.flatnonzero(alone)[crowded | (ni[single] == COPY)]] = False
+    order = order[~alone]
+    return [c[order] for c in columns]
+
+
 def _parts(codes: np.ndarray, shuffles: int) -> int:
     """Into how many parts tokens are dealt: some to a shuffle partition, and enough that a part stays small in a task."""
     words = float(np.exp2(codes / 4.0).sum()) - len(codes)
@@ -244,9 +268,9 @@ def _unpacked(rows: list) -> list[np.ndarray]:
     return [np.concatenate(c) for c in found]
 
 
-def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int = CROWD) -> DataFrame:
-    """Packed rows of (token, doc, mark, line, ni, s0, s1): the prefix words of each line with ni = size * 2^32 + position, its whole set
-    as a token with ni = WHOLE, and lines that repeat one of their run of texts, known to go, with ni = COPY and no prefix.
+def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int = CROWD, bits: int = 64) -> DataFrame:
+    """Packed rows of (token, doc, mark, line, ni, s0, s1, whole): the prefix words of each line with ni = size * 2^32 + position and the hash
+    of its whole set, of some bits; that hash as a token with ni = WHOLE; and lines that repeat one of their run of texts, known to go, with ni = COPY and no prefix.
 
     A token is the code of a word's count, 44 bits of its hash, and a salt where the word is very frequent. Different
     words of one token only meet for nothing. A word that occurs once meets nobody and is not posted."""
@@ -278,7 +302,7 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int =
         flat <<= np.uint64(SALT)
         starts = np.flatnonzero(np.concatenate([[True], line[1:] != line[:-1]]))
         sizes = np.diff(np.append(starts, len(line)))
-        whole = np.add.reduceat(_mixed(flat), starts).view(np.int64)
+        whole = (np.add.reduceat(_mixed(flat), starts) >> np.uint64(64 - bits)).view(np.int64)
         of = line[starts]
         doc, mark, nth = doc_of[seen.row[of]], mark_of[seen.row[of]], seen.number[of]
         # Lines that equal an earlier one of the run byte for byte; sets that only have equal hashes are left for later.
@@ -291,10 +315,10 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int =
         same[mine] = seen.same(of[mine], of[lead[mine]])
         gone = np.flatnonzero(same & ((doc != doc[lead]) | (mark != mark[lead]) | (nth != nth[lead])))
         if len(gone):
-            yield whole[gone] ^ (gone << 20), doc[gone], mark[gone], nth[gone], np.full(len(gone), COPY), *np.zeros((2, len(gone)), np.int64)
+            yield whole[gone] ^ (gone << 20), doc[gone], mark[gone], nth[gone], np.full(len(gone), COPY), *np.zeros((3, len(gone)), np.int64)
         left = np.flatnonzero(~same)
         s0, s1 = _parities(flat, starts, sizes)
-        yield whole[left], doc[left], mark[left], nth[left], np.full(len(left), WHOLE), *np.zeros((2, len(left)), np.int64)
+        yield whole[left], doc[left], mark[left], nth[left], np.full(len(left), WHOLE), *np.zeros((3, len(left)), np.int64)
         n = sizes[left]
         counts = n - np.ceil(threshold * n - 1e-9).astype(np.int64) + 1
         place = np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
@@ -305,18 +329,44 @@ def _postings(docs: DataFrame, codes: np.ndarray, threshold: float, crowd: int =
         groups = _groups(token.view(np.int64), crowd)
         many = np.flatnonzero(groups > 1)
         token[many] |= _mixed((doc[row[many]] * 31 + nth[row[many]]).view(np.uint64)) % groups[many].view(np.uint64)
-        yield token.view(np.int64), doc[row], mark[row], nth[row], (sizes[row] << 32) | place, s0[row], s1[row]
+        yield token.view(np.int64), doc[row], mark[row], nth[row], (sizes[row] << 32) | place, s0[row], s1[row], whole[row]
 
     return map_batches(docs, each, PACKED)
 
 
+def _firsts(columns: list[np.ndarray]) -> np.ndarray:
+    """Of postings by token, those whose set, by its hash, no earlier line of their token has."""
+    token, doc, mark, line, ni, _, _, whole = columns
+    ids = np.flatnonzero(ni >= 0)
+    if not len(ids):
+        return np.arange(len(token))
+    # The group's number above the hash's upper bits: sets with equal hashes lie side by side.
+    group = np.cumsum(np.append(True, token[ids[1:]] != token[ids[:-1]]), dtype=np.uint64)
+    room = int(group[-1]).bit_length()
+    by = np.argsort(group << np.uint64(64 - room) | whole[ids].view(np.uint64) >> np.uint64(room))
+    by, group = ids[by], group[by]
+    new = np.append(True, (group[1:] != group[:-1]) | (whole[by[1:]] != whole[by[:-1]]))
+    shared = np.flatnonzero(~new | ~np.append(new[1:], True))
+    by, of = by[shared], np.cumsum(new)[shared]
+    order = np.lexsort([line[by], mark[by], doc[by], of])
+    by, of = by[order], of[order]
+    stays = np.ones(len(token), bool)
+    stays[by[1:][of[1:] == of[:-1]]] = False
+    return np.flatnonzero(stays)
+
+
 class _Meetings:
-    """The pairs of one step: columns of postings, here sorted by token and by ni within it."""
+    """The pairs of one step: columns of postings by token, here sorted by size within it; with ``spare``, of sets with
+    equal hashes the first alone."""
 
-    def __init__(self, columns: list[np.ndarray], threshold: float, crowd: int, group: int):
+    def __init__(self, columns: list[np.ndarray], threshold: float, crowd: int, group: int, spare: bool = True):
         self.threshold, self.crowd, self.group = threshold, crowd, group
-        order = np.lexsort([columns[4], columns[0]])
-        token, self.doc, self.mark, line, self.ni, s0, s1 = (c[order] for c in columns)
+        if spare:
+            first = _firsts(columns)
+            columns = [c[first] for c in columns]
+        group = np.cumsum(np.append(True, columns[0][1:] != columns[0][:-1]), dtype=np.uint64)[: len(columns[0])]
+        order = np.argsort(group << np.uint64(32) | ((columns[4] >> 32) + 1).view(np.uint64))
+        token, self.doc, self.mark, line, self.ni, s0, s1 = (c[order] for c in columns[:7])
         self.line, self.token = line.astype(np.int64), token
         self.n, self.i = self.ni >> 32, self.ni & 0xFFFFFFFF
         self.s0, self.s1 = s0.view(np.uint64), s1.view(np.uint64)
@@ -454,21 +504,18 @@ class _Meetings:
         )
 
 
-def _meet(dealt: DataFrame, threshold: float, crowd: int = CROWD, group: int = GROUP) -> DataFrame:
+def _meet(dealt: DataFrame, threshold: float, crowd: int = CROWD, group: int = GROUP, spare: bool = True) -> DataFrame:
     """The meetings of packed postings that lie sorted by part; a task holds one part at a time, and of it some hundred
     thousand rows and the largest group in a step."""
 
     def met(rows: list) -> Iterator[pa.RecordBatch]:
-        columns, at = _unpacked(rows), 0
-        if len(columns[0]) > 2 * GATHER:
-            order = np.argsort(columns[0], kind="stable")
-            columns = [c[order] for c in columns]
+        columns, at = _company(_unpacked(rows), crowd), 0
         size = len(columns[0])
         while at < size:
             end = size
             if size - at > 2 * GATHER:  # up to the end of a token
                 end = int(np.searchsorted(columns[0], columns[0][at + GATHER], "right"))
-            yield _Meetings([c[at:end] for c in columns], threshold, crowd, group).rows()
+            yield _Meetings([c[at:end] for c in columns], threshold, crowd, group, spare).rows()
             at = end
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -497,75 +544,109 @@ def _may_meet(threshold: float):
     return (F.least(n, m) >= threshold * F.greatest(n, m) - 1e-9) & (F.least(n - i, m - j) >= need) & (bits <= n + m - 2 * need)
 
 
-def _words(lines: DataFrame, docs: DataFrame) -> Written:
-    """(doc, mark, line, words) of lines (doc, mark, line), which may repeat."""
-    asked = lines.groupBy("doc", "mark").agg(F.collect_set("line").alias("lines"))
-
+def _fetched(pairs: DataFrame, docs: DataFrame, few: bool) -> Written:
+    """(doc, mark, line, ydoc, ymark, yline, apart, words): each pair with the later line's words, and the earlier lines with theirs, once
+    each, where ydoc is null. With ``few``, documents that are not asked are left out before the rest move, if the keys can be broadcast."""
+    columns = (*KEY, *YOURS, "apart")
+    earlier = pairs.select(F.col("ydoc").alias("doc"), F.col("ymark").alias("mark"), F.struct(F.col("yline").alias("line"), F.lit(0).cast("long").alias("ydoc"), F.lit(0).cast("long").alias("ymark"), F.lit(-1).alias("yline"), F.lit(0).alias("apart")).alias("ask"))
+    asked = pairs.select("doc", "mark", F.struct("line", *YOURS, "apart").alias("ask")).union(earlier).groupBy("doc", "mark").agg(F.collect_list("ask").alias("asks"))
     def fetch(batch):
-        doc, mark, line, words = [], [], [], []
-        for d, m, t, ks in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), _bytes(batch), batch.column(3).to_pylist(), strict=True):
-            every = t.split(b"\n")
-            for k in ks:
-                if k < len(every):
-                    doc.append(d)
-                    mark.append(m)
-                    line.append(k)
-                    words.append(every[k].lower())
-        yield pa.RecordBatch.from_arrays([pa.array(doc, pa.int64()), pa.array(mark, pa.int64()), pa.array(line, pa.int32()), pa.array(words, pa.binary())], names=["doc", "mark", "line", "words"])
+        asks = batch.column(3)
+        ask = asks.flatten()
+        row = np.repeat(np.arange(len(asks)), pc.list_value_length(asks).to_numpy(zero_copy_only=False).astype(np.int64))
+        line, ydoc, ymark, yline, apart = (c.to_numpy() for c in ask.flatten())
+        # An earlier line may be asked for by many.
+        order = np.lexsort([ymark, ydoc, yline, line, row])
+        same = np.concatenate([[False], (row[order[1:]] == row[order[:-1]]) & (line[order[1:]] == line[order[:-1]]) & (yline[order[1:]] < 0) & (yline[order[:-1]] < 0)])
+        order = order[~same]
+        row, line, ydoc, ymark, yline, apart = (c[order] for c in (row, line, ydoc, ymark, yline, apart))
+        words, every, at = [], [], -1
+        texts = _bytes(batch)
+        for i, k in zip(row.tolist(), line.tolist(), strict=True):
+            if i != at:
+                every, at = texts[i].split(b"\n"), i
+            words.append(every[k].lower() if k < len(every) else None)
+        none = yline < 0
+        found = pa.RecordBatch.from_arrays(
+            [
+                batch.column(0).take(pa.array(row)),
+                batch.column(1).take(pa.array(row)),
+                pa.array(line, pa.int32()),
+                *(pa.array(c, t, mask=none) for c, t in ((ydoc, pa.int64()), (ymark, pa.int64()), (yline, pa.int32()), (apart, pa.int32()))),
+                pa.array(words, pa.binary()),
+            ],
+            names=[*columns, "words"],
+        )
+        yield found.filter(found.column(7).is_valid())
 
-    return Written(map_batches(docs.join(asked.hint("shuffle_hash"), ["doc", "mark"]).select("doc", "mark", "text", "lines"), fetch, "doc long, mark long, line int, words binary"), "lines-words")
+    if few and asked.select("doc", "mark").limit(CLASHING + 1).count() <= CLASHING:
+        docs = docs.join(F.broadcast(asked.select("doc", "mark")), ["doc", "mark"], "left_semi")
+    asks = docs.join(asked.hint("shuffle_hash"), ["doc", "mark"]).select("doc", "mark", "text", "asks")
+    with lists_hashed(docs.sparkSession):
+        return Written(map_batches(asks, fetch, "doc long, mark long, line int, ydoc long, ymark long, yline int, apart int, words binary"), "lines-words")
 
 
-def _verified(pairs: DataFrame, words: DataFrame, threshold: float) -> DataFrame:
-    """(doc, mark, line) of the pairs' later lines whose words prove the similarity."""
-    x, y = words, words.select(F.col("doc").alias("ydoc"), F.col("mark").alias("ymark"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
-    both = pairs.join(x, KEY).join(y, YOURS).select(*KEY, "words", "ywords")
+def _verified(pairs: DataFrame, docs: DataFrame, threshold: float, few: bool = False) -> Written:
+    """(doc, mark, line, proven): the later lines of the pairs (doc, mark, line, ydoc, ymark, yline, apart) whose words prove the similarity;
+    not proven are those whose words disprove an equality of hashes."""
+    words = _fetched(pairs, docs, few)
+    y = words.frame.where("ydoc IS NULL").select(F.col("doc").alias("ydoc"), F.col("mark").alias("ymark"), F.col("line").alias("yline"), F.col("words").alias("ywords"))
+    both = words.frame.where("ydoc IS NOT NULL").join(y, YOURS).select(*KEY, "apart", "words", "ywords")
 
     def check(batch):
         good = []
-        for a, b in zip(batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True):
+        for a, b in zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True):
             if a == b:
                 good.append(True)
                 continue
             s, t = set(a.split()), set(b.split())
             common = len(s & t)
             good.append(common >= threshold * (len(s) + len(t) - common) - 1e-9)
-        kept = batch.filter(pa.array(good))
-        yield pa.RecordBatch.from_arrays([kept.column(0), kept.column(1), kept.column(2)], names=KEY)
+        good = pa.array(good, pa.bool_())
+        found = pa.RecordBatch.from_arrays([*batch.columns[:3], good], names=[*KEY, "proven"])
+        yield found.filter(pc.or_(good, pc.equal(batch.column(3), EQUAL)))
 
-    return map_batches(both, check, "doc long, mark long, line int").distinct()
+    out = Written(map_batches(both, check, "doc long, mark long, line int, proven boolean"), "lines-removed")
+    words.drop()
+    return out
 
 
-def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, crowd: int = CROWD, group: int = GROUP) -> DataFrame:
-    """(doc, mark, line) of every line that has an earlier similar one; doc and mark as in ``_keyed``."""
+def removed_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, crowd: int = CROWD, group: int = GROUP, bits: int = 64) -> DataFrame:
+    """(doc, mark, line) of every line that has an earlier similar one; doc and mark as in ``_keyed``. Sets are told by hashes of some bits."""
     own = _keyed(docs.select(id_col, text_col), id_col, text_col).select("doc", "mark", F.col(text_col).alias("text"))
     codes = _rarity(own.select("text"))
-    met = Written(_meet(_postings(own, codes, threshold, crowd).repartition("part").sortWithinPartitions("part"), threshold, crowd, group), "lines-met")
+    found = _removed(own, codes, threshold, crowd, group, bits, spare=True)
+    if found is None:
+        found = _removed(own, codes, threshold, crowd, group, bits, spare=False)
+    return found.frame
+
+
+def _removed(own: DataFrame, codes: np.ndarray, threshold: float, crowd: int, group: int, bits: int, spare: bool) -> Written | None:
+    """The lines that go; none where sets were spared meetings by equal hashes and their words then differ."""
+    met = Written(_meet(_postings(own, codes, threshold, crowd, bits).repartition("part").sortWithinPartitions("part"), threshold, crowd, group, spare), "lines-met")
     ends = [*KEY, *YOURS]
     proposed = met.frame.where(F.col("kind") == PAIR).select(*ends, "apart")
-    equal = proposed.where(F.col("apart") == EQUAL)
-    # Lines with an equal set somewhere earlier need no other partner, once their words have proved it.
-    pairs = Written(equal.union(proposed.where(F.col("apart") != EQUAL).join(equal.select(*KEY), KEY, "left_anti")).groupBy(*ends).agg(F.min("apart").alias("apart")), "lines-pairs")
-    words = _words(pairs.frame.select(*KEY).union(pairs.frame.select(*YOURS)), own)
-    best = Written(pairs.frame.groupBy(*KEY).agg(F.min(F.struct("apart", *YOURS)).alias("b")).select(*KEY, "b.ydoc", "b.ymark", "b.yline", "b.apart"), "lines-best")
-    first = Written(_verified(best.frame.select(*ends), words.frame, threshold), "lines-removed")
-    rest = pairs.frame.select(*ends).join(first.frame, KEY, "left_anti").join(best.frame.select(*ends), ends, "left_anti")
-    second = Written(first.frame.union(_verified(rest, words.frame, threshold)), "lines-removed")
-    grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *KEY, "ni", "s0", "s1", "asks")
-    asking = grouped.where("asks").drop("asks").join(second.frame, KEY, "left_anti")
-    others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in (*KEY, "ni", "s0", "s1")))
-    later = F.struct(*KEY) > F.struct(*(F.col(c).alias(k) for c, k in zip(YOURS, KEY, strict=True)))
-    # Equal hashes of different sets: those lines meet all that they were spared.
-    unequal = best.frame.where(F.col("apart") == EQUAL).select(*KEY).join(second.frame, KEY, "left_anti")
-    spared = proposed.join(unequal, KEY, "left_semi").select(*ends)
-    others = Written(asking.join(others, "token").where(later & _may_meet(threshold)).select(*ends).union(spared).distinct().join(pairs.frame.select(*ends), ends, "left_anti"), "lines-pairs")
-    words.drop()
-    words = _words(others.frame.select(*KEY).union(others.frame.select(*YOURS)), own)
-    gone = met.frame.where(F.col("kind") == GONE).select(*KEY)
-    out = Written(gone.union(second.frame).union(_verified(others.frame, words.frame, threshold)).distinct(), "lines-removed")
-    for table in (met, pairs, words, best, first, second, others):
+    nearest = F.row_number().over(Window.partitionBy(*KEY).orderBy("apart", *YOURS)) <= NEAREST
+    pairs = Written(proposed.repartition(*KEY).groupBy(*ends).agg(F.min("apart").alias("apart")).withColumn("nearest", nearest), "lines-pairs")
+    first = _verified(pairs.frame.where("nearest").drop("nearest"), own, threshold)
+    tables = [met, pairs, first]
+    out = None
+    if not spare or first.frame.where("NOT proven").isEmpty():
+        gone = first.frame.where("proven").select(*KEY)
+        rest = pairs.frame.where("NOT nearest").select(*ends).join(gone, KEY, "left_anti")
+        grouped = met.frame.where(F.col("kind") == GROUPED).select("token", *KEY, "ni", "s0", "s1", "asks")
+        asking = grouped.where("asks").drop("asks").join(gone, KEY, "left_anti")
+        same_doc, same_mark = F.col("doc") == F.col("ydoc"), F.col("mark") == F.col("ymark")
+        later = (F.col("doc") > F.col("ydoc")) | (same_doc & ((F.col("mark") > F.col("ymark")) | (same_mark & (F.col("line") > F.col("yline")))))
+        others = grouped.select("token", *(F.col(c).alias(f"y{c}") for c in (*KEY, "ni", "s0", "s1")))
+        left = Written(asking.join(others, "token").where(_may_meet(threshold) & later).select(*ends).union(rest).distinct().withColumn("apart", F.lit(0)), "lines-pairs")
+        last = _verified(left.frame, own, threshold, few=True)
+        again = met.frame.where(F.col("kind") == GONE).select(*KEY)
+        out = Written(again.union(gone).union(last.frame.select(*KEY)).distinct(), "lines-removed")
+        tables += [left, last]
+    for table in tables:
         table.drop()
-    return out.frame
+    return out
 
 
 def digest(docs: DataFrame, removed: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

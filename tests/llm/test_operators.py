@@ -302,6 +302,40 @@ def test_lines_equal_brute_force(spark, sizes):
     assert {(r.doc, r.line) for r in lines.removed_lines(frame, **sizes).collect()} == _removed_by_brute_force(rows)
 
 
+def _line_rows():
+    """Near copies and copies of some families of lines, dealt over many documents, some of whose words only change places."""
+    rng = np.random.default_rng(21)
+    families = [[f"fam{f}word{i}" for i in range(12)] for f in range(6)]
+    rows = []
+    for d in range(60):
+        words = list(families[d % 6])
+        if d % 4 == 3:
+            words[int(rng.integers(0, 12))] = f"own{d}"
+        rng.shuffle(words)
+        rows.append((d, " ".join(words) + f"\nline of {d} alone"))
+    return rows
+
+
+@pytest.mark.parametrize("bits", [64, 1])
+def test_lines_whose_hashes_clash_are_proved_by_words(spark, bits):
+    """With one bit nearly all sets have equal hashes, which their words disprove: every set then meets all others."""
+    rows = _line_rows()
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    assert {(r.doc, r.line) for r in lines.removed_lines(frame, bits=bits).collect()} == _removed_by_brute_force(rows)
+
+
+def test_copies_of_a_line_meet_others_once():
+    """Of a set's copies the first alone is proposed to near lines by the prefix words; the whole set's hash proposes the copies."""
+    n, size = 500, 10
+    token, doc = np.repeat(np.arange(1, 4, dtype=np.int64) << 56, n), np.tile(np.arange(n), 3)
+    whole = np.where(doc % 100 == 7, doc + 1, 77)  # five near lines among copies
+    columns = [token, doc, np.zeros(3 * n, np.int64), np.zeros(3 * n, np.int32), np.full(3 * n, size << 32), np.where(whole == 77, 0, 1 << doc // 100), np.zeros(3 * n, np.int64), whole]
+    found = lines._Meetings(columns, lines.THRESHOLD, lines.CROWD, lines.GROUP).rows().to_pylist()
+    pairs = {(r["doc"], r["ydoc"]) for r in found if r["kind"] == lines.PAIR}
+    assert {x for x, _ in pairs} == {7, 107, 207, 307, 407} and (7, 0) in pairs
+    assert len(found) <= 3 * (5 * 2 + 6)
+
+
 def test_packed_postings_come_back_whole():
     rng = np.random.default_rng(3)
     columns = [rng.integers(-(1 << 62), 1 << 62, 5_000) for _ in lines.POSTING]
